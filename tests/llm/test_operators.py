@@ -185,7 +185,7 @@ def test_decontaminate_finds_rare_and_proximate(spark):
     docs = spark.createDataFrame([(1, filler + "One two, three four five six seven eight nine ten ELEVEN " + filler), (2, filler), (3, None), (4, ""), (1, filler), (5, "solo"), (6, "one x eleven")], "doc_id long, text string")
     items = spark.createDataFrame([(7, "one two three four five six seven eight nine ten eleven"), (8, "solo"), (9, ""), (None, "alpha"), (8, "solo"), (10, "alpha beta gamma delta alpha beta gamma delta alpha beta")], "item_id long, text string")
     rows = sorted(tuple(r) for r in decontaminate.contamination(docs, items).select("doc_id", "n_words", "n_hit", "items").collect())
-    assert rows == [(1, 160, 160, ["10"]), (1, 331, 331, ["10", "7"]), (2, 160, 160, ["10"]), (3, 0, 0, []), (4, 0, 0, []), (5, 1, 1, ["8"]), (6, 3, 0, [])]
+    assert rows == [(1, 160, 158, ["10"]), (1, 331, 327, ["10", "7"]), (2, 160, 158, ["10"]), (3, 0, 0, []), (4, 0, 0, []), (5, 1, 1, ["8"]), (6, 3, 0, [])]
     windows, _ = decontaminate.query_windows(spark.createDataFrame([(1, "one eleven")], "item_id long, text string"))
     index = decontaminate.build_index(docs, None)
     assert decontaminate.proximity_hits(index, windows, 15).count() == 2 and decontaminate.proximity_hits(index, windows, 5).count() == 1
