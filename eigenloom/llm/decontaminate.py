@@ -24,6 +24,15 @@ def words_of(text: Column) -> Column:
     return F.filter(F.split(ascii_lower(F.coalesce(text, F.lit(""))), WORD_GAP), lambda w: w != "")
 
 
+#: Key tables of at most so many rows are broadcast; the count is checked first, and larger ones are joined by shuffle.
+BROADCAST_ROWS = 500_000
+
+
+def _only(rows: DataFrame, keys: DataFrame, key: str) -> DataFrame:
+    """The rows whose key is among the distinct keys."""
+    return rows.join(F.broadcast(keys) if keys.count() <= BROADCAST_ROWS else keys, key, "left_semi")
+
+
 def query_windows(items: DataFrame, width: int = WIDTH, id_col: str = "item_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """(window, words) of all distinct windows, and (window, item_id)."""
     words = items.filter(F.col(id_col).isNotNull()).select(F.col(id_col).alias("item_id"), words_of(F.col(text_col)).alias("words")).filter(F.size("words") > 0)
@@ -56,13 +65,14 @@ def rarest_terms(index: DataFrame, windows: DataFrame, rarest: int = RAREST) ->
 def phrase_hits(index: DataFrame, windows: DataFrame, rarest: int = RAREST) -> DataFrame:
     """(row, start, window, n_terms): every occurrence of every window."""
     probes = stored(rarest_terms(index, windows, rarest), "probes")
-    shifted = index.filter("term is not null").join(probes, "term").select("row", "n_words", "window", "n_terms", "need", (F.col("pos") - F.col("offset")).alias("start"))
+    asked_terms = probes.select("term").distinct()
+    shifted = _only(index.filter("term is not null"), asked_terms, "term").join(probes, "term").select("row", "n_words", "window", "n_terms", "need", (F.col("pos") - F.col("offset")).alias("start"))
     shifted = shifted.filter((F.col("start") >= 0) & (F.col("start") + F.col("n_terms") <= F.col("n_words")))
     near = shifted.groupBy("row", "start", "window", "n_terms", "need").agg(F.count(F.lit(1)).alias("met")).filter("met = need").drop("met")
     near = stored(near, "candidates")
     rest = windows.join(probes.select("window").distinct(), "window", "left_semi").select("window", F.posexplode("words").alias("offset", "term"))
     asked = near.filter("n_terms > need").join(rest, "window").select("row", "start", "window", "n_terms", (F.col("start") + F.col("offset")).alias("pos"), "term")
-    held = index.filter("term is not null").join(near.select("row").distinct(), "row", "left_semi").select("row", "pos", "term")
+    held = _only(index.filter("term is not null"), near.select("row").distinct(), "row").select("row", "pos", "term")
     full = asked.join(held, ["row", "pos", "term"]).groupBy("row", "start", "window", "n_terms").agg(F.count(F.lit(1)).alias("met")).filter("met = n_terms").drop("met")
     return full.unionByName(near.filter("n_terms = need").drop("need"))
 
