@@ -103,7 +103,7 @@ def fit(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") ->
     positive = positive.unionByName(made.select("family", F.concat_ws(" ", F.substring("other", 1, 40), "line").alias("line")))
     train = positive.unionByName(sample.filter("half = 0").select(F.lit(UNKNOWN).alias("family"), "line")).select("family", grams(tokens(F.col("line"))).alias("grams"))
     steps = [StringIndexer(inputCol="family", outputCol="label", stringOrderType="alphabetAsc"), CountVectorizer(inputCol="grams", outputCol="features", binary=True, minDF=3.0, vocabSize=1 << 14)]
-    fitted = Pipeline(stages=[*steps, LogisticRegression(family="multinomial", regParam=0.0005, elasticNetParam=0.5, maxIter=60, standardization=False)]).fit(stored(train, "licence-train").coalesce(1))
+    fitted = Pipeline(stages=[*steps, LogisticRegression(family="multinomial", regParam=0.0005, elasticNetParam=0.5, maxIter=25, standardization=False)]).fit(stored(train, "licence-train").coalesce(1))
     families, words, best = fitted.stages[0].labels, fitted.stages[1].vocabulary, fitted.stages[2]
     matrix, bias = best.coefficientMatrix.toArray(), best.interceptVector.toArray()
     zero = families.index(UNKNOWN) if UNKNOWN in families else None
@@ -123,10 +123,10 @@ def classified(lines: DataFrame, model: Model) -> DataFrame:
     families = sorted(model.intercepts)
     features = lines.select("row", "place", "line", F.explode(grams(tokens(F.col("line")))).alias("feature"))
     summed = features.join(F.broadcast(model.table(spark)), "feature").groupBy("row", "place", "line").agg(*(F.sum(F.when(F.col("family") == f, F.col("weight")).otherwise(0.0)).alias(f"_{k}") for k, f in enumerate(families)))
-    values = [F.exp(F.col(f"_{k}") + F.lit(model.intercepts[f])) for k, f in enumerate(families)]
-    total = sum(values, F.lit(1.0))
-    best = F.array_max(F.array(*(F.struct((v / total).alias("probability"), F.lit(f).alias("family")) for v, f in zip(values, families))))
-    told = summed.select("row", "place", "line", best.alias("best")).select("row", "place", "line", "best.family", "best.probability")
+    values = F.array(*(F.struct(F.exp(F.col(f"_{k}") + F.lit(model.intercepts[f])).alias("value"), F.lit(f).alias("family")) for k, f in enumerate(families)))
+    valued = summed.select("row", "place", "line", values.alias("values"))
+    total = F.aggregate("values", F.lit(1.0), lambda a, x: a + x["value"])
+    told = valued.select("row", "place", "line", F.array_max("values").alias("best"), total.alias("total")).select("row", "place", "line", "best.family", (F.col("best.value") / F.col("total")).alias("probability"))
     told = told.withColumn("family", F.when(F.col("probability") >= model.threshold, F.col("family")).otherwise(UNKNOWN))
     own = told.withColumn("_own", shingles(tokens(F.col("line"))))
     templates = template_table(spark).groupBy("family").agg(F.collect_list("template").alias("templates"))  # as many as TEMPLATES
