@@ -1,7 +1,7 @@
 """Chat formatting of reply trees.
 
-`root_paths` enumerates root-to-node paths with iterative self-joins that double the path length each round, `best_branches` ranks the
-root-to-leaf paths by score, and `formatted` renders each chosen path as one conversation with a loss mask over the assistant's texts.
+`ancestry` joins the tree with itself, doubling the known path length each round, `best_branches` ranks the root-to-leaf paths by score and walks the chosen
+ones up the same jump tables, and `formatted` renders each chosen path as one conversation with a loss mask over the assistant's texts.
 The template marks turns with control strings; those inside texts or roles gain one backslash after their first character
 (more for each one already there), which `parse` takes away again, so the output reads back exactly.
 
@@ -13,12 +13,13 @@ from __future__ import annotations
 
 import hashlib
 import re
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import stored
 
 #: The template's control strings.
 BEGIN, END, ROLE, ROLE_END = "<s>", "</s>", "[ROLE]", "[/ROLE]"
@@ -61,41 +62,72 @@ def reply_nodes(conversations: DataFrame) -> DataFrame:
     return rows.select("conv", "conv_id", "node", F.when(F.col("node") > 1, F.col("node") - 1).alias("parent"), "role", "text", F.lit(0.0).alias("score"))
 
 
-def root_paths(nodes: DataFrame) -> DataFrame:
-    """(conv, node, path, score): the nodes from the root to each node, and the sum of their scores.
+def ancestry(nodes: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
+    """Depths and summed scores (conv, node, depth, score) of all nodes below a root, and jump tables (conv, node, above), whose k-th leads 2^k nodes up.
 
-    A node whose parent is missing is a root. Each round joins the table with itself and doubles the known part of a path.
+    A node whose parent is missing is a root. Each round joins the unfinished nodes with the table itself and doubles the known part of their paths;
+    rows stay narrow, and only nodes at least 2^k deep are in round k. The rest of a table that a round leaves as large as it was lies on or below cycles.
     """
     ids = nodes.select("conv", F.col("node").alias("parent"), F.lit(True).alias("known"))
-    start = nodes.select("conv", "node", "parent", F.coalesce("score", F.lit(0.0)).alias("score")).join(ids, ["conv", "parent"], "left")
-    state = cut(start.select("conv", "node", F.when(F.col("known"), F.col("parent")).alias("top"), F.array("node").alias("path"), "score"))
-    done = []
-    while not (going := state.filter("top is not null")).isEmpty():
-        done.append(state.filter("top is null"))
-        above = state.select("conv", F.col("node").alias("top"), F.col("top").alias("next"), F.col("path").alias("head"), F.col("score").alias("above"))
-        for part in done[:-1]:
-            above = above.unionByName(part.select("conv", F.col("node").alias("top"), F.col("top").alias("next"), F.col("path").alias("head"), F.col("score").alias("above")))
-        joined = going.join(above, ["conv", "top"]).select("conv", "node", F.col("next").alias("top"), F.concat("head", "path").alias("path"), (F.col("score") + F.col("above")).alias("score"))
-        state = cut(joined.filter(F.size(F.array_distinct("path")) == F.size("path")))
-    for part in done:
-        state = state.unionByName(part)
-    return state.select("conv", "node", "path", "score")
+    first = nodes.select("conv", "node", "parent", F.coalesce("score", F.lit(0.0)).cast("double").alias("score")).join(ids, ["conv", "parent"], "left")
+    state = first.select("conv", "node", F.when(F.col("known"), F.col("parent")).alias("above"), F.col("known").isNotNull().cast("long").alias("depth"), "score")
+    done, jumps, before = [], [], -1
+    while True:
+        state = stored(state.withColumn("going", F.col("above").isNotNull()), "ancestry", "going")
+        going = state.filter("going").drop("going")
+        done.append(state.filter("not going").drop("going"))
+        left = going.count()
+        if left in (0, before):
+            break
+        jumps.append(going.select("conv", "node", "above"))
+        upper = reduce(DataFrame.unionByName, [*done, going]).select("conv", F.col("node").alias("above"), F.col("above").alias("next"), F.col("depth").alias("more"), F.col("score").alias("gain"))
+        state = going.join(upper, ["conv", "above"]).select("conv", "node", F.col("next").alias("above"), (F.col("depth") + F.col("more")).alias("depth"), (F.col("score") + F.col("gain")).alias("score"))
+        before = left
+    return reduce(DataFrame.unionByName, done).drop("above"), jumps
+
+
+def path_nodes(ends: DataFrame, jumps: list[DataFrame]) -> DataFrame:
+    """(conv, branch, place, node) of the nodes from the root to each of ends (conv, branch, depth, node): every jump, the longest first, adds the nodes it reaches."""
+    found = ends.select("conv", "branch", F.col("depth").alias("place"), "node")
+    for k in reversed(range(len(jumps))):
+        both = F.array_compact(F.array(F.struct("place", "node"), F.when(F.col("above").isNotNull(), F.struct((F.col("place") - (1 << k)).alias("place"), F.col("above").alias("node")))))
+        found = found.join(jumps[k], ["conv", "node"], "left").select("conv", "branch", F.inline(both))
+    return found
+
+
+def _gathered(found: DataFrame, *keys: str) -> DataFrame:
+    return found.groupBy("conv", *keys).agg(F.transform(F.sort_array(F.collect_list(F.struct("place", "node"))), lambda x: x["node"]).alias("path"))
 
 
-def best_branches(nodes: DataFrame, branches: int = 1) -> DataFrame:
-    """(conv, branch, path, score): the paths to leaves with the highest scores, ties to the lower leaf."""
+def root_paths(nodes: DataFrame) -> DataFrame:
+    """(conv, node, path, score): the nodes from the root to each node, and the sum of their scores."""
+    reach, jumps = ancestry(nodes)
+    paths = _gathered(path_nodes(reach.withColumn("branch", F.col("node")), jumps), "branch").withColumnRenamed("branch", "node")
+    return paths.join(reach, ["conv", "node"]).select("conv", "node", "path", "score")
+
+
+def _best_leaves(nodes: DataFrame, reach: DataFrame, branches: int) -> DataFrame:
+    """(conv, branch, node, depth, score): the leaves with the highest scores, ties to the lower leaf."""
     parents = nodes.filter("parent is not null").select("conv", F.col("parent").alias("node")).distinct()
-    leaves = root_paths(nodes).join(parents, ["conv", "node"], "left_anti")
+    leaves = reach.join(parents, ["conv", "node"], "left_anti")
     if branches == 1:
-        best = leaves.groupBy("conv").agg(F.max_by(F.struct("path", "score"), F.struct("score", -F.col("node"))).alias("best"))
-        return best.select("conv", F.lit(1).alias("branch"), "best.path", "best.score")
+        best = leaves.groupBy("conv").agg(F.max_by(F.struct("node", "depth", "score"), F.struct("score", -F.col("node"))).alias("best"))
+        return best.select("conv", F.lit(1).alias("branch"), "best.*")
     rank = F.row_number().over(Window.partitionBy("conv").orderBy(F.desc("score"), "node"))
-    return leaves.withColumn("branch", rank).filter(F.col("branch") <= branches).select("conv", "branch", "path", "score")
+    return leaves.withColumn("branch", rank).filter(F.col("branch") <= branches).select("conv", "branch", "node", "depth", "score")
+
+
+def best_branches(nodes: DataFrame, branches: int = 1) -> DataFrame:
+    """(conv, branch, path, score): the paths to the leaves with the highest scores."""
+    reach, jumps = ancestry(nodes)
+    ends = _best_leaves(nodes, reach, branches)
+    return _gathered(path_nodes(ends, jumps), "branch").join(ends, ["conv", "branch"]).select("conv", "branch", "path", "score")
 
 
 def formatted(nodes: DataFrame, branches: int = 1) -> DataFrame:
-    """(conv_id, branch, formatted, loss_spans): one row per chosen path."""
-    chosen = best_branches(nodes, branches).select("conv", "branch", F.posexplode("path").alias("place", "node"))
+    """(conv_id, branch, formatted, loss_spans): one row per chosen path. nodes is read several times, so store it first."""
+    reach, jumps = ancestry(nodes)
+    chosen = path_nodes(_best_leaves(nodes, reach, branches), jumps)
     turns = chosen.join(nodes.select("conv", "conv_id", "node", "role", "text"), ["conv", "node"])
     grouped = turns.groupBy("conv", "branch").agg(F.first("conv_id").alias("conv_id"), F.collect_list(F.struct("place", "role", "text")).alias("turns"))
 

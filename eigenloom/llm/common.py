@@ -28,11 +28,11 @@ def shared_dir(spark: SparkSession) -> str:
     return context._jsc.sc().getCheckpointDir().get()
 
 
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """df written once as Parquet in the shared folder and read again: lost executors cost no recomputation above it."""
+def stored(df: DataFrame, name: str, *split_by: str) -> DataFrame:
+    """df written once as Parquet (in a folder per value of split_by) in the shared folder and read again: lost executors cost no recomputation above it."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.partitionBy(*split_by).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
