@@ -5,13 +5,14 @@ templates below set among background lines, and on a bounded sample of backgroun
 threshold that all but `FALSE_SHARE` of further background lines stay under. A predicted family is confirmed where a template of it shares at least 0.8 of its five-word shingles
 with the paragraph. Paragraphs are lines.
 
-A line without any word of positive weight cannot leave the unknown class, so only lines with such words are scored; that is no approximation.
+Only lines with an anchor are scored: the weights of all other features together do not lift any family to the threshold, so this is no approximation.
 Null and empty texts have no paragraphs of any family; repeated rows are told apart by an internal row number; extra columns are ignored.
 """
 
 from __future__ import annotations
 
-import re
+import math
+from functools import reduce
 
 from pyspark.ml import Pipeline
 from pyspark.ml.classification import LogisticRegression
@@ -55,15 +56,22 @@ def tokens(line: Column) -> Column:
     return F.filter(F.split(F.lower(line), r"[^\p{L}\d]+"), lambda w: w != "")
 
 
+def _once(value: Column, use) -> Column:
+    """use(value) with value computed once: inside a lambda of `use` the expression itself would be evaluated anew for each element."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def _runs(words: Column, width: int) -> Column:
+    return F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(words) - width + 1)), lambda i: F.array_join(F.slice(words, i, width), " "))
+
+
 def grams(words: Column) -> Column:
-    kept = F.filter(words, lambda w: ~w.isin(*STOP))
-    pairs = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(kept) - 1)), lambda i: F.array_join(F.slice(kept, i, 2), " "))
-    return F.array_distinct(F.concat(kept, pairs))
+    return _once(F.filter(words, lambda w: ~w.isin(*STOP)), lambda kept: F.array_distinct(F.concat(kept, _runs(kept, 2))))
 
 
 def shingles(words: Column, width: int = SHINGLE) -> Column:
     """All runs of `width` words, or the whole of fewer."""
-    return F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(words) - width + 1)), lambda i: F.array_join(F.slice(words, i, width), " ")))
+    return _once(words, lambda w: F.array_distinct(_runs(w, width)))
 
 
 def paragraphs(text: Column) -> Column:
@@ -73,13 +81,33 @@ def paragraphs(text: Column) -> Column:
 class Model:
     """Weights (feature, family -> weight relative to unknown), intercepts and the calibrated threshold."""
 
-    def __init__(self, weights: dict[str, dict[str, float]], intercepts: dict[str, float], threshold: float):
-        self.weights, self.intercepts, self.threshold = weights, intercepts, threshold
+    def __init__(self, weights: dict[str, dict[str, float]], intercepts: dict[str, float], threshold: float, frequent: dict[str, int] | None = None):
+        self.weights, self.intercepts, self.threshold, self.frequent = weights, intercepts, threshold, frequent or {}
 
     @property
-    def cues(self) -> list[str]:
-        """Words of the features that can lift a family above unknown."""
-        return sorted({w for f, by in self.weights.items() if max(by.values()) > 0 for w in f.split(" ")})
+    def anchors(self) -> list[list[str]]:
+        """Features of which a line needs one to leave unknown, each as the words that it is made of.
+
+        A family reaches the threshold only if its weights sum to the threshold's log-odds less its intercept. Features are set aside, those whose words most
+        background lines hold first, as long as all set aside together leave every family below that sum; a line of these alone is unknown for certain.
+        """
+        room = {f: math.log(self.threshold / (1 - self.threshold)) - b - 1e-6 for f, b in self.intercepts.items()}
+        kept = []
+        for feature in sorted(self.weights, key=lambda x: (-self.frequent.get(x, 0), max(self.weights[x].values()), x)):
+            gain = {f: max(0.0, w) for f, w in self.weights[feature].items()}
+            if not any(gain.values()):
+                continue
+            if all(room[f] - g > 0 for f, g in gain.items()):
+                room = {f: left - gain.get(f, 0.0) for f, left in room.items()}
+            else:
+                kept.append(feature.split(" "))
+        single = {words[0] for words in kept if len(words) == 1}
+        return sorted(words for words in kept if len(words) == 1 or not single & set(words))
+
+    def anchored(self, text: Column) -> Column:
+        """Whether lower-cased text holds the words of an anchor."""
+        tests = [reduce(Column.__and__, [text.contains(w) for w in words]) for words in self.anchors]
+        return reduce(Column.__or__, tests, F.lit(False))
 
     def table(self, spark: SparkSession) -> DataFrame:
         rows = [(f, k, w) for f, by in self.weights.items() for k, w in by.items() if w]
@@ -110,7 +138,11 @@ def fit(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") ->
     base = matrix[zero] if zero is not None else 0 * matrix[0]
     weights = {w: {f: float(matrix[k][j] - base[j]) for k, f in enumerate(families) if k != zero} for j, w in enumerate(words) if abs(matrix[:, j] - base[j]).max() > 1e-9}
     shift = {f: float(bias[k] - (bias[zero] if zero is not None else 0)) for k, f in enumerate(families) if k != zero}
-    model = Model(weights, shift, 0.5)
+    low, lifting = F.lower("line"), sorted(w for w, by in weights.items() if max(by.values()) > 0)
+    holds = [reduce(Column.__and__, [low.contains(x) for x in w.split(" ")]) for w in lifting]
+    seen = sample.filter("half = 0").agg(*(F.count_if(h).alias(str(k)) for k, h in enumerate(holds))).first() if lifting else []
+    frequent = dict(zip(lifting, seen))
+    model = Model(weights, shift, 0.5, frequent)
     rest = classified(sample.filter("half = 1").select(F.monotonically_increasing_id().alias("row"), F.lit(0).alias("place"), "line"), model)
     high = rest.agg(F.expr(f"percentile(probability, {1 - FALSE_SHARE})")).first()[0] if weights else None
     model.threshold = min(0.95, max(0.5, high or 0.5))
@@ -128,7 +160,7 @@ def classified(lines: DataFrame, model: Model) -> DataFrame:
     total = F.aggregate("values", F.lit(1.0), lambda a, x: a + x["value"])
     told = valued.select("row", "place", "line", F.array_max("values").alias("best"), total.alias("total")).select("row", "place", "line", "best.family", (F.col("best.value") / F.col("total")).alias("probability"))
     told = told.withColumn("family", F.when(F.col("probability") >= model.threshold, F.col("family")).otherwise(UNKNOWN))
-    own = told.withColumn("_own", shingles(tokens(F.col("line"))))
+    own = told.withColumn("_own", F.when(F.col("family") != UNKNOWN, shingles(tokens(F.col("line")))))
     templates = template_table(spark).groupBy("family").agg(F.collect_list("template").alias("templates"))  # as many as TEMPLATES
     paired = own.join(F.broadcast(templates), "family", "left")
     share = F.exists("templates", lambda t: F.size(F.array_intersect(t, F.col("_own"))) >= CONFIRM * F.size(t))
@@ -138,10 +170,9 @@ def classified(lines: DataFrame, model: Model) -> DataFrame:
 def scanned(docs: DataFrame, model: Model | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per row of docs: doc_id, n_paragraphs, n_licensed, families, confirmed_families (sorted, comma-joined), probability (of the surest line)."""
     model = model or fit(docs, text_col=text_col)
-    cue = r"(?i)(?<![\p{L}\d])(" + "|".join(map(re.escape, model.cues)) + r")(?![\p{L}\d])"
     found = paragraphs(F.col(text_col))
-    some = F.filter("lines", lambda x: x.rlike(cue)) if model.cues else F.array().cast("array<string>")
-    rows = docs.select(F.col(id_col).alias("doc_id"), F.monotonically_increasing_id().alias("row"), found.alias("lines"))
+    some = F.when(model.anchored(F.col("low")), F.filter("lines", lambda x: F.exists(F.array(F.lower(x)), model.anchored)))
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.monotonically_increasing_id().alias("row"), found.alias("lines"), F.lower(F.col(text_col)).alias("low"))
     rows = stored(rows.select("doc_id", "row", F.size("lines").cast("long").alias("n_paragraphs"), some.alias("cued")), "licence-rows")
     told = classified(rows.select("row", F.posexplode("cued").alias("place", "line")), model).filter(F.col("family") != UNKNOWN)
     by_row = told.groupBy("row").agg(F.count(F.lit(1)).alias("n_licensed"), F.array_join(F.sort_array(F.collect_set("family")), ",").alias("families"), F.array_join(F.sort_array(F.collect_set(F.when(F.col("confirmed"), F.col("family")))), ",").alias("confirmed_families"), F.max("probability").alias("probability"))
