@@ -264,3 +264,35 @@ def test_queries_return_contract_columns(spark, sf):
     assert re.fullmatch("[0-9a-f]{16}", first["fingerprint"])
     assert hashlib.sha256(b"").hexdigest() == registry.op1_decontaminate(spark, sf).filter("n_items = 0").first()["items_sha256"]
     assert features.words("A-b ü1") == [b"a", b"b", "ü1".encode()]
+
+
+def test_ancestry_of_random_forests_and_long_chains(spark):
+    import random
+
+    draw, parent, score = random.Random(7), {}, {}
+    for tree in ("a", "b"):
+        for i in range(1, 80):
+            parent[tree, i] = draw.choice([None, *range(max(1, i - 4), i)]) if i > 1 else None
+    parent |= {("long", i): i - 1 if i > 1 else None for i in range(1, 151)}
+    score = {k: float(draw.randint(0, 5)) for k in parent}
+    nodes = spark.createDataFrame([(c, 1, i, p, "user", "", score[c, i]) for (c, i), p in parent.items()], "conv string, conv_id long, node long, parent long, role string, text string, score double")
+
+    def path(c, i):
+        return (path(c, parent[c, i]) if parent[c, i] else []) + [i]
+
+    want = {k: (path(*k), sum(score[k[0], i] for i in path(*k))) for k in parent}
+    assert {(r["conv"], r["node"]): (r["path"], r["score"]) for r in chat.root_paths(nodes).collect()} == want
+    leaves = {k for k in parent if k not in {(c, p) for (c, _), p in parent.items()}}
+    for c in ("a", "b", "long"):
+        ranked = sorted((-want[k][1], k[1]) for k in leaves if k[0] == c)[:3]
+        got = chat.best_branches(nodes.filter(F.col("conv") == c), 3).orderBy("branch").collect()
+        assert [(r["path"], r["score"]) for r in got] == [want[c, i] for _, i in ranked]
+    assert chat.formatted(nodes.limit(0)).count() == 0
+
+
+def test_license_anchors_lose_no_line(spark, docs):
+    model = licenses.fit(docs)
+    lines = docs.select(F.explode(licenses.paragraphs(F.col("text"))).alias("line")).select(F.monotonically_increasing_id().alias("row"), F.lit(0).alias("place"), "line")
+    every = licenses.classified(lines, model).filter(F.col("family") != licenses.UNKNOWN).count()
+    assert 0 < every == licenses.scanned(docs, model).agg(F.sum("n_licensed")).first()[0]
+    assert model.anchors and lines.filter(model.anchored(F.lower("line"))).count() < 0.1 * lines.count()
