@@ -58,9 +58,52 @@ STATEMENTS: dict[str, str] = {
     "math_trig_ring": "select n_nationkey, round(2 * cos(2 * pi() * n_nationkey / 25), 6) + 0.0 as value from {nation}",
     "smp_hash_sample": "select l_orderkey, l_partkey from {lineitem} where (l_orderkey * 7919 + l_linenumber) % 97 = 3",
     "degree_histogram": "with d as (select l_partkey, count(*) as degree from (select distinct o_custkey, l_partkey from {lineitem} join {orders} on l_orderkey = o_orderkey) e group by l_partkey) select degree, count(*) as vertices from d group by degree",
+    "rel_join_shuffle_hash": "select /*+ shuffle_hash({orders}) */ l_orderkey, l_linenumber, o_custkey from {lineitem} join {orders} on l_orderkey = o_orderkey",
+    "rel_join_sort_merge": "select /*+ merge({orders}) */ l_orderkey, l_linenumber, o_orderpriority from {lineitem} join {orders} on l_orderkey = o_orderkey",
+    "rel_join_asof": "select event_id, coalesce(last_value(case when event_type = 'error' then event_id end) ignore nulls over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding), -1) as last_error from {events}",
+    "rel_agg_approx": "select l_returnflag, abs(approx_count_distinct(l_partkey, 0.01) - count(distinct l_partkey)) <= 0.05 * count(distinct l_partkey) as within from {lineitem} group by l_returnflag",
+    "rel_agg_collect": "select o_custkey as i, array_join(sort_array(collect_list(o_orderkey)), ',') as cols from {orders} group by o_custkey",
+    "rel_pivot": "select * from (select user_id, event_type from {events}) pivot (count(1) for event_type in ('click', 'error', 'purchase', 'signup', 'view'))",
+    "rel_unpivot": "select s_suppkey, kind, amount from (select s_suppkey, cast(s_nationkey as double) as nation, s_acctbal as balance from {supplier}) unpivot (amount for kind in (nation, balance))",
+    "win_range_frame": "select o_orderkey, count(*) over (partition by o_custkey order by datediff(o_orderdate, date '1970-01-01') range between 30 preceding and current row) as recent from {orders}",
+    "lateral_topn": "select n_nationkey, c_custkey from {nation} join lateral (select c_custkey from {customer} where c_nationkey = n_nationkey order by c_acctbal desc, c_custkey limit 3) on true",
+    "str_tokens": "select term, count(*) as n from (select explode(split(lower(text), '[^a-z]+')) as term from {documents}) where term <> '' group by term",
+    "str_hrefs": """select path, count(*) as n from (select explode(regexp_extract_all(html, 'href="([^"]*)"', 1)) as path from {pages}) group by path""",
+    "dt_interval_shift": "select o_orderkey, cast(cast(o_orderdate + interval '1' month as date) as varchar(10)) as later, cast(cast(o_orderdate - interval '7' day as date) as varchar(10)) as earlier from {orders}",
+    "math_tile_keys": "select o_orderkey, shiftright(o_custkey, 8) as tr, shiftright(o_orderkey, 8) as tc, o_custkey & 255 as r, pmod(o_orderkey - 7, 256) as c from {orders}",
+    "arr_transform": "select vec_id, round(aggregate(transform(embedding, x -> cast(x as double) * 2 + 1), cast(0 as double), (a, x) -> a + x), 4) + 0.0 as value from {embeddings}",
+    "arr_zip_with": "select vec_id, round(aggregate(zip_with(embedding, reverse(embedding), (x, y) -> cast(x as double) * cast(y as double)), cast(0 as double), (a, x) -> a + x), 4) + 0.0 as value from {embeddings}",
+    "arr_aggregate": "select vec_id, round(sqrt(aggregate(embedding, cast(0 as double), (a, x) -> a + cast(x as double) * cast(x as double))), 4) as norm from {embeddings}",
+    "arr_filter_exists": "select vec_id, cast(size(filter(embedding, x -> x > 0)) as bigint) as positive, exists(embedding, x -> x > 0.3) as any_large from {embeddings}",
+    "arr_slice_sequence": "select vec_id, cast(size(slice(embedding, 9, 8)) as bigint) as n, round(aggregate(sequence(9, 16), cast(0 as double), (a, k) -> a + cast(embedding[k - 1] as double)), 4) + 0.0 as total from {embeddings}",
+    "arr_posexplode": "select label, cast(place as bigint) as place, sum(case when x > 0 then 1 else 0 end) as positive from {embeddings} lateral view posexplode(embedding) as place, x group by label, place",
+    "map_from_entries": "select user_id, cast(size(m) as bigint) as kinds, array_join(sort_array(transform(map_entries(m), e -> concat(e.key, '=', e.value))), ',') as cells from (select user_id, map_from_entries(collect_list(struct(event_type, n))) as m from (select user_id, event_type, count(*) as n from {events} group by user_id, event_type) group by user_id)",
+    "map_lookup": "select user_id, coalesce(element_at(m, 'click'), 0) as clicks, coalesce(element_at(m, 'missing'), 0) as missing from (select user_id, map_from_entries(collect_list(struct(event_type, n))) as m from (select user_id, event_type, count(*) as n from {events} group by user_id, event_type) group by user_id)",
+    "json_props": "select event_id, cast(get_json_object(props, '$.k') as bigint) as k, cast(from_json(props, 'k int').k as bigint) * 2 as doubled from {events}",
 }
 #: Where DuckDB spells a statement differently.
 IN_DUCKDB = {
+    "rel_join_shuffle_hash": "select l_orderkey, l_linenumber, o_custkey from lineitem join orders on l_orderkey = o_orderkey",
+    "rel_join_sort_merge": "select l_orderkey, l_linenumber, o_orderpriority from lineitem join orders on l_orderkey = o_orderkey",
+    "rel_join_asof": "select e.event_id, coalesce(r.event_id, -1) as last_error from events e asof left join (select * from events where event_type = 'error') r on e.user_id = r.user_id and e.ts > r.ts",
+    "rel_agg_approx": "select l_returnflag, true as within from lineitem group by l_returnflag",
+    "rel_agg_collect": "select o_custkey as i, string_agg(cast(o_orderkey as varchar), ',' order by o_orderkey) as cols from orders group by o_custkey",
+    "rel_pivot": "select user_id, " + ", ".join(f"count_if(event_type = '{k}')::bigint as {k}" for k in ("click", "error", "purchase", "signup", "view")) + " from events group by user_id",
+    "rel_unpivot": "select s_suppkey, 'nation' as kind, cast(s_nationkey as double) as amount from supplier union all select s_suppkey, 'balance', s_acctbal from supplier where s_acctbal is not null",
+    "win_range_frame": "select o_orderkey, count(*) over (partition by o_custkey order by date_diff('day', date '1970-01-01', cast(o_orderdate as date)) range between 30 preceding and current row) as recent from orders",
+    "lateral_topn": "select c_nationkey as n_nationkey, c_custkey from customer qualify row_number() over (partition by c_nationkey order by c_acctbal desc, c_custkey) <= 3",
+    "str_tokens": "select term, count(*) as n from (select unnest(regexp_split_to_array(lower(text), '[^a-z]+')) as term from documents) where term <> '' group by term",
+    "str_hrefs": """select path, count(*) as n from (select unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) as path from pages) group by path""",
+    "math_tile_keys": "select o_orderkey, o_custkey >> 8 as tr, o_orderkey >> 8 as tc, o_custkey & 255 as r, ((o_orderkey - 7) % 256 + 256) % 256 as c from orders",
+    "arr_transform": "select vec_id, round(list_sum(list_transform(embedding, lambda x: x::double * 2 + 1)), 4) + 0.0 as value from embeddings",
+    "arr_zip_with": "select vec_id, round(list_sum(list_transform(list_zip(embedding, list_reverse(embedding)), lambda p: p[1]::double * p[2]::double)), 4) + 0.0 as value from embeddings",
+    "arr_aggregate": "select vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: x::double * x::double))), 4) as norm from embeddings",
+    "arr_filter_exists": "select vec_id, cast(len(list_filter(embedding, lambda x: x > 0)) as bigint) as positive, len(list_filter(embedding, lambda x: x > 0.3)) > 0 as any_large from embeddings",
+    "arr_slice_sequence": "select vec_id, cast(len(embedding[9:16]) as bigint) as n, round(list_sum(list_transform(embedding[9:16], lambda x: x::double)), 4) + 0.0 as total from embeddings",
+    "arr_posexplode": "select label, place - 1 as place, cast(sum(case when x > 0 then 1 else 0 end) as bigint) as positive from (select label, unnest(embedding) as x, unnest(range(1, len(embedding) + 1)) as place from embeddings) group by 1, 2",
+    "map_from_entries": "select user_id, count(*) as kinds, string_agg(event_type || '=' || n, ',' order by event_type || '=' || n) as cells from (select user_id, event_type, count(*) as n from events group by 1, 2) group by 1",
+    "map_lookup": "select user_id, cast(count_if(event_type = 'click') as bigint) as clicks, cast(0 as bigint) as missing from events group by 1",
+    "json_props": "select event_id, cast(json_extract_string(props, '$.k') as bigint) as k, cast(json_extract_string(props, '$.k') as bigint) * 2 as doubled from events",
     "rel_join_semi": "select c_custkey from customer where c_custkey in (select o_custkey from orders where o_totalprice > 1000)",
     "rel_join_anti": "select p_partkey from part where not exists (select 1 from lineitem where p_partkey = l_partkey and l_quantity >= 49)",
 }
