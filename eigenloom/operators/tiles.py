@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import math
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -67,8 +65,8 @@ def storage_report(edges: DataFrame, edge: int) -> DataFrame:
 
 
 def plan_super(width: int, cache_bytes: int, sharers: int, edge: int) -> int:
-    """Tiles along the side of a super tile whose dense rows in play fit the cache."""
-    return max(1, int(math.isqrt(max(1, (cache_bytes // (sharers * 2 * 8 * width)) // edge)) or 1))
+    """Tiles along the side of a super tile: as many as keep its dense rows, read and written, within a thread's share of the cache."""
+    return max(1, cache_bytes // (sharers * 2 * 8 * width) // edge)
 
 
 def plan_partitions(index: list[tuple[int, int]], width: int, target_bytes: int) -> list[tuple[int, int]]:

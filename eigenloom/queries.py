@@ -444,6 +444,9 @@ def stream_transitions(spark, sf_dir):
     return streams.transitions(spark, sf_dir)
 
 
+from eigenloom import queries_surface as _surface  # noqa: E402,F401  registers its queries here
+
+
 def queries() -> dict:
     return {**Q, **relational.queries()}
 

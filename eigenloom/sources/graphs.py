@@ -89,32 +89,38 @@ def doc_terms(spark, sf_dir):
     return coalesced(tokens.join(dense_ids(tokens, "term"), "term"), F.col("doc_id"), F.col("id"))
 
 
-def vector_neighbours(spark, sf_dir, k: int = 10, weight: str = "distance", block: int = 1024):
-    """Each vector's k nearest by cosine, symmetrised by maximum. Blocks of queries meet all vectors in one pass of matrix products, and keep k each."""
+def nearest(rows: DataFrame, asked: DataFrame, k: int, block: int = 1024, digits: int = 9) -> DataFrame:
+    """(i, j, s, rank): the k rows nearest to each asked row by cosine rounded to `digits`, ties by id. Blocks of queries meet blocks of rows as matrix products and keep k each."""
     import numpy as np
+    import pandas as pd
+
+    def dealt(frame, number, held):
+        return frame.select("vec_id", "embedding").withColumn(number, F.floor(F.col("vec_id") / block)).groupBy(number).agg(F.sort_array(F.collect_list(F.struct("vec_id", "embedding"))).alias(held))
 
-    rows = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    queries = rows.withColumn("block", F.floor(F.col("vec_id") / block)).groupBy("block").agg(F.collect_list(F.struct("vec_id", "embedding")).alias("asked"))
-    chunks = rows.withColumn("chunk", F.floor(F.col("vec_id") / block)).groupBy("chunk").agg(F.collect_list(F.struct("vec_id", "embedding")).alias("held"))
+    def unit(vectors):
+        x = np.array([v["embedding"] for v in vectors], float)
+        return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
 
     def run(batches):
         for pdf in batches:
             out = []
-            for asked, held in zip(pdf["asked"], pdf["held"]):
-                qi, hi = np.array([x["vec_id"] for x in asked]), np.array([x["vec_id"] for x in held])
-                q, h = np.array([x["embedding"] for x in asked], float), np.array([x["embedding"] for x in held], float)
-                s = (q / np.linalg.norm(q, axis=1, keepdims=True)) @ (h / np.linalg.norm(h, axis=1, keepdims=True)).T
+            for queries, held in zip(pdf["queries"], pdf["held"]):
+                qi, hi = np.array([x["vec_id"] for x in queries]), np.array([x["vec_id"] for x in held])
+                s = np.round(unit(queries) @ unit(held).T, digits)
                 s[qi[:, None] == hi[None, :]] = -np.inf
                 best = np.argsort(-s, axis=1, kind="stable")[:, :k]
                 out.append(pd.DataFrame({"i": np.repeat(qi, best.shape[1]), "j": hi[best].ravel(), "s": np.take_along_axis(s, best, 1).ravel()}))
             yield pd.concat(out) if out else pd.DataFrame({"i": [], "j": [], "s": []})
 
-    import pandas as pd
+    near = dealt(asked, "block", "queries").crossJoin(dealt(rows, "chunk", "held")).mapInPandas(run, "i long, j long, s double").filter("not isnan(s) and s > -2")
+    return near.withColumn("rank", F.row_number().over(Window.partitionBy("i").orderBy(F.desc("s"), "j"))).filter(F.col("rank") <= k)
+
 
-    near = queries.crossJoin(chunks).mapInPandas(run, "i long, j long, s double").filter("not isnan(s) and s > -2")
-    ranked = near.withColumn("rank", F.row_number().over(Window.partitionBy("i").orderBy(F.desc("s"), "j"))).filter(F.col("rank") <= k)
+def vector_neighbours(spark, sf_dir, k: int = 10, weight: str = "distance", block: int = 1024):
+    """Each vector's k nearest by cosine, symmetrised by maximum; weight 'distance' or 'similarity'."""
+    rows = table(spark, sf_dir, "embeddings")
     w = F.col("s") if weight == "similarity" else 1 - F.col("s")
-    return symmetrised(ranked.select("i", "j", w.alias("w")), "max")
+    return symmetrised(nearest(rows, rows, k, block).select("i", "j", w.alias("w")), "max")
 
 
 def turn_graph(spark, sf_dir):
