@@ -1,7 +1,7 @@
 """License scans by a trained paragraph classifier, in DataFrame and ML-pipeline functions only.
 
 A multinomial logistic regression with an L1 share over word uni- and bigrams tells licence families from an unknown class. It is trained on the notice
-templates below set among background lines, and on a bounded sample of background lines (`BACKGROUND_ROWS`, a documented bound); the unknown class is calibrated by a
+templates below set among background lines, and on a bounded sample of different background lines (`BACKGROUND_ROWS`, a documented bound); the unknown class is calibrated by a
 threshold that all but `FALSE_SHARE` of further background lines stay under. A predicted family is confirmed where a template of it shares at least 0.8 of its five-word shingles
 with the paragraph. Paragraphs are lines.
 
@@ -118,11 +118,18 @@ def template_table(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(TEMPLATES, "family string, line string").select("family", shingles(tokens(F.col("line"))).alias("template"), tokens(F.col("line")).alias("words"), "line")
 
 
+def background(lines: DataFrame, buckets: int) -> DataFrame:
+    """Different lines, at most one of each digest bucket: the one with the least digest, so a line's repeats give it no better chance. A task shuffles one number for each bucket, and the lines chosen."""
+    digest = F.xxhash64("line")
+    least = lines.groupBy(F.pmod(digest, F.lit(buckets)).alias("bucket")).agg(F.min(digest).alias("digest"))  # `buckets` rows
+    return lines.withColumn("digest", digest).join(F.broadcast(least.select("digest")), "digest", "left_semi").select("line").distinct()
+
+
 def fit(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") -> Model:
     """Trains on templates alone, between background lines and behind them, and on background lines; calibrates on others of these."""
     spark = docs.sparkSession
     lines = docs.select(F.explode(paragraphs(F.col(text_col))).alias("line")).select(F.substring("line", 1, 400).alias("line"))
-    lines = lines.orderBy(F.xxhash64("line"), "line").limit(2 * rows)
+    lines = background(lines, 2 * rows)
     known = F.lower("line").rlike("(?i)licen[sc]e|copyright|spdx|permission is hereby|redistribut")
     sample = stored(lines.filter(~known).withColumn("half", F.pmod(F.xxhash64("line", F.lit(1)), F.lit(2))), "licence-lines")
     few = sample.filter("half = 0").orderBy(F.xxhash64("line")).limit(12)

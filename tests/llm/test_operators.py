@@ -296,3 +296,11 @@ def test_license_anchors_lose_no_line(spark, docs):
     every = licenses.classified(lines, model).filter(F.col("family") != licenses.UNKNOWN).count()
     assert 0 < every == licenses.scanned(docs, model).agg(F.sum("n_licensed")).first()[0]
     assert model.anchors and lines.filter(model.anchored(F.lower("line"))).count() < 0.1 * lines.count()
+
+
+def test_license_background_ignores_repeats(spark):
+    lines = spark.createDataFrame([("the same line again",)] * 4000 + [(f"line number {i}",) for i in range(3000)], "line string")
+    found = [r["line"] for r in licenses.background(lines, 200).collect()]
+    assert len(found) == len(set(found)) == 200
+    assert licenses.background(lines.limit(0), 200).count() == 0
+    assert {r["line"] for r in licenses.background(lines.repartition(7), 200).collect()} == set(found)
