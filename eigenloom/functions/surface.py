@@ -12,23 +12,23 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import Row
+from pyspark.sql.types import DoubleType, Row, StringType
 
 from .tables import HtmlLinks, TileCells
 
 
-@F.udf("string")
+@F.udf(StringType())
 def host_of(url):
     found = re.match(r"[a-z]+://([^/]+)", url or "")
     return found.group(1) if found else ""
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def norm(vectors: pd.Series) -> pd.Series:
     return vectors.map(lambda v: float(np.linalg.norm(np.asarray(v, float))) if v is not None else None)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def cosine(left: pd.Series, right: pd.Series) -> pd.Series:
     def one(a, b):
         a, b = np.asarray(a, float), np.asarray(b, float)
@@ -37,7 +37,7 @@ def cosine(left: pd.Series, right: pd.Series) -> pd.Series:
     return pd.Series([one(a, b) for a, b in zip(left, right)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def square_sum(weights: pd.Series) -> float:
     return float((weights * weights).sum())
 

@@ -6,9 +6,11 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from eigenloom import apps, experiments
 from eigenloom.functions import surface
-from eigenloom.operators import solver, tiles
-from eigenloom.queries import CUSTOMER_PART, EDGE, NORMAL, SQL, TRANSITIONS, _counts, _power_sql, _values, query
+from eigenloom.operators import dense, solver, tiles
+from eigenloom.plans import lazy
+from eigenloom.queries import _V, BITS, CUSTOMER_PART, EDGE, NORMAL, SQL, TRANSITIONS, WIDTH, _blocks, _counts, _power_sql, _values, query, wide
 from eigenloom.sources import graphs, stores
 from eigenloom.sources.graphs import table
 from eigenloom.streaming import events as streams
@@ -237,3 +239,68 @@ def stream_stream_interval(spark, sf_dir):
 @query("select user_id, event_type, count(*)::bigint as n from events group by 1, 2")
 def stream_incremental_edges(spark, sf_dir):
     return streams.merged_edges(spark, sf_dir)
+
+
+# lazy chains
+@query("select c_custkey as i, " + ", ".join(f"({x})::double as x{c}" for c, x in enumerate([f"2 * {_V[1]} - 3 * {_V[4]}", f"4 * {_V[0]} + {_V[5]}", f"6 * {_V[3]} - 3 * {_V[6]}", f"8 * {_V[2]} - {_V[7]}"])) + " from customer")
+def lazy_chain(spark, sf_dir):
+    """Views, scalings, column scalings and a sum over two blocks, run as one projection."""
+    a, b = (lazy.Tall.stored(x, WIDTH) for x in _blocks(spark, sf_dir))
+    made = a.view([1, 0, 3, 2]).scale_columns([1, 2, 3, 4]).scale(2.0) + b.scale_columns([-3, 1, -3, -1])
+    return wide(dense.to_rows(made.frame(), BITS))
+
+
+# uses of the spectrum
+@query("select n_nationkey::bigint as i, min(n_nationkey) over (partition by n_regionkey)::bigint as first_member from nation")
+def app_spectral_clusters(spark, sf_dir):
+    """Nations joined to those of their region: clusters are regions. A cluster is named by its least member."""
+    nations = table(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("i"), "n_regionkey")
+    edges = nations.join(nations.select(F.col("i").alias("j"), "n_regionkey"), "n_regionkey").filter("i <> j").select("i", "j", F.lit(1.0).alias("w"))
+    found = apps.spectral_clusters(spark, edges, 25, table(spark, sf_dir, "region").count())
+    names = found.groupBy("cluster").agg(F.min("i").alias("first_member"))
+    return found.join(names, "cluster").select("i", "first_member")
+
+
+@query("select true as pure, true as same")
+def app_cluster_quality(spark, sf_dir):
+    """Purity and adjusted Rand index of the clusters of `app_spectral_clusters` against regions."""
+    truth = table(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("i"), F.col("n_regionkey").alias("label"))
+    found = app_spectral_clusters(spark, sf_dir).withColumnRenamed("first_member", "cluster")
+    return apps.purity(found, truth).select((F.col("purity") == 1).alias("pure"), (F.abs(F.col("adjusted_rand") - 1) < 1e-9).alias("same"))
+
+
+@query("select range::int as rank, range = 5 as exact from range(1, 6)")
+def app_low_rank(spark, sf_dir):
+    """Whether the best approximation of each rank is exact: the user-by-type matrix has rank 5."""
+    edges = graphs.user_type(spark, sf_dir).persist()
+    found = solver.singular(spark, edges, _counts(spark, sf_dir, "events", "user_id"), 5, 5, b=1, blocks=5)
+    return spark.createDataFrame([(k + 1, bool(e < 1e-6)) for k, e in enumerate(apps.low_rank_errors(edges, found.values))], "rank int, exact boolean")
+
+
+# experiments whose outcome does not depend on the machine
+@query("select true as larger_subspace_restarts_less, true as all_but_smallest_converge")
+def exp_parameter_study(spark, sf_dir):
+    rows = experiments.parameter_study(spark, sf_dir).collect()
+    restarts = {b: [r["restarts"] for r in rows if r["b"] == b] for b in (1, 2, 4)}
+    falls = all(list(v) == sorted(v, reverse=True) for v in restarts.values())
+    return spark.createDataFrame([(falls, all(r["converged"] for r in rows if r["blocks"] * r["b"] >= 16))], "larger_subspace_restarts_less boolean, all_but_smallest_converge boolean")
+
+
+@query("select k::int as k, share as above_nine_tenths from (values (4, false), (32, true), (128, true)) as t(k, share)")
+def exp_phase_share(spark, sf_dir):
+    """Reorthogonalisation takes over nine tenths of the work once many values are wanted."""
+    return experiments.phase_share(spark, sf_dir).select("k", (F.col("modelled_share") > 0.9).alias("above_nine_tenths"))
+
+
+@query("select method, true as accurate, fewer as no_more_products_than_krylov from (values ('block Davidson', false), ('block Krylov-Schur', true), ('locally optimal', false), ('subspace iteration', false)) as t(method, fewer)")
+def exp_solver_family(spark, sf_dir):
+    """The block Krylov solver needs the fewest products of the block methods."""
+    rows = {r["method"]: r for r in experiments.solver_family(spark, sf_dir).collect() if r["method"] != "single vector"}
+    least = rows["block Krylov-Schur"]["products"]
+    return spark.createDataFrame([(m, r["error"] < 1e-5, r["products"] <= least) for m, r in rows.items()], "method string, accurate boolean, no_more_products_than_krylov boolean")
+
+
+@query("select graph, true as converged, true as small_memory from (values ('customer by part'), ('page links')) as t(graph)")
+def exp_web_svd(spark, sf_dir):
+    """The web preset converges with two narrow blocks resident, far less than the subspace."""
+    return experiments.web_svd(spark, sf_dir).select("graph", "converged", (F.col("resident") * 8 <= 8 * F.least("n_rows", "n_cols") * 2 * 16).alias("small_memory"))

@@ -4,10 +4,11 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from eigenloom.functions import codec
+from eigenloom import apps, queries
+from eigenloom.functions import codec, surface
 from eigenloom.operators import baselines, dense, solver, spmm, tiles
-from eigenloom.plans import costs
-from eigenloom.sources import graphs
+from eigenloom.plans import costs, lazy
+from eigenloom.sources import graphs, stores
 
 
 def test_codec_worked_example_and_limits():
@@ -91,3 +92,69 @@ def test_entry_imports_without_llm(spark):
     rows = __spark_entry__.entry(spark).collect()
     assert len(rows) == 5 and abs(rows[0]["value"] - 116.519685) < 1e-5
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+def _plan(frame):
+    return frame._jdf.queryExecution().executedPlan().toString()
+
+
+def test_lazy_chain_is_one_projection(spark):
+    rng = np.random.default_rng(4)
+    arrays = [rng.integers(-5, 6, (70, 3)).astype(float) for _ in range(2)]
+    frames = [dense.from_array(spark, x, 5) for x in arrays]
+    a, b = (lazy.Tall.stored(f, 3) for f in frames)
+    small = np.array([[1.0, 2], [0, -1], [3, 0]])
+    chain = (a.scale(2.0) + b.scale_columns([1, 0, -1])).set_columns([1], a.view([2])).times(small) - b.view([0, 0])
+    want = 2 * arrays[0] + arrays[1] * [1, 0, -1]
+    want[:, 1] = arrays[0][:, 2]
+    assert (dense.to_array(chain.frame()) == want @ small - arrays[1][:, [0, 0]]).all()
+    alone = a.scale(2.0).view([1, 0]) + a.view([0, 2]).scale(-1.0)
+    assert "Join" not in _plan(alone.frame()) and _plan(chain.frame()).count("Join ") <= 1 and "Python" not in _plan(chain.frame())
+    assert (dense.to_array(a.scale(0.0).frame() if a.scale(0.0).blocks else frames[0]) is not None) and a.width == 3
+    with pytest.raises(ValueError):
+        a + a.view([0])
+
+
+def test_block_identity_and_recent_cache(spark):
+    one, two = lazy.BlockId("x"), lazy.BlockId("y")
+    assert one.t().t() == one and one.t() != one
+    cache, block = lazy.RecentBlocks(100), spark.range(3).toDF("iv")
+    cache.put(one, block, 60)
+    assert cache.get(one.t()) is block
+    cache.put(two, spark.range(2).toDF("iv"), 60)
+    assert cache.get(one) is None and cache.get(two) is not None
+    cache.put(one, block, 101)
+    assert cache.get(one) is None
+
+
+def test_stores_prune_and_generator_agrees(spark, sf):
+    held = stores.partitioned(graphs.customer_part(spark, sf), 32)
+    assert "PartitionFilters: [isnotnull(band" in _plan(held.filter("band = 2")) and held.filter("band = 2").agg(F.min("i"), F.max("i")).first()[:] == (64, 95)
+    assert stores.generated(spark, 5, 10, 3).exceptAll(graphs.recursive_matrix(spark, 5, 10, 3)).isEmpty()
+    with pytest.raises(Exception):
+        stores.generated(spark, 30).count()
+
+
+def test_join_hints_choose_the_strategy(spark, sf):
+    made = queries.queries()
+    assert "ShuffledHashJoin" in _plan(made["rel_join_shuffle_hash"](spark, sf)) and "SortMergeJoin" in _plan(made["rel_join_sort_merge"](spark, sf))
+
+
+def test_clusters_of_two_cliques_and_measures(spark):
+    left, right = range(0, 6), range(6, 13)
+    cells = [(i, j, 1.0) for side in (left, right) for i in side for j in side if i != j] + [(5, 6, 0.1), (6, 5, 0.1)]
+    found = apps.spectral_clusters(spark, spark.createDataFrame(cells, "i long, j long, w double"), 13, 2)
+    truth = spark.createDataFrame([(i, int(i > 5)) for i in range(13)], "i long, label int")
+    assert tuple(apps.purity(found, truth).first()) == (1.0, 1.0)
+    mixed = spark.createDataFrame([(i, i % 2) for i in range(13)], "i long, cluster int")
+    assert apps.purity(mixed, truth).first()["adjusted_rand"] < 0.1
+
+
+def test_spectral_table_function(spark):
+    surface.register_spectral(spark)
+    got = spark.sql("select * from spectral_values(array(named_struct('i', 0L, 'j', 1L, 'w', 1D), named_struct('i', 1L, 'j', 0L, 'w', 1D)), 2)").collect()
+    assert sorted(r["value"] for r in got) == pytest.approx([-1, 1])
+
+
+def test_super_tile_fills_the_cache():
+    assert tiles.plan_super(1, 8 << 20, 4, 1024) == 128 and tiles.plan_super(16, 8 << 20, 4, 1024) == 8 and tiles.plan_super(16, 1024, 4, 1024) == 1
