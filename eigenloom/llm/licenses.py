@@ -1,9 +1,9 @@
 """License scans by a trained paragraph classifier, in DataFrame and ML-pipeline functions only.
 
 A multinomial logistic regression with an L1 share over word uni- and bigrams tells licence families from an unknown class. It is trained on the notice
-templates below set among background lines, and on a bounded sample of different background lines (`BACKGROUND_ROWS`, a documented bound); the unknown class is calibrated by a
-threshold that all but `FALSE_SHARE` of further background lines stay under. A predicted family is confirmed where a template of it shares at least 0.8 of its five-word shingles
-with the paragraph. Paragraphs are lines.
+templates below set among background lines, and on a bounded sample of different background lines (`BACKGROUND_ROWS`, a documented bound on the weights alone); the unknown class is
+calibrated by a threshold that all but `FALSE_SHARE` of all background lines of the table stay under, each read whole: lines that match no template, those with a cue word too. A predicted
+family is confirmed where a template of it shares at least 0.8 of its five-word shingles with the paragraph. Paragraphs are lines.
 
 Only lines with an anchor are scored: the weights of all other features together do not lift any family to the threshold, so this is no approximation.
 Null and empty texts have no paragraphs of any family; repeated rows are told apart by an internal row number; extra columns are ignored.
@@ -24,6 +24,8 @@ from .common import SPACE, stored
 
 UNKNOWN = "unknown"
 BACKGROUND_ROWS, FALSE_SHARE, SHINGLE, CONFIRM = 1500, 0.001, 5, 0.8
+#: The threshold is at least LOWEST; it is read off a histogram of log-odds in steps of 1 / STEPS, up to MOST, where probabilities come near the precision of doubles.
+LOWEST, STEPS, MOST = 0.5, 1000, 27.0
 #: Public licence notices by family.
 TEMPLATES = [
     ("apache", "Licensed under the Apache License, Version 2.0."),
@@ -79,10 +81,11 @@ def paragraphs(text: Column) -> Column:
 
 
 class Model:
-    """Weights (feature, family -> weight relative to unknown), intercepts and the calibrated threshold."""
+    """Weights (feature, family -> weight relative to unknown), intercepts and the calibrated threshold; false_share is the share of background lines that reach it, None before calibration."""
 
     def __init__(self, weights: dict[str, dict[str, float]], intercepts: dict[str, float], threshold: float, frequent: dict[str, int] | None = None):
         self.weights, self.intercepts, self.threshold, self.frequent = weights, intercepts, threshold, frequent or {}
+        self.false_share: float | None = None
 
     @property
     def anchors(self) -> list[list[str]]:
@@ -125,18 +128,18 @@ def background(lines: DataFrame, buckets: int) -> DataFrame:
     return lines.withColumn("digest", digest).join(F.broadcast(least.select("digest")), "digest", "left_semi").select("line").distinct()
 
 
-def fit(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") -> Model:
-    """Trains on templates alone, between background lines and behind them, and on background lines; calibrates on others of these."""
-    spark = docs.sparkSession
+def train(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") -> Model:
+    """Weights from templates alone, between background lines and behind them, and from background lines; its threshold is LOWEST, not yet calibrated."""
     lines = docs.select(F.explode(paragraphs(F.col(text_col))).alias("line")).select(F.substring("line", 1, 400).alias("line"))
     lines = background(lines, 2 * rows)
     known = F.lower("line").rlike("(?i)licen[sc]e|copyright|spdx|permission is hereby|redistribut")
-    sample = stored(lines.filter(~known).withColumn("half", F.pmod(F.xxhash64("line", F.lit(1)), F.lit(2))), "licence-lines")
-    few = sample.filter("half = 0").orderBy(F.xxhash64("line")).limit(12)
+    sample = stored(lines.filter(~known & (F.pmod(F.xxhash64("line", F.lit(1)), F.lit(2)) == 0)), "licence-lines")
+    spark = docs.sparkSession
+    few = sample.orderBy(F.xxhash64("line")).limit(12)
     made = template_table(spark).select("family", "line").crossJoin(few.select(F.col("line").alias("other")))  # a fixed number of templates by twelve lines
     positive = template_table(spark).select("family", "line").unionByName(made.select("family", F.concat_ws(" ", "line", F.substring("other", 1, 60)).alias("line")))
     positive = positive.unionByName(made.select("family", F.concat_ws(" ", F.substring("other", 1, 40), "line").alias("line")))
-    train = positive.unionByName(sample.filter("half = 0").select(F.lit(UNKNOWN).alias("family"), "line")).select("family", grams(tokens(F.col("line"))).alias("grams"))
+    train = positive.unionByName(sample.select(F.lit(UNKNOWN).alias("family"), "line")).select("family", grams(tokens(F.col("line"))).alias("grams"))
     steps = [StringIndexer(inputCol="family", outputCol="label", stringOrderType="alphabetAsc"), CountVectorizer(inputCol="grams", outputCol="features", binary=True, minDF=3.0, vocabSize=1 << 14)]
     fitted = Pipeline(stages=[*steps, LogisticRegression(family="multinomial", regParam=0.0005, elasticNetParam=0.5, maxIter=25, standardization=False)]).fit(stored(train, "licence-train").coalesce(1))
     families, words, best = fitted.stages[0].labels, fitted.stages[1].vocabulary, fitted.stages[2]
@@ -147,17 +150,41 @@ def fit(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") ->
     shift = {f: float(bias[k] - (bias[zero] if zero is not None else 0)) for k, f in enumerate(families) if k != zero}
     low, lifting = F.lower("line"), sorted(w for w, by in weights.items() if max(by.values()) > 0)
     holds = [reduce(Column.__and__, [low.contains(x) for x in w.split(" ")]) for w in lifting]
-    seen = sample.filter("half = 0").agg(*(F.count_if(h).alias(str(k)) for k, h in enumerate(holds))).first() if lifting else []
-    frequent = dict(zip(lifting, seen))
-    model = Model(weights, shift, 0.5, frequent)
-    rest = classified(sample.filter("half = 1").select(F.monotonically_increasing_id().alias("row"), F.lit(0).alias("place"), "line"), model)
-    high = rest.agg(F.expr(f"percentile(probability, {1 - FALSE_SHARE})")).first()[0] if weights else None
-    model.threshold = min(0.95, max(0.5, high or 0.5))
+    seen = sample.agg(*(F.count_if(h).alias(str(k)) for k, h in enumerate(holds))).first() if lifting else []
+    return Model(weights, shift, LOWEST, dict(zip(lifting, seen)))
+
+
+def calibrate(model: Model, told: DataFrame, n_lines: int) -> Model:
+    """Sets the least threshold that at most FALSE_SHARE of the background lines reach, or the highest there is, and false_share.
+
+    told: the scored lines of the whole table, of n_lines, with probability and known. Lines left out have less than LOWEST and count as background; so does a line that matches a
+    template and still has less, which can only enlarge the number that the share is taken of.
+    """
+    odds = F.ln(F.col("probability") / (1 - F.col("probability")))
+    at = F.floor(F.least(F.when(F.col("probability") < 1, odds).otherwise(MOST), F.lit(MOST)) * STEPS).cast("long")
+    counts = told.filter(F.col("probability") >= LOWEST).groupBy(F.when(F.col("known"), -1).otherwise(at).alias("at")).agg(F.count(F.lit(1)).alias("n")).collect()  # at most MOST * STEPS + 2 rows
+    bins = {r["at"]: r["n"] for r in counts}
+    total, over, top = n_lines - bins.pop(-1, 0), 0, int(MOST * STEPS)
+    start = top + 1  # the threshold is the lower edge of the bin `start`
+    while start > 0 and over + bins.get(start - 1, 0) <= FALSE_SHARE * total:
+        start -= 1
+        over += bins.get(start, 0)
+    if start > top:  # too many lines at the top of the histogram: no threshold reaches the share
+        start, over = top, bins.get(top, 0)
+    model.threshold = max(LOWEST, 1 / (1 + math.exp(-start / STEPS)))
+    model.false_share = over / total if total else 0.0
     return model
 
 
+def fit(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") -> Model:
+    """Trains on a bounded sample and calibrates on all lines of docs."""
+    model = train(docs, rows, text_col)
+    counted, told = scored(docs, model, text_col=text_col)
+    return calibrate(model, told, counted.agg(F.sum("n_paragraphs")).first()[0] or 0)
+
+
 def classified(lines: DataFrame, model: Model) -> DataFrame:
-    """(row, place, line) -> with family (or unknown), probability of the likeliest family, and confirmed."""
+    """(row, place, line) -> with family (or unknown), probability of the likeliest family, confirmed, and known: whether it matches a template of any family."""
     spark = lines.sparkSession
     families = sorted(model.intercepts)
     features = lines.select("row", "place", "line", F.explode(grams(tokens(F.col("line")))).alias("feature"))
@@ -168,20 +195,30 @@ def classified(lines: DataFrame, model: Model) -> DataFrame:
     told = valued.select("row", "place", "line", F.array_max("values").alias("best"), total.alias("total")).select("row", "place", "line", "best.family", (F.col("best.value") / F.col("total")).alias("probability"))
     told = told.withColumn("family", F.when(F.col("probability") >= model.threshold, F.col("family")).otherwise(UNKNOWN))
     own = told.withColumn("_own", F.when(F.col("family") != UNKNOWN, shingles(tokens(F.col("line")))))
-    templates = template_table(spark).groupBy("family").agg(F.collect_list("template").alias("templates"))  # as many as TEMPLATES
-    paired = own.join(F.broadcast(templates), "family", "left")
-    share = F.exists("templates", lambda t: F.size(F.array_intersect(t, F.col("_own"))) >= CONFIRM * F.size(t))
-    return paired.select("row", "place", "line", "family", "probability", F.coalesce(share, F.lit(False)).alias("confirmed"))
+    templates = template_table(spark).agg(F.collect_list(F.struct("family", "template")).alias("templates"))  # one row, as many as TEMPLATES
+    paired = own.crossJoin(F.broadcast(templates))
+    met = F.filter("templates", lambda t: F.size(F.array_intersect(t["template"], F.col("_own"))) >= CONFIRM * F.size(t["template"]))
+    paired = paired.withColumn("_met", F.when(F.col("_own").isNotNull(), F.transform(met, lambda t: t["family"])).otherwise(F.array().cast("array<string>")))
+    return paired.select("row", "place", "line", "family", "probability", F.array_contains("_met", F.col("family")).alias("confirmed"), (F.size("_met") > 0).alias("known"))
 
 
-def scanned(docs: DataFrame, model: Model | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per row of docs: doc_id, n_paragraphs, n_licensed, families, confirmed_families (sorted, comma-joined), probability (of the surest line)."""
-    model = model or fit(docs, text_col=text_col)
+def scored(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """Stored (doc_id, row, n_paragraphs), one row per row of docs, and the lines that reach the model's threshold as `classified` gives them, without their text."""
     found = paragraphs(F.col(text_col))
     some = F.when(model.anchored(F.col("low")), F.filter("lines", lambda x: F.exists(F.array(F.lower(x)), model.anchored)))
     rows = docs.select(F.col(id_col).alias("doc_id"), F.monotonically_increasing_id().alias("row"), found.alias("lines"), F.lower(F.col(text_col)).alias("low"))
     rows = stored(rows.select("doc_id", "row", F.size("lines").cast("long").alias("n_paragraphs"), some.alias("cued")), "licence-rows")
-    told = classified(rows.select("row", F.posexplode("cued").alias("place", "line")), model).filter(F.col("family") != UNKNOWN)
+    told = classified(rows.select("row", F.posexplode("cued").alias("place", "line")), model).filter(F.col("family") != UNKNOWN).drop("line")
+    return rows.drop("cued"), stored(told, "licence-told")
+
+
+def scanned(docs: DataFrame, model: Model | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per row of docs: doc_id, n_paragraphs, n_licensed, families, confirmed_families (sorted, comma-joined), probability (of the surest line)."""
+    given, model = model, model or train(docs, text_col=text_col)
+    rows, told = scored(docs, model, id_col, text_col)
+    if given is None:
+        calibrate(model, told, rows.agg(F.sum("n_paragraphs")).first()[0] or 0)
+        told = told.filter(F.col("probability") >= model.threshold)
     by_row = told.groupBy("row").agg(F.count(F.lit(1)).alias("n_licensed"), F.array_join(F.sort_array(F.collect_set("family")), ",").alias("families"), F.array_join(F.sort_array(F.collect_set(F.when(F.col("confirmed"), F.col("family")))), ",").alias("confirmed_families"), F.max("probability").alias("probability"))
-    out = rows.drop("cued").join(by_row, "row", "left")
+    out = rows.join(by_row, "row", "left")
     return out.select("doc_id", "n_paragraphs", F.coalesce("n_licensed", F.lit(0)).cast("long").alias("n_licensed"), F.coalesce("families", F.lit("")).alias("families"), F.coalesce("confirmed_families", F.lit("")).alias("confirmed_families"), F.round(F.coalesce("probability", F.lit(0.0)), 4).alias("probability"))

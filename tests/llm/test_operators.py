@@ -304,3 +304,22 @@ def test_license_background_ignores_repeats(spark):
     assert len(found) == len(set(found)) == 200
     assert licenses.background(lines.limit(0), 200).count() == 0
     assert {r["line"] for r in licenses.background(lines.repartition(7), 200).collect()} == set(found)
+
+
+def test_license_threshold_holds_over_whole_cue_lines(spark):
+    plain = [f"chapter {i} tells of river {i * 7 % 1009} and hill {i * 13 % 1013}" for i in range(4000)]
+    cue = [f"{'the road goes on and on ' * 20} note {i} says the mit license and the public license of this version were released under copyright" for i in range(60)]
+    docs = spark.createDataFrame([(k, "\n".join((plain + cue)[k::100])) for k in range(100)] + [(100, "Released under the MIT License.")], "doc_id long, text string")
+    rows = {r["doc_id"]: r for r in licenses.scanned(docs).collect()}
+    assert sum(r["n_licensed"] for k, r in rows.items() if k < 100) <= licenses.FALSE_SHARE * (len(plain) + len(cue))
+    assert licenses.fit(docs).false_share <= licenses.FALSE_SHARE
+
+
+def test_license_threshold_is_read_off_all_lines(spark):
+    told = lambda ps: spark.createDataFrame([(p, k) for p, k in ps], "probability double, known boolean")
+    model = licenses.calibrate(licenses.Model({}, {}, 0.5), told([(0.9, False)] * 3 + [(0.7, False), (0.999, True)]), 1001)
+    assert 0.9 < model.threshold < 0.91 and model.false_share == 0.0
+    model = licenses.calibrate(licenses.Model({}, {}, 0.5), told([(0.99, False), (0.7, False)]), 1000)
+    assert 0.7 < model.threshold < 0.71 and model.false_share == 0.001
+    model = licenses.calibrate(licenses.Model({}, {}, 0.5), told([(1.0, False)] * 5), 100)
+    assert model.threshold < 1 and model.false_share == 0.05
