@@ -3,7 +3,7 @@
 `build_index` stores the postings (row, position, term) of a query vocabulary over whole texts. Each query window takes its rarest
 terms by collection frequency; their postings, shifted by the term's offset, are intersected into candidate starts,
 and the survivors are matched against the postings of all their other terms. So common words never meet all windows that hold them.
-`phrase_hits` returns exact matches; `proximity_hits` all rows holding the rarest terms of a window within a distance.
+`phrase_hits` returns exact matches; `proximity_hits` all rows holding the rarest terms of a window, of those that occur, within a distance.
 
 Words are runs of ASCII digits, ASCII letters (lower-cased) and non-ASCII characters. Null or empty texts have no words and no hits. Repeated rows are
 told apart by an internal row number; null item ids and items without words are ignored; repeated items count once; extra columns are ignored.
@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from .common import ascii_lower, stored
 
 WORD_GAP = "[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+"
-WIDTH, RAREST = 10, 3
+WIDTH, RAREST, DISTANCE = 10, 3, 20
 
 
 def words_of(text: Column) -> Column:
@@ -77,14 +77,55 @@ def phrase_hits(index: DataFrame, windows: DataFrame, rarest: int = RAREST) -> D
     return full.unionByName(near.filter("n_terms = need").drop("need"))
 
 
-def proximity_hits(index: DataFrame, windows: DataFrame, distance: int = 20, rarest: int = RAREST) -> DataFrame:
-    """(row, window, begin, end): rows where all rarest terms of a window occur within `distance` words; the tightest span that ends at each occurrence."""
-    probes = rarest_terms(index, windows, rarest)
-    found = index.filter("term is not null").join(probes.select("window", "need", "term").distinct(), "term").select("row", "window", "need", "term", "pos").distinct()
-    within = Window.partitionBy("row", "window").orderBy("pos").rangeBetween(-distance, 0)
-    kinds = probes.groupBy("window").agg(F.countDistinct("term").alias("kinds"))
-    seen = found.withColumns({"terms": F.size(F.collect_set("term").over(within)), "begin": F.min("pos").over(within)})
-    return seen.join(kinds, "window").filter("terms = kinds").select("row", "window", "begin", F.col("pos").alias("end"))
+def proximity_terms(index: DataFrame, windows: DataFrame, rarest: int = RAREST) -> DataFrame:
+    """(window, rank, need, term): of each window the rarest of its different terms that occur, by rank from 1. A window of which fewer than `rarest` occur has none, unless all of it are fewer."""
+    frequency = index.filter("term is not null").groupBy("term").agg(F.count(F.lit(1)).alias("frequency"))
+    terms = windows.select("window", F.least(F.lit(rarest), F.size(F.array_distinct("words"))).alias("need"), F.explode(F.array_distinct("words")).alias("term")).join(frequency, "term")
+    lists = terms.groupBy("window", "need").agg(F.sort_array(F.collect_list(F.struct("frequency", "term"))).alias("terms")).filter(F.size("terms") >= F.col("need"))
+    return lists.select("window", "need", F.posexplode(F.slice("terms", F.lit(1), F.col("need"))).alias("rank", "one")).select("window", (F.col("rank") + 1).alias("rank"), "need", F.col("one.term").alias("term"))
+
+
+def _ranked(positions: str, rank: int) -> Column:
+    return F.transform(positions, lambda p: F.struct(p.alias("pos"), F.lit(rank).alias("rank")))
+
+
+def proximity_hits(index: DataFrame, windows: DataFrame, distance: int = DISTANCE, rarest: int = RAREST) -> DataFrame:
+    """(row, window, begin, end): rows where all rarest terms of a window, among those that occur, lie within `distance` words; the tightest span that ends at each occurrence.
+
+    Rows are found by the rarest term; the next ones are looked up in the rows still left only, so the commoner terms never meet all windows that hold them.
+    """
+    probes = stored(proximity_terms(index, windows, rarest), "near-probes")
+    held = _only(index.filter("term is not null"), probes.select("term").distinct(), "term")
+    held = stored(held.groupBy("row", "term").agg(F.collect_list("pos").alias("at")), "near-postings")
+    left = held.join(probes.filter("rank = 1"), "term").select("row", "window", "need", _ranked("at", 1).alias("seen"))
+    found = None
+    for rank in range(2, rarest + 1):
+        whole = left.filter(F.col("need") == rank - 1).select("row", "window", "need", "seen")
+        found = whole if found is None else found.unionByName(whole)
+        asked = left.join(probes.filter(F.col("rank") == rank).select("window", "term"), "window")
+        near = lambda p: F.exists("seen", lambda q: F.abs(q["pos"] - p) <= distance)
+        met = asked.join(held, ["row", "term"]).withColumn("at", F.filter("at", near)).filter(F.size("at") > 0)
+        left = met.select("row", "window", "need", F.concat("seen", _ranked("at", rank)).alias("seen"))
+        left = stored(left, "near-left")
+    last = left.filter(F.col("need") == rarest).select("row", "window", "need", "seen")
+    found = (last if found is None else found.unionByName(last)).select("row", "window", "need", F.inline("seen"))
+    before = Window.partitionBy("row", "window").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
+    latest = F.array(*(F.max(F.when(F.col("rank") == k, F.col("pos"))).over(before) for k in range(1, rarest + 1)))
+    spans = found.withColumn("latest", F.array_compact(latest)).filter(F.size("latest") == F.col("need"))
+    spans = spans.select("row", "window", F.array_min("latest").alias("begin"), F.col("pos").alias("end"))
+    return spans.filter(F.col("end") - F.col("begin") <= distance)
+
+
+def proximate(docs: DataFrame, items: DataFrame, width: int = WIDTH, id_col: str = "doc_id", text_col: str = "text", distance: int = DISTANCE, rarest: int = RAREST) -> DataFrame:
+    """One row per row of docs: doc_id, n_near (windows matched by proximity), n_near_items, near_items (sorted strings)."""
+    windows, owners = query_windows(items, width)
+    vocabulary = stored(windows.select(F.explode("words").alias("term")).distinct(), "vocabulary")
+    index = build_index(docs, vocabulary, id_col, text_col)
+    hits = stored(proximity_hits(index, windows, distance, rarest).select("row", "window").distinct(), "near-hits")
+    counted = hits.groupBy("row").agg(F.count(F.lit(1)).alias("n_near"))
+    named = hits.join(owners, "window").select("row", F.col("item_id").cast("string").alias("item")).distinct().groupBy("row").agg(F.sort_array(F.collect_list("item")).alias("items"))
+    out = index.filter("pos = 0 or pos is null").select("row", "doc_id").join(counted.join(named, "row"), "row", "left")
+    return out.select("doc_id", F.coalesce("n_near", F.lit(0)).cast("long").alias("n_near"), F.coalesce(F.size("items"), F.lit(0)).cast("long").alias("n_near_items"), F.coalesce("items", F.array().cast("array<string>")).alias("near_items"))
 
 
 def contamination(docs: DataFrame, items: DataFrame, width: int = WIDTH, id_col: str = "doc_id", text_col: str = "text", rarest: int = RAREST) -> DataFrame:

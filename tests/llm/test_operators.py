@@ -323,3 +323,31 @@ def test_license_threshold_is_read_off_all_lines(spark):
     assert 0.7 < model.threshold < 0.71 and model.false_share == 0.001
     model = licenses.calibrate(licenses.Model({}, {}, 0.5), told([(1.0, False)] * 5), 100)
     assert model.threshold < 1 and model.false_share == 0.05
+
+
+def brute_near(texts: dict, items: dict, distance: int) -> dict:
+    words = {k: re.findall(r"[a-z0-9]+", t.lower()) for k, t in texts.items()}
+    counts, out = Counter(w for ws in words.values() for w in ws), defaultdict(set)
+    for item, t in items.items():
+        ws = re.findall(r"[a-z0-9]+", t.lower())
+        for i in range(max(1, len(ws) - 9)):
+            own = set(ws[i : i + 10])
+            asked = sorted((w for w in own if counts[w]), key=lambda w: (counts[w], w))[:3]
+            for k, d in words.items():
+                if len(asked) == min(3, len(own)) and any(set(asked) <= set(d[p : p + distance + 1]) for p in range(len(d))):
+                    out[k].add(str(item))
+    return out
+
+
+def test_proximity_finds_a_passage_with_one_word_changed(spark):
+    passage = "one two three four five six seven eight nine ten eleven twelve"
+    texts = {1: f"so {passage.replace('six', 'changed')} end", 2: "one two and then nothing", 3: "", 4: f"twelve {'pad ' * 30} one {'pad ' * 30} two"}
+    rng = np.random.default_rng(5)
+    texts |= {k: " ".join(f"w{x}" for x in rng.integers(0, 40, 120)) for k in range(5, 25)}
+    items = {7: passage, 8: "solo", 9: " ".join(f"w{x}" for x in rng.integers(0, 40, 14)) + " neverseen", 10: "w1 w1 w2"}
+    docs, bench = spark.createDataFrame(list(texts.items()), "doc_id long, text string"), spark.createDataFrame(list(items.items()), "item_id long, text string")
+    assert decontaminate.contamination(docs, bench).filter("doc_id = 1").first()["n_hit"] == 0
+    want = brute_near(texts, items, decontaminate.DISTANCE)
+    rows = {r["doc_id"]: r for r in decontaminate.proximate(docs, bench).collect()}
+    assert {k: set(r["near_items"]) for k, r in rows.items()} == {k: want[k] for k in texts}
+    assert rows[1]["near_items"] == ["7"] and rows[1]["n_near"] == 3 and rows[4]["n_near"] == 0
