@@ -1,7 +1,7 @@
 """Secret scans: three base patterns and an assignment-aware lexer.
 
-The lexer reads name-literal pairs of source and configuration syntax (`name = "x"`, `name: x`, `"name": "x"`, `NAME=x`, `name := x`, `name => x`),
-propagates constants through plain references and `+` joins within a document, and scores each literal by how sensitive its target name is and
+The lexer reads name-literal pairs of source and configuration syntax (`name = "x"`, `name: x`, `"name": "x"`, `NAME=x`, `name := x`, `name => x`, `name: type = "x"`,
+`map["name"] = "x"`; quotes may hold escaped characters, names are of any length), propagates constants through plain references and `+` joins within a document, and scores each literal by how sensitive its target name is and
 by its make-up. A pair whose score reaches `THRESHOLD` adds a span of kind `lexed` over the literal (or over the constant it refers to). Base spans always stay.
 
 Null texts count as empty; repeated rows are scanned alike; an empty table gives an empty result; extra columns are kept where `redacted` returns documents.
@@ -22,11 +22,17 @@ ASSIGN = re.compile(r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]
 ACCESS = re.compile(r"AKIA[A-Z0-9]{14,}")
 HEX = re.compile(r"[0-9a-f]{16,}")
 HINTS = ("password", "passwd", "secret", "token", "apikey", "api_key")
+#: A quoted literal with escaped characters, or, where its end would be escaped, up to the next quote.
+_QUOTED = r""""(?:[^"\\\n]|\\.)*+"|'(?:[^'\\\n]|\\.)*+'|`(?:[^`\\\n]|\\.)*+`|"[^"\n]*"|'[^'\n]*'|`[^`\n]*`"""
+_INNER = r"[^\[\]<>\n=]*+"
+_ONE_TYPE = rf"&?(?:'\w++[ ])?[A-Za-z_][\w.]*+(?:[\[<]{_INNER}(?:[\[<]{_INNER}[\]>]{_INNER})*+[\]>])*+"
+#: A type of a declaration, as in `name: str = "x"`; only where a sign and a literal or a sum follow.
+_TYPE = rf"""(?:\??[ \t]*:[ \t]*{_ONE_TYPE}(?:[ \t]*\|[ \t]*{_ONE_TYPE})*+\??(?=[ \t]*=[ \t]*(?:["'`]|[A-Za-z_]\w*[ \t]*\+)))?"""
 PAIR = re.compile(
-    r"""(?<![\w.-])(?P<q>["'`]?)(?P<name>[A-Za-z_][\w.-]{0,80})(?P=q)[ \t]*(?:=>|:=|==?|:)[ \t]*(?P<value>(?:"[^"\n]*"|'[^'\n]*'|`[^`\n]*`|\$?\{?[\w./+=-]+\}?)(?:[ \t]*\+[ \t]*(?:"[^"\n]*"|'[^'\n]*'|[A-Za-z_]\w*))*)""",
+    r"""(?<![\w.-])(?P<q>["'`]?)(?P<name>[A-Za-z_][\w.-]*+)(?P=q)(?:(?<=["'`])[ \t]*\])?""" + _TYPE + r"""[ \t]*(?:=>|:=|==?|:)[ \t]*(?P<value>(?:""" + _QUOTED + r"""|\$?\{?[\w./+=-]+\}?)(?:[ \t]*\+[ \t]*(?:""" + _QUOTED + r"""|[A-Za-z_]\w*))*)""",
     re.ASCII,
 )
-PART = re.compile(r""""[^"\n]*"|'[^'\n]*'|`[^`\n]*`|\$\{?\w+\}?|[\w./+=-]+""", re.ASCII)
+PART = re.compile(_QUOTED + r"""|\$\{?\w+\}?|[\w./+=-]+""", re.ASCII)
 #: Weights of name parts.
 NAME_WEIGHTS = {"password": 3, "passwd": 3, "pwd": 3, "secret": 3, "token": 2.5, "apikey": 3, "api": 1, "key": 1.5, "private": 2, "credential": 3, "credentials": 3, "auth": 1.5, "access": 1, "passphrase": 3, "signature": 1, "bearer": 2}
 PLACEHOLDERS = re.compile(r"(?i)^(x+|\*+|\.+|none|null|true|false|changeme|change_me|example.*|your.*|test|todo|password|secret|token|<.*>|\$\{.*\})$")

@@ -351,3 +351,21 @@ def test_proximity_finds_a_passage_with_one_word_changed(spark):
     rows = {r["doc_id"]: r for r in decontaminate.proximate(docs, bench).collect()}
     assert {k: set(r["near_items"]) for k, r in rows.items()} == {k: want[k] for k in texts}
     assert rows[1]["near_items"] == ["7"] and rows[1]["n_near"] == 3 and rows[4]["n_near"] == 0
+
+
+@pytest.mark.parametrize(
+    "code, want",
+    [
+        (f'app.{"long." * 30}password = "q1W2e3R4t5Y6"', ["q1W2e3R4t5Y6"]),
+        ('password: str = "q1W2e3R4t5Y6"', ["q1W2e3R4t5Y6"]),
+        ('const token: string = "q1W2e3R4t5Y6"', ["q1W2e3R4t5Y6"]),
+        ('api_key: Optional[dict[str, str]] | None = "q1W2e3R4t5Y6"', ["q1W2e3R4t5Y6"]),
+        ('base = "Zx9-QwErTy"\nsecret: str = base + "77aB!"', ["Zx9-QwErTy", "77aB!"]),
+        ('os.environ["DB_PASSWORD"] = "q1W2e3R4t5Y6"', ["q1W2e3R4t5Y6"]),
+        (r'password = "q1W2\"e3R4t5Y6"', [r"q1W2\"e3R4t5Y6"]),
+        (r"password = 'q1W2e3R4t5Y6\'", ["q1W2e3R4t5Y6\\"]),
+        ("password: q1W2e3R4t5Y6", ["q1W2e3R4t5Y6"]),
+    ],
+)
+def test_secrets_lexer_reads_declarations_subscripts_and_escapes(code, want):
+    assert [code[s:e] for s, e, k in secrets.scan(code) if k == 3] == want
