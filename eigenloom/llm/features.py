@@ -38,5 +38,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, columns: list[str], rows
     graded = graded.groupBy("doc_id").agg(*(F.max(c).alias(c) for c in columns)).dropna()
     chosen = graded.orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id").limit(rows)
     texts = docs.select("doc_id", "text").filter(F.col("text").isNotNull() & (F.length("text") <= longest))
-    got = texts.join(F.broadcast(chosen), "doc_id").collect()  # `rows` ids bound the broadcast, `rows` x `longest` characters the collect
+    got = texts.join(F.broadcast(chosen), "doc_id")  # at most `rows` ids
+    # Repeated ids can bring more rows than ids: only the first `rows` rows of one order, of at most `longest` characters each, reach the driver.
+    got = got.orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id", F.crc32(F.col("text").cast("binary")), "text").limit(rows).collect()
     return sorted(got, key=lambda r: (zlib.crc32(str(r["doc_id"]).encode()), r["doc_id"], r["text"]))

@@ -4,7 +4,8 @@ One vector of weights over hashed text is shared by all grades; ordered threshol
 of shares: hashed words, hashed token shapes, and words that repeat the word before. Trained on a bounded sample, every whole text is scored: expected
 grade and the tail probability of reaching a grade, by which documents are selected.
 
-Null and empty texts have no features and get the grade of the thresholds alone; repeated rows score alike; without ratings everything is kept.
+Null and empty texts have no features and get the grade of the thresholds alone; repeated rows and equal texts score alike; without ratings everything is kept; an empty
+table gives an empty result; texts of any length are scored whole; `selected` passes all columns as they came, `graded` replaces given columns of its results' names.
 """
 
 from __future__ import annotations
@@ -84,7 +85,8 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, longest: in
 
 
 def graded(docs: DataFrame, model: Ordinal, reach: int = 1) -> DataFrame:
-    """docs with expected_grade and tail (the probability of grade >= reach) beside each row."""
+    """docs with expected_grade and tail (the probability of grade >= reach) beside each row; given columns of these names give way."""
+    docs = docs.drop("expected_grade", "tail")
     at = docs.columns.index("text")
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields) + ", expected_grade double, tail double"
     keep = np.flatnonzero(model.w)
@@ -103,5 +105,5 @@ def graded(docs: DataFrame, model: Ordinal, reach: int = 1) -> DataFrame:
 
 def selected(docs: DataFrame, labels: DataFrame, least: float = 0.5, reach: int = 1) -> DataFrame:
     """docs whose tail probability is at least `least`, with the columns of docs."""
-    rows = graded(docs.select(*docs.columns), fit(docs, labels), reach)
-    return rows.filter(F.col("tail") >= least).select(*docs.columns)
+    held = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("given"), "text")
+    return graded(held, fit(docs, labels), reach).filter(F.col("tail") >= least).select(*(F.col(f"given.`{c}`").alias(c) for c in docs.columns))

@@ -2,7 +2,8 @@
 
 Features are presences of hashed words, bigrams and skip-bigrams (one or two words left out). Per-coordinate rates and an L1 penalty leave
 a few thousand weights, which are shipped with the scoring task. Labels are learnt from a bounded sample of rows outside the held-out third; every whole
-text is scored. Null and empty texts get the score of the bias alone; repeated rows are scored alike; without labelled rows all scores are 0.5.
+text is scored, however long. Null and empty texts get the score of the bias alone; repeated rows and equal texts are scored alike; without labelled rows all scores are 0.5;
+an empty table gives an empty result; extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
