@@ -4,7 +4,8 @@ The lexer reads name-literal pairs of source and configuration syntax (`name = "
 `map["name"] = "x"`; quotes may hold escaped characters, names are of any length), propagates constants through plain references and `+` joins within a document, and scores each literal by how sensitive its target name is and
 by its make-up. A pair whose score reaches `THRESHOLD` adds a span of kind `lexed` over the literal (or over the constant it refers to). Base spans always stay.
 
-Null texts count as empty; repeated rows are scanned alike; an empty table gives an empty result; extra columns are kept where `redacted` returns documents.
+Null texts count as empty; repeated rows are scanned alike; spans that tie on their start are ordered by kind; texts of any length are read whole; an empty table gives an
+empty result; extra columns are kept where `redacted` returns documents, whatever their names, and ignored elsewhere.
 """
 
 from __future__ import annotations
@@ -44,11 +45,12 @@ def _entropy(s: str) -> float:
 
 
 def score(name: str, literal: str) -> float:
-    """Sensitivity of the target name plus evidence in the literal; a name without any sensitive part scores zero."""
+    """Sensitivity of the target name plus evidence in the literal; a name without any sensitive part scores zero, and so does a literal that reads as prose: with spaces, but without a digit."""
     parts = [p for p in re.split(r"[_.\W]+|(?<=[a-z])(?=[A-Z])", name) if p]
     joined = re.sub(r"\W|_", "", name).lower()
     named = sum({p.lower(): NAME_WEIGHTS.get(p.lower(), 0) for p in parts}.values()) or max((w for k, w in NAME_WEIGHTS.items() if len(k) > 4 and k in joined), default=0)
-    if not named or len(literal) < 6 or " " in literal or PLACEHOLDERS.match(literal):
+    spaced = " " in literal and not re.search("[0-9]", literal)
+    if not named or len(literal) < 6 or spaced or PLACEHOLDERS.match(literal):
         return 0.0
     kinds = sum(bool(re.search(p, literal)) for p in ("[a-z]", "[A-Z]", "[0-9]", "[^A-Za-z0-9]"))
     return named + (kinds >= 2) * 0.5 + (kinds >= 3) * 0.5 + min(1.5, len(literal) / 16) + max(0.0, _entropy(literal) - 2.5) * 0.5
