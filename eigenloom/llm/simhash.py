@@ -8,8 +8,8 @@ spanning forest of its verified links. Members of larger buckets are hashed agai
 radius 1 and 2 around unmasked fingerprints, where the first radius-1 member of a bucket links to all the others without pair comparison,
 so cost stays linear in the fingerprints and no link is lost.
 
-Nulls and empty texts have fingerprint zero and link like any other; repeated rows share a fingerprint; extra
-columns are ignored; a null id never becomes a component id unless all ids of the component are null.
+Nulls and empty texts have fingerprint zero and link like any other; texts of any length are read whole; repeated rows share a fingerprint, and the least id names a component, so
+there are no ties; extra columns, whatever their names, are ignored; an empty table gives an empty result; a null id never becomes a component id unless all ids of the component are null.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, stored
+from .common import cut, joined_hot, stored
 
 SEED, SHINGLE, RADIUS = 42, 3, 3
 BLOCKS = (0x1FFFFF, 0x1FFFFF << 21, 0x3FFFFF << 42)
@@ -46,14 +46,15 @@ def fingerprint(text: str | None) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp): one row per row of docs; fp holds the unsigned fingerprint in a long."""
+    """(doc_id, fp): one row per row of docs, its id of any type that has an order; fp holds the unsigned fingerprint in a long."""
 
     def run(batches):
         for batch in batches:
             prints = np.array([fingerprint(t) for t in batch.column(1).to_pylist()], np.uint64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prints.view(np.int64), pa.int64())], ["doc_id", "fp"])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, fp long")
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
+    return rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp long")
 
 
 def _flips(mask: int) -> np.ndarray:
@@ -186,16 +187,23 @@ def _links_of_buckets(limit: int):
 
 
 def _links_of_hubs(batches):
-    """Rows sorted by (variant, far, fp): where the first is within distance 1, every other one is within 3 of it."""
-    forest, hub_key, hub, near = _Forest(), None, 0, False
+    """Rows sorted by (variant, far, fp): where the first of a variant is within distance 1, every other one is within 3 of it."""
+    forest, held = _Forest(), None  # the variant that a batch may share with the next one, its first fingerprint, and whether that is near
     for batch in batches:
-        out = []
-        for key, far, fp in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-            if key != hub_key:
-                hub_key, hub, near = key, fp, not far
-            elif near and fp != hub and forest.joins(hub, fp):
-                out.append((hub, fp))
-        yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int64())], ["a", "b"])
+        key, far, fp = batch.column(0).to_numpy(), batch.column(1).to_numpy(zero_copy_only=False), batch.column(2).to_numpy()
+        if not len(key):
+            continue
+        begins = np.concatenate([[0], np.flatnonzero(key[1:] != key[:-1]) + 1])
+        hub, near = fp[begins].copy(), ~far[begins]
+        if held is not None and held[0] == key[0]:
+            hub[0], near[0] = held[1], held[2]
+        held = (key[-1], hub[-1], near[-1])
+        sizes = np.diff(np.concatenate([begins, [len(key)]]))
+        hubs, mine = np.repeat(hub, sizes), np.repeat(near, sizes)
+        some = mine & (hubs != fp)
+        pairs = np.unique(np.stack([hubs[some], fp[some]], axis=1), axis=0)
+        out = np.array([x for x in pairs.tolist() if forest.joins(*x)], np.int64).reshape(-1, 2)
+        yield pa.RecordBatch.from_arrays([pa.array(out[:, 0]), pa.array(out[:, 1])], ["a", "b"])
 
 
 def links(distinct: DataFrame, bucket_limit: int = 2048) -> DataFrame:
@@ -218,7 +226,7 @@ def components(edges: DataFrame) -> DataFrame:
     """
 
     def smallest(e):
-        return e.groupBy("u").agg(F.min("v").alias("m"))
+        return e.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n"))
 
     def mark(e):
         return tuple(e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
@@ -228,9 +236,9 @@ def components(edges: DataFrame) -> DataFrame:
     while (m := mark(now)) != seen and m[0]:
         seen = m
         both = now.union(now.select("v", "u"))
-        large = both.join(smallest(both), "u").filter("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).distinct()
+        large = joined_hot(both, smallest(both), "u").filter("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).distinct()
         low = large.filter("u > v")
-        small = low.join(smallest(low), "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e")).select("e.u", "e.v")
+        small = joined_hot(low, smallest(low), "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e")).select("e.u", "e.v")
         now = cut(small.filter("u > v").distinct())
     found = now.select(F.col("u").alias("node"), F.col("v").alias("root"))
     return found.unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
@@ -239,11 +247,13 @@ def components(edges: DataFrame) -> DataFrame:
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bucket_limit: int = 2048) -> DataFrame:
     """(doc_id, fp, component_id): one row per row of docs."""
     printed = stored(fingerprints(docs, id_col, text_col), "simhash-prints")
-    distinct = stored(printed.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "simhash-distinct")
+    distinct = stored(printed.groupBy("fp").agg(F.min("doc_id").alias("least_id"), F.count(F.lit(1)).alias("n")), "simhash-distinct")
     roots = components(links(distinct, bucket_limit)).withColumnRenamed("node", "fp")
     owned = distinct.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     named = owned.groupBy("root").agg(F.min("least_id").alias("component_id"))
-    return printed.join(owned.select("fp", "root").join(named, "root").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
+    sized = named.join(owned.groupBy("root").agg(F.count(F.lit(1)).alias("n")), "root")
+    owned = joined_hot(owned.select("fp", "root", F.col("n").alias("rows")), sized, "root").select("fp", "component_id", F.col("rows").alias("n"))
+    return joined_hot(printed, stored(owned, "simhash-owned"), "fp").select("doc_id", "fp", "component_id")
 
 
 def hexadecimal(fp):
