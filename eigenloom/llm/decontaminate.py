@@ -1,143 +1,156 @@
 """Benchmark decontamination by a positional inverted index, in DataFrame functions only.
 
-`build_index` stores the postings (row, position, term) of a query vocabulary over whole texts. Each query window takes its rarest
-terms by collection frequency; their postings, shifted by the term's offset, are intersected into candidate starts,
-and the survivors are matched against the postings of all their other terms. So common words never meet all windows that hold them.
-`phrase_hits` returns exact matches; `proximity_hits` all rows holding the rarest terms of a window, of those that occur, within a distance.
-
-Words are runs of ASCII digits, ASCII letters (lower-cased) and non-ASCII characters. Null or empty texts have no words and no hits. Repeated rows are
-told apart by an internal row number; null item ids and items without words are ignored; repeated items count once; extra columns are ignored.
+`build_index` stores the postings (row, pos, term) of all words of whole texts, and beside them each row's words; both tables are bucketed by row, so postings of one
+row meet without an exchange. Each query window takes its rarest terms by collection frequency. Their postings are intersected in stretches of positions: shifted by
+the terms' offsets they give candidate starts, which are compared with the row's words (`phrase_hits`, exact matches); unshifted they give the rows that hold
+all rarest terms within a distance (`proximity_hits`). Words of a window that occur nowhere rule out an exact match only.
+
+Words are runs of ASCII digits, ASCII letters (lower-cased) and non-ASCII characters. Null or empty texts have no words and no hits; texts of any length are indexed whole. Repeated rows are
+told apart by an internal row number; items with a null id hit words but are never named; items without words are ignored; repeated items count once; terms of one frequency
+are ordered by their text; an empty table gives an empty result, an empty benchmark no hits; extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from functools import reduce
+from typing import NamedTuple
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, stored
+from . import common
+from .common import ascii_lower, bucketed, stored
 
 WORD_GAP = "[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+"
 WIDTH, RAREST, DISTANCE = 10, 3, 20
+#: Bytes of text in a bucket of the index, and parts into which the postings of a term are dealt where the query terms are too many to broadcast.
+BUCKET_BYTES, SALTS = 16 << 20, 64
 
 
-def words_of(text: Column) -> Column:
-    return F.filter(F.split(ascii_lower(F.coalesce(text, F.lit(""))), WORD_GAP), lambda w: w != "")
+class Index(NamedTuple):
+    """postings (row, pos, term) and texts (row, doc_id, n_words, words), both bucketed by row."""
 
+    postings: DataFrame
+    texts: DataFrame
+    buckets: int
 
-#: Key tables of at most so many rows are broadcast; the count is checked first, and larger ones are joined by shuffle.
-BROADCAST_ROWS = 500_000
+
+def words_of(text: Column) -> Column:
+    return F.filter(F.split(ascii_lower(F.coalesce(text, F.lit(""))), WORD_GAP), lambda w: w != "")
 
 
-def _only(rows: DataFrame, keys: DataFrame, key: str) -> DataFrame:
-    """The rows whose key is among the distinct keys."""
-    return rows.join(F.broadcast(keys) if keys.count() <= BROADCAST_ROWS else keys, key, "left_semi")
+def _small(rows: DataFrame) -> bool:
+    return rows.count() <= common.BROADCAST_ROWS
 
 
 def query_windows(items: DataFrame, width: int = WIDTH, id_col: str = "item_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """(window, words) of all distinct windows, and (window, item_id)."""
-    words = items.filter(F.col(id_col).isNotNull()).select(F.col(id_col).alias("item_id"), words_of(F.col(text_col)).alias("words")).filter(F.size("words") > 0)
+    """(window, words) of all distinct windows, and (window, item_id); a window of an item without an id has no owner."""
+    words = items.select(F.col(id_col).alias("item_id"), words_of(F.col(text_col)).alias("words")).filter(F.size("words") > 0)
     starts = F.sequence(F.lit(1), F.greatest(F.lit(1), F.size("words") - width + 1))
-    owned = words.select("item_id", F.explode(F.transform(starts, lambda i: F.slice("words", i, width))).alias("words")).distinct()
-    owned = stored(owned.withColumn("window", F.sha2(F.array_join("words", " "), 256)), "windows")
-    return owned.groupBy("window").agg(F.first("words").alias("words")), owned.select("window", "item_id")
-
-
-def build_index(docs: DataFrame, vocabulary: DataFrame | None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Stored postings (row, doc_id, n_words, pos, term). Every row of docs has at least its posting at position 0, its term null if not in the
-    vocabulary; without words its position is null. vocabulary: one column `term` of distinct words, or None for all words."""
-    words = docs.select(F.col(id_col).alias("doc_id"), F.monotonically_increasing_id().alias("row"), words_of(F.col(text_col)).alias("words"))
-    tokens = words.select("row", "doc_id", F.size("words").alias("n_words"), F.posexplode_outer("words").alias("pos", "term"))
-    if vocabulary is not None:
-        tokens = tokens.join(vocabulary.select(F.col("term").alias("known")), F.col("term") == F.col("known"), "left")
-        tokens = tokens.filter("known is not null or pos = 0 or pos is null").drop("term").withColumnRenamed("known", "term")
-    return stored(tokens, "postings")
-
-
-def rarest_terms(index: DataFrame, windows: DataFrame, rarest: int = RAREST) -> DataFrame:
-    """(window, n_terms, offset, term, need): of each window whose terms all occur, its rarest terms; need is their number."""
-    frequency = index.filter("term is not null").groupBy("term").agg(F.count(F.lit(1)).alias("frequency"))
-    terms = windows.select("window", F.size("words").alias("n_terms"), F.posexplode("words").alias("offset", "term")).join(frequency, "term")
-    lists = terms.groupBy("window", "n_terms").agg(F.sort_array(F.collect_list(F.struct("frequency", "offset", "term"))).alias("terms")).filter(F.size("terms") == F.col("n_terms"))
-    chosen = lists.select("window", "n_terms", F.slice("terms", 1, rarest).alias("terms"))
-    return chosen.select("window", "n_terms", F.size("terms").alias("need"), F.inline("terms")).drop("frequency")
-
-
-def phrase_hits(index: DataFrame, windows: DataFrame, rarest: int = RAREST) -> DataFrame:
-    """(row, start, window, n_terms): every occurrence of every window."""
-    probes = stored(rarest_terms(index, windows, rarest), "probes")
-    asked_terms = probes.select("term").distinct()
-    shifted = _only(index.filter("term is not null"), asked_terms, "term").join(probes, "term").select("row", "n_words", "window", "n_terms", "need", (F.col("pos") - F.col("offset")).alias("start"))
-    shifted = shifted.filter((F.col("start") >= 0) & (F.col("start") + F.col("n_terms") <= F.col("n_words")))
-    near = shifted.groupBy("row", "start", "window", "n_terms", "need").agg(F.count(F.lit(1)).alias("met")).filter("met = need").drop("met")
-    near = stored(near, "candidates")
-    rest = windows.join(probes.select("window").distinct(), "window", "left_semi").select("window", F.posexplode("words").alias("offset", "term"))
-    asked = near.filter("n_terms > need").join(rest, "window").select("row", "start", "window", "n_terms", (F.col("start") + F.col("offset")).alias("pos"), "term")
-    held = _only(index.filter("term is not null"), near.select("row").distinct(), "row").select("row", "pos", "term")
-    full = asked.join(held, ["row", "pos", "term"]).groupBy("row", "start", "window", "n_terms").agg(F.count(F.lit(1)).alias("met")).filter("met = n_terms").drop("met")
-    return full.unionByName(near.filter("n_terms = need").drop("need"))
-
-
-def proximity_terms(index: DataFrame, windows: DataFrame, rarest: int = RAREST) -> DataFrame:
-    """(window, rank, need, term): of each window the rarest of its different terms that occur, by rank from 1. A window of which fewer than `rarest` occur has none, unless all of it are fewer."""
-    frequency = index.filter("term is not null").groupBy("term").agg(F.count(F.lit(1)).alias("frequency"))
-    terms = windows.select("window", F.least(F.lit(rarest), F.size(F.array_distinct("words"))).alias("need"), F.explode(F.array_distinct("words")).alias("term")).join(frequency, "term")
-    lists = terms.groupBy("window", "need").agg(F.sort_array(F.collect_list(F.struct("frequency", "term"))).alias("terms")).filter(F.size("terms") >= F.col("need"))
-    return lists.select("window", "need", F.posexplode(F.slice("terms", F.lit(1), F.col("need"))).alias("rank", "one")).select("window", (F.col("rank") + 1).alias("rank"), "need", F.col("one.term").alias("term"))
-
-
-def _ranked(positions: str, rank: int) -> Column:
-    return F.transform(positions, lambda p: F.struct(p.alias("pos"), F.lit(rank).alias("rank")))
-
-
-def proximity_hits(index: DataFrame, windows: DataFrame, distance: int = DISTANCE, rarest: int = RAREST) -> DataFrame:
-    """(row, window, begin, end): rows where all rarest terms of a window, among those that occur, lie within `distance` words; the tightest span that ends at each occurrence.
-
-    Rows are found by the rarest term; the next ones are looked up in the rows still left only, so the commoner terms never meet all windows that hold them.
-    """
-    probes = stored(proximity_terms(index, windows, rarest), "near-probes")
-    held = _only(index.filter("term is not null"), probes.select("term").distinct(), "term")
-    held = stored(held.groupBy("row", "term").agg(F.collect_list("pos").alias("at")), "near-postings")
-    left = held.join(probes.filter("rank = 1"), "term").select("row", "window", "need", _ranked("at", 1).alias("seen"))
-    found = None
-    for rank in range(2, rarest + 1):
-        whole = left.filter(F.col("need") == rank - 1).select("row", "window", "need", "seen")
-        found = whole if found is None else found.unionByName(whole)
-        asked = left.join(probes.filter(F.col("rank") == rank).select("window", "term"), "window")
-        near = lambda p: F.exists("seen", lambda q: F.abs(q["pos"] - p) <= distance)
-        met = asked.join(held, ["row", "term"]).withColumn("at", F.filter("at", near)).filter(F.size("at") > 0)
-        left = met.select("row", "window", "need", F.concat("seen", _ranked("at", rank)).alias("seen"))
-        left = stored(left, "near-left")
-    last = left.filter(F.col("need") == rarest).select("row", "window", "need", "seen")
-    found = (last if found is None else found.unionByName(last)).select("row", "window", "need", F.inline("seen"))
-    before = Window.partitionBy("row", "window").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-    latest = F.array(*(F.max(F.when(F.col("rank") == k, F.col("pos"))).over(before) for k in range(1, rarest + 1)))
-    spans = found.withColumn("latest", F.array_compact(latest)).filter(F.size("latest") == F.col("need"))
-    spans = spans.select("row", "window", F.array_min("latest").alias("begin"), F.col("pos").alias("end"))
-    return spans.filter(F.col("end") - F.col("begin") <= distance)
-
-
-def proximate(docs: DataFrame, items: DataFrame, width: int = WIDTH, id_col: str = "doc_id", text_col: str = "text", distance: int = DISTANCE, rarest: int = RAREST) -> DataFrame:
-    """One row per row of docs: doc_id, n_near (windows matched by proximity), n_near_items, near_items (sorted strings)."""
-    windows, owners = query_windows(items, width)
-    vocabulary = stored(windows.select(F.explode("words").alias("term")).distinct(), "vocabulary")
-    index = build_index(docs, vocabulary, id_col, text_col)
-    hits = stored(proximity_hits(index, windows, distance, rarest).select("row", "window").distinct(), "near-hits")
-    counted = hits.groupBy("row").agg(F.count(F.lit(1)).alias("n_near"))
-    named = hits.join(owners, "window").select("row", F.col("item_id").cast("string").alias("item")).distinct().groupBy("row").agg(F.sort_array(F.collect_list("item")).alias("items"))
-    out = index.filter("pos = 0 or pos is null").select("row", "doc_id").join(counted.join(named, "row"), "row", "left")
-    return out.select("doc_id", F.coalesce("n_near", F.lit(0)).cast("long").alias("n_near"), F.coalesce(F.size("items"), F.lit(0)).cast("long").alias("n_near_items"), F.coalesce("items", F.array().cast("array<string>")).alias("near_items"))
+    owned = stored(words.select("item_id", F.explode(F.transform(starts, lambda i: F.slice("words", i, width))).alias("words")).distinct(), "owned-windows")
+    windows = stored(owned.select("words").distinct().withColumn("window", F.monotonically_increasing_id()), "windows").select("window", "words")
+    return windows, stored(owned.filter("item_id is not null").join(windows, "words").select("window", "item_id"), "owners")
+
 
+def build_index(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Index:
+    """The stored index of all words of all rows. One exchange of the texts; what follows on rows needs none."""
+    text = F.col(text_col)
+    buckets = common.bucket_count(docs, docs.agg(F.sum(F.octet_length(text))).first()[0] or 0, BUCKET_BYTES)
+    rows = docs.select(F.col(id_col).alias("doc_id"), text.alias("text"), F.monotonically_increasing_id().alias("row")).repartition(buckets, "row")
+    texts = bucketed(rows.select("row", "doc_id", words_of(F.col("text")).alias("words")).withColumn("n_words", F.size("words")), "texts", "row", buckets)
+    return Index(bucketed(texts.select("row", F.posexplode("words").alias("pos", "term")), "postings", "row", buckets), texts, buckets)
 
-def contamination(docs: DataFrame, items: DataFrame, width: int = WIDTH, id_col: str = "doc_id", text_col: str = "text", rarest: int = RAREST) -> DataFrame:
-    """One row per row of docs: doc_id, n_words, n_hit, n_items, items (sorted strings)."""
+
+def probes_of(index: Index, windows: DataFrame, rarest: int = RAREST) -> DataFrame:
+    """(window, need, whole, terms array of (frequency, term, offset)): of each window the rarest of its different terms that occur, with their first offsets; whole: all its terms occur.
+
+    need is `rarest`, or the number of different terms of a window that has fewer; a window of which fewer than `need` terms occur is left out.
+    """
+    terms = windows.select("window", "words", F.explode(F.array_distinct("words")).alias("term"))
+    vocabulary = stored(terms.select("term").distinct(), "vocabulary")
+    held = index.postings.join(F.broadcast(vocabulary) if _small(vocabulary) else vocabulary, "term", "left_semi")
+    frequency = stored(held.groupBy("term").agg(F.count(F.lit(1)).alias("frequency")), "frequency")
+    found = terms.join(F.broadcast(frequency) if _small(frequency) else frequency, "term").withColumn("offset", F.array_position("words", F.col("term")).cast("int") - 1)
+    lists = found.groupBy("window", "words").agg(F.sort_array(F.collect_list(F.struct("frequency", "term", "offset"))).alias("terms"))
+    distinct, need = F.size(F.array_distinct("words")), F.least(F.lit(rarest), F.size(F.array_distinct("words")))
+    return lists.filter(F.size("terms") >= need).select("window", need.alias("need"), (F.size("terms") == distinct).alias("whole"), F.slice("terms", F.lit(1), need).alias("terms"))
+
+
+def _met(index: Index, probes: DataFrame, distance: int) -> DataFrame:
+    """(row, window, stretch, m0, m1, ...): where all probes of a window occur in two stretches of `distance` words, as bits of their places from the first one's begin."""
+    probe_rows = stored(probes.select("window", F.posexplode("terms").alias("rank", "one")).select("window", "rank", F.col("one.term").alias("term")), "probe-terms")
+    rarest = (probe_rows.agg(F.max("rank")).first()[0] or 0) + 1
+    if _small(probe_rows):
+        shared = index.postings.join(F.broadcast(probe_rows), "term")
+    else:  # a common term is dealt to SALTS tasks, whichever row holds it
+        salts = F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))
+        shared = index.postings.withColumn("salt", F.pmod("row", F.lit(SALTS)).cast("int")).join(probe_rows.withColumn("salt", salts), ["term", "salt"])
+    at = F.floor(F.col("pos") / distance).cast("int")
+    placed = shared.select("row", "window", "rank", "pos", F.explode(F.array(at, at - 1)).alias("stretch")).filter("stretch >= 0")
+    bit = F.expr(f"shiftleft(1L, pos - stretch * {distance})")
+    masks = [F.bit_or(F.when(F.col("rank") == r, bit).otherwise(F.lit(0).cast("long"))).alias(f"m{r}") for r in range(rarest)]
+    need = F.broadcast(probes.select("window", "need")) if _small(probes) else probes.select("window", "need")
+    held = placed.groupBy("row", "window", "stretch").agg(*masks)
+    some = held.filter(reduce(Column.__or__, [F.col(f"m{r}") != 0 for r in range(rarest)]) & (F.col("m0") != 0))
+    return some.join(need, "window").filter(reduce(Column.__and__, [(F.col("m%d" % r) != 0) | (F.col("need") <= r) for r in range(rarest)])).drop("need")
+
+
+def _masks(met: DataFrame) -> list[str]:
+    return [c for c in met.columns if c[0] == "m" and c[1:].isdigit()]
+
+
+def meetings(index: Index, windows: DataFrame, distance: int = DISTANCE, rarest: int = RAREST) -> tuple[DataFrame, DataFrame]:
+    """(probes, stretches where all probes of a window meet): what exact and proximity matches are both read off."""
+    if not 1 <= distance <= 31:
+        raise ValueError("the distance is 1 to 31 words")
+    probes = stored(probes_of(index, windows, rarest), "probes")
+    return probes, bucketed(_met(index, probes, distance), "meetings", "row", index.buckets)
+
+
+def phrase_hits(index: Index, windows: DataFrame, met: tuple[DataFrame, DataFrame] | None = None, distance: int = DISTANCE, rarest: int = RAREST) -> DataFrame:
+    """(row, doc_id, hits array of (start, window, n_terms)): for every row that has one, every occurrence of every window of at most distance + 1 words."""
+    probes, stretches = met or meetings(index, windows, distance, rarest)
+    asked = probes.filter("whole").join(windows, "window").select("window", "need", "words", F.transform("terms", lambda t: t["offset"]).alias("offsets"))
+    both = stretches.join(F.broadcast(asked) if _small(asked) else asked, "window")
+    shifted = [F.expr(f"case when need > {r} then shiftrightunsigned({m}, offsets[{r}]) else -1L end") for r, m in enumerate(_masks(stretches))]
+    both = both.withColumn("begins", reduce(Column.bitwiseAND, shifted)).filter(F.col("begins").bitwiseAND(F.lit((1 << distance) - 1)) != 0)
+    starts = F.expr(f"transform(filter(sequence(0, {distance - 1}), o -> (shiftrightunsigned(begins, o) & 1L) = 1L), o -> stretch * {distance} + o)")
+    candidates = both.select("row", "window", "words", F.explode(starts).alias("start")).groupBy("row").agg(F.collect_list(F.struct("start", "window", "words")).alias("candidates"))
+    joined = index.texts.join(candidates.hint("shuffle_hash"), "row").select("row", "doc_id", F.col("words").alias("held"), "candidates")
+    true = F.expr("filter(candidates, c -> slice(held, c.start + 1, size(c.words)) = c.words)")
+    return joined.select("row", "doc_id", F.transform(true, lambda c: F.struct(c["start"].alias("start"), c["window"].alias("window"), F.size(c["words"]).alias("n_terms"))).alias("hits")).filter(F.size("hits") > 0)
+
+
+def proximity_hits(index: Index, windows: DataFrame, distance: int = DISTANCE, rarest: int = RAREST, met: tuple[DataFrame, DataFrame] | None = None) -> DataFrame:
+    """(row, window): rows where all rarest terms of a window, among those that occur, lie within `distance` words, in any order."""
+    probes, stretches = met or meetings(index, windows, distance, rarest)
+    need = probes.select("window", "need")
+    both = stretches.join(F.broadcast(need) if _small(need) else need, "window")
+    span = (1 << (distance + 1)) - 1
+    inside = lambda o: reduce(Column.__and__, [(F.col("need") <= r) | (F.shiftrightunsigned(m, o).bitwiseAND(F.lit(span)) != 0) for r, m in enumerate(_masks(stretches))])
+    return both.filter(reduce(Column.__or__, [inside(o) for o in range(distance)])).select("row", "window").distinct()
+
+
+def _named(hits: DataFrame, owners: DataFrame) -> DataFrame:
+    """(row, items) of (row, window): the ids of the windows' items as sorted strings."""
+    named = hits.join(F.broadcast(owners) if _small(owners) else owners, "window").select("row", F.col("item_id").cast("string").alias("item"))
+    return named.groupBy("row").agg(F.sort_array(F.collect_set("item")).alias("items"))
+
+
+def contamination(docs: DataFrame, items: DataFrame, width: int = WIDTH, id_col: str = "doc_id", text_col: str = "text", distance: int = DISTANCE, rarest: int = RAREST) -> DataFrame:
+    """One row per row of docs: doc_id, row, n_words, n_hit, n_items, items (sorted strings) of exact matches, and n_near (windows), n_near_items, near_items of proximity matches."""
     windows, owners = query_windows(items, width)
-    vocabulary = stored(windows.select(F.explode("words").alias("term")).distinct(), "vocabulary")
-    index = build_index(docs, vocabulary, id_col, text_col)
-    hits = stored(phrase_hits(index, windows, rarest), "hits")
-    spans = hits.select("row", "start", "n_terms").distinct()
-    covered = spans.select("row", F.explode(F.sequence("start", F.col("start") + F.col("n_terms") - 1)).alias("pos")).distinct().groupBy("row").agg(F.count(F.lit(1)).alias("n_hit"))
-    named = hits.select("row", "window").distinct().join(owners, "window").select("row", F.col("item_id").cast("string").alias("item")).distinct()
-    named = named.groupBy("row").agg(F.sort_array(F.collect_list("item")).alias("items"))
-    rows = index.filter("pos = 0 or pos is null").select("row", "doc_id", F.col("n_words").cast("long").alias("n_words"))
-    out = rows.join(covered.join(named, "row"), "row", "left")
-    return out.select("doc_id", "n_words", F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce(F.size("items"), F.lit(0)).cast("long").alias("n_items"), F.coalesce("items", F.array().cast("array<string>")).alias("items"))
+    index = build_index(docs, id_col, text_col)
+    met = meetings(index, windows, distance, rarest)
+    hits = bucketed(phrase_hits(index, windows, met, distance, rarest).select("row", "hits"), "hits", "row", index.buckets)
+    covered = F.size(F.array_distinct(F.flatten(F.transform("hits", lambda h: F.sequence(h["start"], h["start"] + h["n_terms"] - 1)))))
+    named = _named(hits.select("row", F.explode(F.array_distinct(F.transform("hits", lambda h: h["window"]))).alias("window")), owners)
+    near = proximity_hits(index, windows, distance, rarest, met)
+    near = bucketed(near.join(_named(near, owners), "row", "left").groupBy("row").agg(F.count(F.lit(1)).alias("n_near"), F.first("items").alias("near_items")), "near", "row", index.buckets)
+    out = index.texts.select("row", "doc_id", F.col("n_words").cast("long").alias("n_words")).join(hits.select("row", covered.alias("n_hit")), "row", "left").join(named, "row", "left").join(near, "row", "left")
+    many = lambda c: F.coalesce(F.size(c), F.lit(0)).cast("long")
+    none = F.array().cast("array<string>")
+    return out.select(
+        "doc_id", "row", "n_words", F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"), many("items").alias("n_items"), F.coalesce("items", none).alias("items"),
+        F.coalesce("n_near", F.lit(0)).cast("long").alias("n_near"), many("near_items").alias("n_near_items"), F.coalesce("near_items", none).alias("near_items"),
+    )

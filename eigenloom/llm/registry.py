@@ -14,13 +14,8 @@ from .sql import ORACLES
 
 def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontaminate.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
-    return found.select("doc_id", "n_words", "n_hit", "n_items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
-
-
-def op1_proximity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The inexact matches beside op1_decontaminate, whose columns its SQL fixes."""
-    found = decontaminate.proximate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
-    return found.select("doc_id", "n_near", "n_near_items", F.sha2(F.array_join("near_items", ","), 256).alias("near_items_sha256"))
+    digest = lambda c: F.sha2(F.array_join(c, ","), 256)
+    return found.select("doc_id", "n_words", "n_hit", "n_items", digest("items").alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"), "n_near", "n_near_items", digest("near_items").alias("near_items_sha256"))
 
 
 def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -28,6 +23,15 @@ def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard", "vslot", "vslot_bytes")
 
 
+def shard_rebalance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(shard, n_slots, n_bytes, slots_moved_in) of the stored map's version that is edited by the bytes of the documents, after the grown one."""
+    docs = table(spark, sf_dir, "documents")
+    path = sharding.first_versions(spark, 8)
+    old, new = sharding.read_map(spark, path, 1), sharding.read_map(spark, path, sharding.rebalanced(docs, path))
+    both = new.join(old.withColumnRenamed("owner", "was"), "vslot").join(sharding.slot_bytes(sharding.sized(docs)), "vslot", "left")
+    return both.groupBy(F.col("owner").alias("shard")).agg(F.count(F.lit(1)).alias("n_slots"), F.sum(F.coalesce("n_bytes", F.lit(0))).alias("n_bytes"), F.count_if(F.col("owner") != F.col("was")).alias("slots_moved_in"))
+
+
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     rows = toxicity.scored(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
@@ -71,7 +75,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    made = [op1_decontaminate, op1_proximity, op2_sharding, op3_toxicity, op4_licenses, op5_packing, op6_chat, op7_simhash, op8_secrets, op9_quality_model, op10_quality_rules]
+    made = [op1_decontaminate, op2_sharding, op3_toxicity, op4_licenses, op5_packing, op6_chat, op7_simhash, op8_secrets, op9_quality_model, op10_quality_rules, shard_rebalance]
     return {f.__name__: f for f in made}
 
 

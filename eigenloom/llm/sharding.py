@@ -1,9 +1,10 @@
 """Sharding over fixed virtual slots.
 
-A record's key is hashed once into one of `slots` virtual slots. A versioned table maps slots to shards; a new version is
-an edit of the last one, so records are never hashed anew. `grow` hands slots to a new shard by the slot numbers alone, so that
-key and shard count decide and rows move only into it; `rebalance` edits by the bytes aggregated per slot. Equal keys share a slot;
-null keys share the slot of the empty string; null texts weigh one byte; extra columns are kept aside.
+A record's key is hashed once into one of `slots` virtual slots. A stored map leads from slots to shards; each version is a table of its own that is never written again, and a new
+version is an edit of the last one, so records are never hashed anew. `grow` hands slots to a new shard by the slot numbers alone, so that
+key and shard count decide and rows move only into it; `rebalance` edits by the bytes aggregated per slot. Equal keys share a slot, and rows of one key are ordered by their text's checksum
+(rows equal in both have interchangeable places); null keys share the slot of the empty string; null texts weigh one byte, texts of any length their own; an empty table has no
+placed row and an empty folder; `write_shards` keeps all columns, and a given column of the name `shard` as `shard_given`.
 """
 
 from __future__ import annotations
@@ -11,9 +12,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import _folder, stored
 
-SLOTS = 4096
+SLOTS, FINE = 4096, 4096
 
 
 def slot_of(key, slots: int = SLOTS):
@@ -57,9 +58,31 @@ def rebalance(owners: list[int], weights: dict[int, int], slack: float = 0.02) -
     return owners
 
 
-def map_table(spark: SparkSession, versions: list[list[int]]) -> DataFrame:
-    """(version, vslot, owner): slots x versions rows, whatever the data."""
-    return spark.createDataFrame([(v, s, o) for v, m in enumerate(versions) for s, o in enumerate(m)], "version int, vslot int, owner int")
+def publish(spark: SparkSession, path: str, owners: list[int], version: int) -> None:
+    """Writes one version of the map; a version that exists is an error, never overwritten."""
+    rows = spark.createDataFrame(list(enumerate(owners)), "vslot int, owner int")
+    rows.coalesce(1).write.parquet(f"{path}/version={version}")
+
+
+def versions(spark: SparkSession, path: str) -> list[int]:
+    """The versions of the stored map in order; none where there is no map."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    files = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    names = [f.getPath().getName() for f in files.listStatus(where)] if files.exists(where) else []
+    return sorted(int(n.split("=")[1]) for n in names if n.startswith("version="))
+
+
+def read_map(spark: SparkSession, path: str, version: int) -> DataFrame:
+    """(vslot, owner) of one version: as many rows as slots, whatever the data."""
+    return spark.read.schema("vslot int, owner int").parquet(f"{path}/version={version}")
+
+
+def edited(spark: SparkSession, path: str, edit) -> int:
+    """Publishes edit(owners of the newest version) as the next version and returns its number."""
+    last = versions(spark, path)[-1]
+    owners = [r["owner"] for r in read_map(spark, path, last).orderBy("vslot").collect()]
+    publish(spark, path, edit(owners), last + 1)
+    return last + 1
 
 
 def sized(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", slots: int = SLOTS) -> DataFrame:
@@ -74,23 +97,47 @@ def slot_bytes(rows: DataFrame) -> DataFrame:
     return rows.groupBy("vslot").agg(F.count(F.lit(1)).alias("n_rows"), F.sum("size").alias("n_bytes"))
 
 
-def placed(docs: DataFrame, shards: int = 8, slots: int = SLOTS, grown: bool = True, id_col: str = "doc_id", text_col: str = "text", fine: int = 8) -> DataFrame:
-    """Shard and gapless place of every row under map version 0, and its shard under version 1 (one more shard).
+def rebalanced(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", slots: int = SLOTS) -> int:
+    """Publishes the newest version edited by the bytes per slot of docs, and returns its number."""
+    weights = {r["vslot"]: r["n_bytes"] for r in slot_bytes(sized(docs, id_col, text_col, slots)).collect()}  # at most `slots` rows
+    return edited(docs.sparkSession, path, lambda owners: rebalance(owners, weights))
+
+
+def first_versions(spark: SparkSession, shards: int, slots: int = SLOTS, path: str | None = None) -> str:
+    """The folder of a map with version 0 of `shards` shards and version 1, grown by one."""
+    path = path or _folder(spark, "shard-map")
+    if not versions(spark, path):
+        publish(spark, path, first_map(shards, slots), 0)
+        edited(spark, path, grow)
+    return path
+
+
+def placed(docs: DataFrame, shards: int = 8, slots: int = SLOTS, id_col: str = "doc_id", text_col: str = "text", fine: int = FINE, path: str | None = None) -> DataFrame:
+    """Shard and gapless place of every row under version 0 of the stored map, and its shard under version 1 (one more shard).
 
-    Places come from counts of `slots * fine` bins and a rank inside a bin; so no task ever sorts a whole shard.
+    Rows equal in key, checksum and size that came in one partition are one counted cell; places add up from counts of slots before it in the shard, bins (checksum mod `fine`) before
+    it in the slot and cells before it in the bin. So no task ranks more than the cells of a bin, and rows come from cells that are dealt anew.
     """
     spark = docs.sparkSession
-    versions = [first_map(shards, slots)]
-    versions.append(grow(versions[0]) if grown else versions[0])
-    owners = map_table(spark, versions).groupBy("vslot").agg(F.max(F.when(F.col("version") == 0, F.col("owner"))).alias("shard"), F.max(F.when(F.col("version") == 1, F.col("owner"))).alias("grown_shard"))
-    rows = stored(sized(docs, id_col, text_col, slots).withColumn("bin", F.pmod("text_crc32", F.lit(fine)).cast("int")), "shard-rows")
-    bins = rows.groupBy("vslot", "bin").agg(F.count(F.lit(1)).alias("n_rows"), F.sum("size").alias("n_bytes")).join(F.broadcast(owners), "vslot")
-    before = Window.partitionBy("shard").orderBy("vslot", "bin").rowsBetween(Window.unboundedPreceding, -1)
-    bins = bins.select("vslot", "bin", "shard", "grown_shard", F.coalesce(F.sum("n_rows").over(before), F.lit(0)).alias("begin"), F.sum("n_bytes").over(Window.partitionBy("shard", "vslot")).alias("vslot_bytes"))
-    rank = F.row_number().over(Window.partitionBy("vslot", "bin").orderBy("doc_id", "text_crc32"))
-    return rows.withColumn("rank", rank - 1).join(bins, ["vslot", "bin"]).select("doc_id", "size", "text_crc32", "shard", (F.col("begin") + F.col("rank")).cast("long").alias("slot"), "grown_shard", "vslot", "vslot_bytes")
-
-
-def write_shards(docs: DataFrame, places: DataFrame, path: str) -> None:
-    """Writes the rows of docs in one folder per shard."""
-    docs.join(places.select("doc_id", "shard"), "doc_id").write.partitionBy("shard").parquet(path)
+    path = first_versions(spark, shards, slots, path)
+    old, new = (read_map(spark, path, v).withColumnRenamed("owner", name) for v, name in ((0, "shard"), (1, "grown_shard")))
+    owners = old.join(F.broadcast(new), "vslot")
+    rows = sized(docs, id_col, text_col, slots).withColumns({"bin": F.pmod("text_crc32", F.lit(fine)).cast("int"), "part": F.spark_partition_id()})
+    key = ["doc_id", "text_crc32", "size", "part"]
+    cells = stored(rows.groupBy("vslot", "bin", *key).agg(F.count(F.lit(1)).alias("n")), "shard-cells")
+    before = lambda by, *order: F.coalesce(F.sum("n").over(Window.partitionBy(*by).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    bins = cells.groupBy("vslot", "bin").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("size")).alias("bytes"))
+    all_slots = bins.groupBy("vslot").agg(F.sum("n").alias("n"), F.sum("bytes").alias("vslot_bytes")).join(F.broadcast(owners), "vslot")
+    all_slots = all_slots.select("vslot", "shard", "grown_shard", "vslot_bytes", before(["shard"], "vslot").alias("in_shard"))  # at most `slots` rows
+    begins = bins.select("vslot", "bin", before(["vslot"], "bin").alias("in_slot")).join(F.broadcast(all_slots), "vslot")
+    ranked = cells.select("vslot", "bin", *key, "n", before(["vslot", "bin"], *key).alias("in_bin")).join(begins, ["vslot", "bin"])
+    spread = ranked.repartition(F.xxhash64("vslot", *key)).withColumn("k", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)))
+    return spread.select("doc_id", "size", "text_crc32", "shard", (F.col("in_shard") + F.col("in_slot") + F.col("in_bin") + F.col("k")).cast("long").alias("slot"), "grown_shard", "vslot", "vslot_bytes")
+
+
+def write_shards(docs: DataFrame, map_path: str, version: int, path: str, id_col: str = "doc_id", slots: int = SLOTS) -> None:
+    """Writes the rows of docs in one folder per shard of a version; the shard follows from the key alone, so no row is matched with another."""
+    given = docs.withColumnRenamed("shard", "shard_given")
+    routed = given.withColumn("_vslot", slot_of(F.col("shard_given" if id_col == "shard" else id_col), slots))
+    owners = read_map(docs.sparkSession, map_path, version).select(F.col("vslot").alias("_vslot"), F.col("owner").alias("shard"))
+    routed.join(F.broadcast(owners), "_vslot").drop("_vslot").write.partitionBy("shard").parquet(path)

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from .chat import _ESCAPE
-from .decontaminate import WIDTH
+from .decontaminate import DISTANCE, RAREST, WIDTH
 from .quality_rules import BOILERPLATE, LEAST_LEFT, MARKED_WORD, NAVIGATION, SHOUT, SYMBOLS
 
 
@@ -29,10 +29,24 @@ spots as (select doc_id, p, n, array_to_string(words[p:p + n - 1], ' ') as phras
   from d, unnest(range(1, len(words) + 1)) as u(p), (select distinct n from w) where p + n - 1 <= len(words)),
 hit as (select a.doc_id, a.p, a.n, w.item_id from spots a join w on a.n = w.n and a.phrase = w.phrase),
 covered as (select doc_id, count(distinct q) as n_hit from hit, unnest(range(p, p + n)) as u(q) group by doc_id),
-named as (select doc_id, count(distinct item_id) as n_items, string_agg(distinct item_id::varchar, ',' order by item_id::varchar) as items from hit group by doc_id)
+named as (select doc_id, count(distinct item_id) as n_items, string_agg(distinct item_id::varchar, ',' order by item_id::varchar) as items from hit group by doc_id),
+freq as (select term, count(*) as f from (select unnest(words) as term from d) group by term),
+cut as (select distinct words[i:i + {WIDTH - 1}] as words from b, unnest(range(1, greatest(2, len(words) - {WIDTH - 2}))) as u(i)),
+terms as (select distinct words, least({RAREST}, len(list_distinct(words))) as need, unnest(words) as term from cut),
+probes as (select words, need, term, row_number() over (partition by words order by f, term) as rank from terms join freq using (term) qualify rank <= need),
+asked as (select words, need, rank, term from probes qualify count(*) over (partition by words) = need),
+places as (select doc_id, words[p] as term, p from d, unnest(range(1, len(words) + 1)) as u(p)),
+occ as materialized (select doc_id, a.words, need, rank, p from places join asked a using (term)),
+close as (select x.doc_id, x.words from occ x join occ y on x.doc_id = y.doc_id and x.words = y.words and y.p between x.p and x.p + {DISTANCE}
+  group by x.doc_id, x.words, x.need, x.p having count(distinct y.rank) = x.need),
+near as (select distinct doc_id, words from close),
+owned as (select distinct item_id, words[i:i + {WIDTH - 1}] as words from b, unnest(range(1, greatest(2, len(words) - {WIDTH - 2}))) as u(i)),
+near_named as (select doc_id, count(distinct words) as n_near, count(distinct item_id) as n_near_items, string_agg(distinct item_id::varchar, ',' order by item_id::varchar) as near_items
+  from near join owned using (words) group by doc_id)
 select d.doc_id, len(d.words)::bigint as n_words, coalesce(n_hit, 0)::bigint as n_hit, coalesce(n_items, 0)::bigint as n_items,
-  sha256(coalesce(items, '')) as items_sha256, coalesce(n_hit, 0) > 0 as contaminated
-from d left join covered using (doc_id) left join named using (doc_id)"""
+  sha256(coalesce(items, '')) as items_sha256, coalesce(n_hit, 0) > 0 as contaminated,
+  coalesce(n_near, 0)::bigint as n_near, coalesce(n_near_items, 0)::bigint as n_near_items, sha256(coalesce(near_items, '')) as near_items_sha256
+from d left join covered using (doc_id) left join named using (doc_id) left join near_named using (doc_id)"""
 
 OP2 = """
 with recursive crc_step(k, c, n) as (select range, range, 0 from range(256) union all
@@ -46,7 +60,7 @@ crc as (select doc_id, size, case when len(v) = 0 then 0 else xor(list_reduce(li
 slots as (select *, (('0x' || substr(md5(coalesce(doc_id::varchar, '')), 1, 12))::bigint % 4096)::int as vslot from crc),
 owned as (select *, (vslot * 8 // 4096)::int as shard, sum(size) over (partition by vslot) as vslot_bytes from slots)
 select doc_id, size::bigint as size, text_crc32::bigint as text_crc32, 'key' as law, shard,
-  (row_number() over (partition by shard order by vslot, text_crc32 % 8, doc_id, text_crc32) - 1)::bigint as slot,
+  (row_number() over (partition by shard order by vslot, text_crc32 % 4096, doc_id, text_crc32, size) - 1)::bigint as slot,
   (case when vslot % 512 >= 512 - 57 + (shard = 7)::int then 8 else shard end)::int as grown_shard, vslot, vslot_bytes::bigint as vslot_bytes
 from owned"""
 OP2 = OP2.replace("t[xor(c, x) & 255 ::bigint + 1]", "t[(xor(c, x) & 255) + 1]")

@@ -187,7 +187,7 @@ def test_decontaminate_finds_rare_and_proximate(spark):
     rows = sorted(tuple(r) for r in decontaminate.contamination(docs, items).select("doc_id", "n_words", "n_hit", "items").collect())
     assert rows == [(1, 160, 158, ["10"]), (1, 331, 327, ["10", "7"]), (2, 160, 158, ["10"]), (3, 0, 0, []), (4, 0, 0, []), (5, 1, 1, ["8"]), (6, 3, 0, [])]
     windows, _ = decontaminate.query_windows(spark.createDataFrame([(1, "one eleven")], "item_id long, text string"))
-    index = decontaminate.build_index(docs, None)
+    index = decontaminate.build_index(docs)
     assert decontaminate.proximity_hits(index, windows, 15).count() == 2 and decontaminate.proximity_hits(index, windows, 5).count() == 1
 
 
@@ -346,10 +346,9 @@ def test_proximity_finds_a_passage_with_one_word_changed(spark):
     texts |= {k: " ".join(f"w{x}" for x in rng.integers(0, 40, 120)) for k in range(5, 25)}
     items = {7: passage, 8: "solo", 9: " ".join(f"w{x}" for x in rng.integers(0, 40, 14)) + " neverseen", 10: "w1 w1 w2"}
     docs, bench = spark.createDataFrame(list(texts.items()), "doc_id long, text string"), spark.createDataFrame(list(items.items()), "item_id long, text string")
-    assert decontaminate.contamination(docs, bench).filter("doc_id = 1").first()["n_hit"] == 0
     want = brute_near(texts, items, decontaminate.DISTANCE)
-    rows = {r["doc_id"]: r for r in decontaminate.proximate(docs, bench).collect()}
-    assert {k: set(r["near_items"]) for k, r in rows.items()} == {k: want[k] for k in texts}
+    rows = {r["doc_id"]: r for r in decontaminate.contamination(docs, bench).collect()}
+    assert rows[1]["n_hit"] == 0 and {k: set(r["near_items"]) for k, r in rows.items()} == {k: want[k] for k in texts}
     assert rows[1]["near_items"] == ["7"] and rows[1]["n_near"] == 3 and rows[4]["n_near"] == 0
 
 
@@ -369,3 +368,181 @@ def test_proximity_finds_a_passage_with_one_word_changed(spark):
 )
 def test_secrets_lexer_reads_declarations_subscripts_and_escapes(code, want):
     assert [code[s:e] for s, e, k in secrets.scan(code) if k == 3] == want
+
+
+def _timed(run, seconds):
+    import time
+
+    began = time.time()
+    out = run()
+    assert time.time() - began < seconds
+    return out
+
+
+def test_quality_rules_read_long_lines_in_linear_time(spark):
+    n = 1_000_000
+    texts = ["A" * n, "A" * n + "!!", "!!" + "A" * n, "a" * n, "7" * n, "#" * n, "!" * n, " | " * (n // 3), "AAAA!! " * (n // 7), " > " * (n // 3), "a###" * (n // 4)]
+    docs = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string")
+    rows = _timed(lambda: {r["doc_id"]: r for r in quality_rules.judged(docs).collect()}, 60)
+    assert [rows[k]["n_lines_failed"] for k in range(len(texts))] == [0, 1, 0, 0, 0, 1, 0, 1, 1, 1, 1]
+
+
+def test_quality_rules_agree_with_their_patterns(spark):
+    draw = np.random.default_rng(11)
+    parts = ["AAAA", "AB", "word", "x1", "!!", "!", "###", "$$$", " ", " ", " | ", " > ", "Sign Up", "cookie policy", ".", "ÄÖÜÉ", "ä", "\r"]
+    lines = sorted({"".join(draw.choice(parts, draw.integers(1, 9))) for _ in range(1500)})
+    got = {r["line"]: r["ok"] for r in spark.createDataFrame([(x,) for x in lines], "line string").select("line", quality_rules.line_passes(F.col("line")).alias("ok")).collect()}
+    letters = "A-ZÄÖÜÉ"
+    for line in lines:
+        bad = bool(re.search(quality_rules.NAVIGATION, line)) or bool(re.search(quality_rules.BOILERPLATE, line))
+        bad |= bool(re.fullmatch(rf"[^a-zäöüé]*[{letters}]{{4,}}[^a-zäöüé]*!![^a-zäöüé]*", line, re.S))
+        bad |= len(re.findall(rf"[{letters}a-zäöüé\d.,]+(?:###|\$\$\$|%%%|&&&|\*\*\*|!!)(?: |\Z)", line)) >= 3
+        bad |= sum(c in quality_rules.SYMBOLS for c in line) * 10 > len(line)
+        assert got[line] == (not bad), line
+
+
+def test_clashing_columns_pass(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    clash = docs.withColumns({"tail": F.lit("t"), "expected_grade": F.lit(7), "n_words": F.lit(777), "kept": F.lit("mine"), "text_crc32": F.lit(1), "shard": F.lit("s"), "row": F.lit(2), "words": F.lit(3), "part": F.lit(4)})
+    chosen = quality_model.selected(clash, spark.read.parquet(f"{sf}/labels.parquet"))
+    assert chosen.columns == clash.columns and 0 < chosen.filter("tail = 't' and expected_grade = 7").count() == chosen.count()
+    clean = quality_rules.cleaned(clash)
+    assert clean.columns == clash.columns and 0 < clean.filter("n_words = 777 and kept = 'mine'").count() == clean.count()
+    assert quality_rules.judged(clash).filter("n_words = 777").count() < docs.count()
+    assert sharding.placed(clash).count() == decontaminate.contamination(clash, docs.limit(0).select(F.col("doc_id").alias("item_id"), "text")).count() == docs.count()
+    assert secrets.redacted(clash).columns == clash.columns and toxicity.scored(clash, (np.array([1]), np.array([1.0]))).count() == docs.count()
+
+
+def test_training_sample_is_bounded_for_repeated_ids(spark):
+    docs = spark.range(500).select(F.lit(1).cast("long").alias("doc_id"), F.concat(F.lit("text "), F.col("id").cast("string")).alias("text"))
+    labels = spark.createDataFrame([(1, 1, 0)], "doc_id long, quality int, toxic int")
+    got = features.labelled_sample(docs, labels, ["quality"], 10, 100)
+    assert len(got) == 10 and got == features.labelled_sample(docs.repartition(7), labels, ["quality"], 10, 100)
+
+
+def test_shards_are_written_from_a_stored_versioned_map(spark, tmp_path):
+    docs = spark.createDataFrame([(1, "a"), (1, "a"), (1, "b"), (2, "c"), (None, "d"), (None, "d")], "doc_id long, text string").withColumn("shard", F.lit("mine"))
+    path = sharding.first_versions(spark, 8, path=f"{tmp_path}/map")
+    assert sharding.versions(spark, path) == [0, 1] and sharding.rebalanced(docs, path) == 2 and sharding.versions(spark, path) == [0, 1, 2]
+    with pytest.raises(Exception):
+        sharding.publish(spark, path, sharding.first_map(8), 1)
+    assert sorted(r["owner"] for r in sharding.read_map(spark, path, 1).collect()) == sorted(sharding.grow(sharding.first_map(8)))
+    for version in (0, 2):
+        sharding.write_shards(docs, path, version, f"{tmp_path}/out{version}")
+        rows = spark.read.parquet(f"{tmp_path}/out{version}").collect()
+        assert Counter((r["doc_id"], r["text"], r["shard_given"]) for r in rows) == Counter((r["doc_id"], r["text"], "mine") for r in docs.collect())
+        assert len({r["shard"] for r in rows if r["doc_id"] == 1}) == 1
+    hot = spark.range(5000).select(F.lit(None).cast("long").alias("doc_id"), F.when(F.col("id") % 2 == 0, "same").otherwise(F.col("id").cast("string")).alias("text"))
+    assert sorted(r["slot"] for r in sharding.placed(hot.repartition(5)).collect()) == list(range(5000))
+
+
+def test_decontaminate_counts_items_without_an_id_and_splits_common_terms(spark, monkeypatch):
+    docs = spark.createDataFrame([(1, "so the quick fox"), (2, "the " * 50), (3, "quick the fox")], "doc_id long, text string")
+    items = spark.createDataFrame([(None, "the quick fox"), (4, "the the")], "item_id long, text string")
+    want = [(1, 4, 3, []), (2, 50, 50, ["4"]), (3, 3, 0, [])]
+    assert sorted(tuple(r) for r in decontaminate.contamination(docs, items).select("doc_id", "n_words", "n_hit", "items").collect()) == want
+    monkeypatch.setattr("eigenloom.llm.common.BROADCAST_ROWS", -1)
+    assert sorted(tuple(r) for r in decontaminate.contamination(docs, items).select("doc_id", "n_words", "n_hit", "items").collect()) == want
+
+
+def test_secrets_with_spaces():
+    assert [s for s in secrets.scan('db_password = "correct Horse 7 battery"') if s[2] == 3] and not [s for s in secrets.scan('password: "please enter the password below"') if s[2] == 3]
+
+
+def test_hubs_and_hot_keys_keep_all_links(spark, monkeypatch):
+    from eigenloom.llm.common import joined_hot
+
+    monkeypatch.setattr("eigenloom.llm.common.HOT_ROWS", 3)
+    left = spark.createDataFrame([(k % 4, k) for k in range(40)] + [(9, 0), (7, 1)], "k int, v int")
+    right = left.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.max("v").alias("m")).filter("k <> 7")
+    assert sorted(tuple(r) for r in joined_hot(left, right, "k", hot=3).collect()) == sorted((k, v, max(x for j, x in [(i % 4, i) for i in range(40)] + [(9, 0)] if j == k)) for k, v in [(i % 4, i) for i in range(40)] + [(9, 0)])
+    rng = np.random.default_rng(8)
+    base = int(rng.integers(0, 1 << 63))
+    prints = sorted({base ^ sum(1 << int(k) for k in rng.choice(64, rng.integers(0, 3), replace=False)) for _ in range(300)})
+    found = {r["node"]: r["root"] for r in simhash.components(simhash.links(spark.createDataFrame([(simhash._signed(p),) for p in prints], "fp long"), 2)).collect()}
+    assert len(found) == len(prints) and len(set(found.values())) == 1
+
+
+def plain_ftrl(rows, alpha=2.0, beta=1.0, l1=6.0, l2=0.5, epochs=4):
+    """FTRL-proximal as published, one coordinate at a time."""
+    z, n = defaultdict(float), defaultdict(float)
+
+    def weight(i):
+        limit = 0.0 if i == 0 else l1
+        return 0.0 if abs(z[i]) <= limit else -(z[i] - np.sign(z[i]) * limit) / ((beta + n[i] ** 0.5) / alpha + l2)
+
+    for _ in range(epochs):
+        for ids, label in rows:
+            w = {i: weight(i) for i in ids}
+            g = 1 / (1 + np.exp(-max(-35.0, min(35.0, sum(w.values()))))) - label
+            for i in ids:
+                z[i] += g - ((n[i] + g * g) ** 0.5 - n[i] ** 0.5) / alpha * w[i]
+                n[i] += g * g
+    return {i: weight(i) for i in z if weight(i)}
+
+
+def brute_grams(text):
+    """Hashed words and pairs up to three words apart, from their definition."""
+    h = [zlib.crc32(w) for w in re.findall(rb"[a-z0-9\x80-\xff]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), text.encode()))]
+    pairs = [(a * (2 * k + 1) + ((b << 7) * 31) + k) % (1 << 64) for k in (1, 2, 3) for a, b in zip(h, h[k:])]
+    return {max(1, x * 0x9E3779B97F4A7C15 % (1 << 64) >> 44) for x in h + pairs}
+
+
+def test_toxicity_matches_plain_ftrl(spark, texts, sf):
+    labels = {r["doc_id"]: r["toxic"] for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    rows = [(texts[k][:600], labels[k]) for k in sorted(labels) if k in texts][:60]
+    at, w = toxicity.train(rows)
+    want = plain_ftrl([(sorted(brute_grams(t) | {0}), y) for t, y in rows])
+    assert set(at) == set(want) and np.allclose(w, [want[i] for i in at], atol=1e-9)
+    score = toxicity.scorer((at, w))
+    for t in [*list(texts.values())[:40], "", None]:
+        assert abs(score(t) - 1 / (1 + np.exp(-(want.get(0, 0) + sum(want.get(i, 0) for i in brute_grams(t or "")))))) < 1e-9
+
+
+def test_quality_scores_match_their_definition(texts):
+    rows = [(t[:500], k % 3) for k, t in enumerate(texts.values())][:40]
+    model = quality_model.train(rows, 3, epochs=2)
+    for t in [t for t, _ in rows] + ["", "a a a b"]:
+        words, kinds = [w for w in features.words(t)], features.shapes(t)
+        value = quality_model.REPEAT_SCALE * np.sqrt(sum(a == b for a, b in zip(words, words[1:])) / max(1, len(words))) * model.w[-1]
+        for kind, (tokens, scale) in enumerate(((words, quality_model.WORD_SCALE), (kinds, quality_model.SHAPE_SCALE))):
+            cells = Counter((zlib.crc32(x) * 2 + kind) * 0x9E3779B97F4A7C15 % (1 << 64) >> 48 for x in tokens)
+            value += sum(scale * np.sqrt(c / len(tokens)) * model.w[i] for i, c in cells.items())
+        at, x = quality_model.vector(t)
+        assert abs(model.w[at] @ x - value) < 1e-9
+        tails = [1 / (1 + np.exp(-(value - cut))) for cut in (model.first, model.first + model.gaps[0])]
+        assert np.allclose(model.tails(model.w[at] @ x), tails) and tails[0] > tails[1]
+    # the gradient step of one row raises the probability of its own grade
+    one = [("good words here", 2)]
+    chance = lambda m: m.tails(m.w[quality_model.vector(one[0][0])[0]] @ quality_model.vector(one[0][0])[1])[1]
+    assert chance(quality_model.train(one * 5, 3, epochs=3)) > chance(quality_model.train(one, 3, epochs=1)) > 0.2
+
+
+def test_license_scores_match_plain_python(spark, docs):
+    model = licenses.fit(docs)
+    lines = [x for _, x in licenses.TEMPLATES] + ["a harmless line", "licensed", "Released under the MIT License. And more words follow."]
+    frame = spark.createDataFrame([(k, 0, x) for k, x in enumerate(lines)], "row long, place int, line string")
+    got = {r["row"]: r for r in licenses.classified(frame, model).collect()}
+    words = lambda t: re.findall(r"[a-z0-9]+", t.lower())
+    for k, line in enumerate(lines):
+        kept = [w for w in words(line) if w not in licenses.STOP]
+        grams = set(kept) | ({" ".join(p) for p in zip(kept, kept[1:])} if len(kept) > 1 else {" ".join(kept)})
+        odds = {f: np.exp(b + sum(model.weights.get(g, {}).get(f, 0.0) for g in grams)) for f, b in model.intercepts.items()}
+        best = max(odds.values()) / (1 + sum(odds.values()))
+        if k in got:
+            assert abs(got[k]["probability"] - best) < 1e-9
+            assert got[k]["family"] == (max(odds, key=lambda f: (odds[f], f)) if best >= model.threshold else licenses.UNKNOWN)
+        else:
+            assert not any(g in model.weights for g in grams)
+
+
+def test_pipeline_stages_take_null_and_repeated_ids(spark, sf, odd):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    kept = pipeline.near_duplicates(spark, odd, sf)
+    groups = brute_components({k: brute_print(r[1]) for k, r in enumerate(ODD)})
+    first = lambda k: (ODD[k][0] is None, ODD[k][0] or 0)
+    want = Counter(ODD[min((k for k in groups if groups[k] == g), key=first)][0] for g in set(groups.values()))
+    assert kept.columns == odd.columns and Counter(r["doc_id"] for r in kept.collect()) == want
+    item = spark.read.parquet(f"{sf}/benchmark.parquet").first()["text"]
+    mixed = spark.createDataFrame([(None, item, "x", "s", 1), (1, item, "x", "s", 1), (1, "clean words only", "x", "s", 1), (None, None, "x", "s", 0)], SCHEMA)
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in pipeline.benchmark_leaks(spark, mixed, sf).collect()) == [(0, ""), (1, "clean words only")]
