@@ -19,20 +19,23 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest id of each group; of repeated rows of one id, one. Rows without an id stay."""
-    found = stored(simhash.near_duplicates(docs), "components")
-    dropped = found.filter(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct()
-    kept = docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
-    repeated = found.filter("doc_id is not null").groupBy("doc_id").count().filter("count > 1")
-    if repeated.isEmpty():
+    """Keeps one document of each group: the one with the smallest id, then the least digest of its text. Of rows equal in both, one stays; ids may be null (last in order) or repeated."""
+    digest = F.md5("text")
+    key = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), digest.alias("digest"))
+    found = stored(simhash.near_duplicates(docs.select(key.alias("key"), "text"), "key"), "components")
+    dropped = found.filter(F.col("doc_id") != F.col("component_id")).select("doc_id.*").distinct()
+    same = F.col("doc_id").eqNullSafe(F.col("id")) & digest.eqNullSafe(F.col("digest"))
+    kept = docs.join(dropped, same, "left_anti").select(*docs.columns)
+    if found.groupBy("doc_id").count().filter("count > 1").isEmpty():
         return kept
-    return kept.filter("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(kept.filter("doc_id is null"))
+    return kept.withColumn("_digest", digest).dropDuplicates(["doc_id", "_digest"]).select(*docs.columns)
 
 
 def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that hold a window of a benchmark item."""
-    found = decontaminate.contamination(docs, table(spark, sf_dir, "benchmark"))
-    return docs.join(found.filter("n_hit > 0").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    """Drops documents that hold a window of a benchmark item. The text decides, so a text is named by its digest and ids may be null or repeated."""
+    found = decontaminate.contamination(docs.select(F.md5("text").alias("digest"), "text"), table(spark, sf_dir, "benchmark"), id_col="digest")
+    leaks = found.filter("n_hit > 0").select(F.col("doc_id").alias("digest")).distinct()
+    return docs.join(leaks, F.md5("text") == F.col("digest"), "left_anti").select(*docs.columns)
 
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
