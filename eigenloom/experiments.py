@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from eigenloom.operators import baselines, dense, solver, spmm, tiles
+from eigenloom.operators.subspace import Subspace
 from eigenloom.plans import costs
 from eigenloom.sources import graphs, stores
 
@@ -110,14 +111,13 @@ def spmm_variants(spark: SparkSession, sf_dir: str, widths=WIDTHS, edge: int = 1
     return with_relative(spark.createDataFrame(rows, "graph string, b int, variant string, seconds double"), "in memory", "graph", "b")
 
 
-def dense_sweep(spark: SparkSession, sf_dir: str, columns=(4, 8, 16, 32, 64), b: int = 4, bits: int = 14, group: int = 16, repeats: int = 1) -> DataFrame:
-    """Both dense multiplies over m: persisted, external, external in groups, and NumPy on the driver; with throughput in 2^30 bytes a second."""
+def dense_sweep(spark: SparkSession, sf_dir: str, columns=(4, 8, 16, 32, 64, 128, 256, 512), b: int = 4, bits: int = 12, group: int = 16, repeats: int = 1) -> DataFrame:
+    """Both dense multiplies over m: persisted, from a bucketed store, and NumPy on the driver; with throughput in 2^30 bytes a second."""
     n = graphs.table(spark, sf_dir, "orders").count()
-    external = [_stored(dense.random(spark, n, b, 100 + k, bits)) for k in range(max(columns) // b)]
-    for e in external:
-        e.columns_held = b
-    inside = [e.select("*").persist() for e in external]
-    arrays = [dense.to_array(e) for e in external]
+    store = Subspace(spark, n, bits, width=b)
+    external = [store.put(dense.packed(dense.random(spark, n, b, 100 + k, bits)), b) for k in range(max(columns) // b)]
+    arrays = [dense.to_array(e.frame) for e in external]
+    inside = [dense.dealt(e.frame, store.buckets) for e in external]
     for e in inside:
         e.columns_held = b
     rows = []
@@ -125,10 +125,11 @@ def dense_sweep(spark: SparkSession, sf_dir: str, columns=(4, 8, 16, 32, 64), b:
         count = m // b
         small = _block(m, b)
         for form, size in (("combine", n * (m + b) * 8), ("gram", n * (m + b) * 8)):
-            variants = {"in memory": (inside, None), "external": (external, None), "external, grouped": (external, group)}
-            for variant, (blocks, g) in variants.items():
-                run = (lambda bl=blocks, g=g: _drain(dense.combine(1.0, bl[:count], small, group=g))) if form == "combine" else (lambda bl=blocks, g=g: dense.gram(1.0, bl[:count], bl[0], g))
-                rows.append((form, m, variant, seconds(run, repeats), size))
+            persisted = (lambda: _drain(dense.combine(1.0, inside[:count], small, group=group))) if form == "combine" else (lambda: dense.gram(1.0, inside[:count], inside[0], group))
+            stored = (lambda: _drain(store.combine_plan(external[:count], small))) if form == "combine" else (lambda: store.gram(external[:count], external[0]))
+            if m <= 64:  # a join of more persisted blocks takes the planner longer than the product
+                rows.append((form, m, "in memory", seconds(persisted, repeats), size))
+            rows.append((form, m, "external", seconds(stored, repeats), size))
             serial = (lambda: np.hstack(arrays[:count]) @ small) if form == "combine" else (lambda: np.hstack(arrays[:count]).T @ arrays[0])
             rows.append((form, m, "one machine's library", seconds(serial, repeats), size))
     made = spark.createDataFrame(rows, "form string, m int, variant string, seconds double, bytes long")
@@ -174,17 +175,30 @@ def eigen_relative(spark: SparkSession, sf_dir: str, counts=(8, 32), names=None)
     return with_relative(made, "in memory", "graph", "k")
 
 
-def external_relative(spark: SparkSession, sf_dir: str, k: int = 2, blocks: int = 6) -> DataFrame:
-    """One solve with arrays, with persisted frames and with external frames, and external without the cache of the newest block: seconds, bytes, share of reorthogonalisation."""
-    edges = graphs.nation_trade(spark, sf_dir).persist()
+def timed_external(spark: SparkSession, edges: DataFrame, n: int, k: int, **options):
+    """An external solve without restarts whose multiplies are clocked apart from the scans."""
+    b, blocks = solver.preset(k)
+    store = tiles.TileStore(edges, n, n, 5, 32, b)
+    backend = solver.StoreBackend(spark, solver.resident_product(store), n, 5, store.bytes, True, b)
+    backend.clock = True
+    return solver.krylov_schur(backend, k, **({"b": b, "blocks": blocks, "max_restarts": 0} | options))
+
+
+def external_relative(spark: SparkSession, sf_dir: str, counts=(8, 32), names=("undirected",), tol: float = 1e-4, max_restarts: int = 3) -> DataFrame:
+    """Solves by presets with persisted frames, with files, and with files without the cache of the recent block: seconds, bytes by the ledger and in files, share of reorthogonalisation."""
     rows = []
-    for variant, storage, cached in (("in memory", "memory", True), ("external", "external", True), ("external, no cache", "external", False)):
-        backend = solver.FrameBackend(spark, solver.relational_product(edges, 25, 5), 25, bits=5, storage=storage, cache_recent=cached)
-        began = time.perf_counter()
-        found = solver.krylov_schur(backend, k, b=1, blocks=blocks, tol=1e-4, max_restarts=3)
-        rows.append((variant, time.perf_counter() - began, found.ledger.total("read"), found.ledger.total("written"), found.ledger.share("reorthogonalise"), found.restarts))
-    made = spark.createDataFrame(rows, "variant string, seconds double, bytes_read long, bytes_written long, reorthogonalise_share double, restarts int").withColumn("k", F.lit(k))
-    return with_relative(made, "in memory", "k")
+    graphs_ = workloads(spark, sf_dir)
+    for name in names:
+        edges, n = graphs_[name]
+        for k in counts:
+            b, blocks = solver.preset(k, "clustered" if name == "neighbours" else "external")
+            for variant, storage, cached in (("in memory", "memory", True), ("external", "external", True), ("external, no cache", "external", False)):
+                began = time.perf_counter()
+                found = solver.eigen(spark, edges, n, k, storage=storage, cache_recent=cached, b=b, blocks=blocks, tol=tol, max_restarts=max_restarts, bits=8, edge=256)
+                ledger = found.ledger
+                rows.append((name, k, variant, time.perf_counter() - began, ledger.total("read"), ledger.total("written"), ledger.total("files"), ledger.share("reorthogonalise"), found.restarts, found.expansions))
+    made = spark.createDataFrame(rows, "graph string, k int, variant string, seconds double, bytes_read long, bytes_written long, file_bytes long, reorthogonalise_share double, restarts int, expansions int")
+    return with_relative(made, "in memory", "graph", "k")
 
 
 def parameter_study(spark: SparkSession, sf_dir: str, k: int = 4) -> DataFrame:
@@ -219,21 +233,22 @@ def solver_family(spark: SparkSession, sf_dir: str, k: int = 4) -> DataFrame:
     """The block Krylov solver and the other solvers on the undirected graph: products with the matrix, seconds, error against the dense decomposition."""
     edges, n = workloads(spark, sf_dir)["undirected"]
     forward, _back, cells = solver.array_product(edges, n, n)
-    exact = np.sort(baselines.dense_exact(edges, n))[::-1][:k]
+    values = baselines.dense_exact(edges, n)
+    exact, by_size = np.sort(values)[::-1][:k], values[:k]
     make = lambda: solver.MemoryBackend(forward, n, cells)
     runs = {
         "block Krylov-Schur": lambda: solver.krylov_schur(make(), k, b=2, blocks=8, which="LA"),
         "single vector": lambda: baselines.single_vector(make(), k, which="LA"),
         "block Davidson": lambda: baselines.block_davidson(make(), k),
         "locally optimal": lambda: baselines.locally_optimal(make(), k),
-        "subspace iteration": lambda: baselines.subspace_iteration(make(), k + 8, 300),
+        "subspace iteration": lambda: baselines.subspace_iteration(make(), k),
     }
     rows = []
     for method, run in runs.items():
         began = time.perf_counter()
         found = run()
-        top = np.sort(np.real(found.values))[::-1][: (1 if method == "subspace iteration" else k)]
-        rows.append((method, found.products, time.perf_counter() - began, float(np.abs(top - exact[: len(top)]).max())))
+        want = by_size if method == "subspace iteration" else exact
+        rows.append((method, found.products, time.perf_counter() - began, float(np.abs(np.sort(np.real(found.values)) - np.sort(want)).max())))
     return spark.createDataFrame(rows, "method string, products int, seconds double, error double")
 
 
@@ -245,11 +260,13 @@ def web_svd(spark: SparkSession, sf_dir: str, k: int = 8) -> DataFrame:
         size = edges.agg(F.max("i") + 1, F.max("j") + 1).first()
         b, blocks = solver.preset(k, "web")
         began = time.perf_counter()
-        found = solver.singular(spark, edges, *size, k, b=b, blocks=blocks, tol=1e-6)
+        found = solver.singular(spark, edges, *size, k, b=b, blocks=blocks, tol=1e-6, storage="arrays", want_vectors=True)
+        forward, _back, _cells = solver.array_product(edges, *size)
+        rest = float(np.abs(forward(found.vectors) - found.left * found.values).max())
         order = min(size)
         read, written = costs.solve(order, b, b * blocks, k + b, 16 * edges.count(), found.restarts, 2)
-        rows.append((name, *size, time.perf_counter() - began, found.restarts, found.products, bool(found.converged.all()), costs.resident(order, b), read, written))
-    return spark.createDataFrame(rows, "graph string, n_rows long, n_cols long, seconds double, restarts int, products int, converged boolean, resident long, bytes_read long, bytes_written long")
+        rows.append((name, *size, time.perf_counter() - began, found.restarts, found.products, bool(found.converged.all()), costs.resident(order, b), read, written, rest))
+    return spark.createDataFrame(rows, "graph string, n_rows long, n_cols long, seconds double, restarts int, products int, converged boolean, resident long, bytes_read long, bytes_written long, residual double")
 
 
 def scaling(spark: SparkSession, sf_dir: str, repeats: int = 1) -> DataFrame:

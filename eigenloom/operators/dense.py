@@ -1,7 +1,7 @@
 """Tall dense blocks as chunk frames (iv, rows, data: columns one after another) and the operations a block eigensolver needs.
 
-Operands of one run share interval boundaries, so operations join on iv alone; with bucketed storage those joins have no exchange. Small
-matrices are NumPy arrays that travel inside the task. `group` bounds how many tall operands a task holds at a time.
+Operands of one run share interval boundaries, so operations join on iv alone; blocks dealt alike (`dealt`) meet without an exchange. Small
+matrices are NumPy arrays that travel inside the task. `group` is how many tall operands a task multiplies at a time. Stored blocks are in `subspace`.
 """
 
 from __future__ import annotations
@@ -15,16 +15,25 @@ CHUNK = "iv int, rows int, data array<double>"
 
 
 def interval_bits(width: int, target_bytes: int = 8 << 20, edge: int = 1) -> int:
-    """p such that 2^p rows of `width` doubles come near the target and are a multiple of the tile edge."""
-    return max(int(np.log2(max(1, edge))), int(np.log2(max(1, target_bytes // (8 * width)))))
+    """p such that 2^p rows of `width` doubles come near the target and are a multiple of the tile edge, which must be a power of two."""
+    if edge & (edge - 1):
+        raise ValueError("a tile edge that intervals are a multiple of is a power of two")
+    return max(edge.bit_length() - 1, max(1, target_bytes // (8 * width)).bit_length() - 1)
 
 
 def _batch(iv, rows, datas) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(iv, pa.int32()), pa.array(rows, pa.int32()), pa.array(datas, pa.list_(pa.float64()))], ["iv", "rows", "data"])
+    """datas: flat arrays of doubles."""
+    ends = np.cumsum([0, *map(len, datas)], dtype=np.int32)
+    lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0), *datas])))
+    return pa.RecordBatch.from_arrays([pa.array(iv, pa.int32()), pa.array(rows, pa.int32()), lists], ["iv", "rows", "data"])
 
 
-def _matrix(data, rows: int) -> np.ndarray:
-    return np.asarray(data, float).reshape(-1, rows).T
+def _matrices(column: pa.Array, rows: list[int]) -> list[np.ndarray]:
+    """(rows, width) views of a column of chunks, lists or bytes, without a copy."""
+    if pa.types.is_binary(column.type):
+        return [np.frombuffer(d.as_buffer(), "<f8").reshape(-1, n).T for d, n in zip(column, rows)]
+    at, flat = column.offsets.to_numpy(), column.values.to_numpy()
+    return [flat[at[t] : at[t + 1]].reshape(-1, n).T for t, n in enumerate(rows)]
 
 
 def _mapped(frame: DataFrame, columns: list[str], f) -> DataFrame:
@@ -33,21 +42,48 @@ def _mapped(frame: DataFrame, columns: list[str], f) -> DataFrame:
     def run(batches):
         for batch in batches:
             iv, rows = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            held = [batch.column(2 + k).to_pylist() for k in range(len(columns))]
-            yield _batch(iv, rows, [f(*(_matrix(h[t], n) for h in held)).ravel(order="F") for t, n in enumerate(rows)])
+            held = [_matrices(batch.column(2 + k), rows) for k in range(len(columns))]
+            yield _batch(iv, rows, [f(*(h[t] for h in held)).ravel(order="F") for t in range(len(rows))])
 
     return frame.select("iv", "rows", *columns).mapInArrow(run, CHUNK)
 
 
+def packed(chunks: DataFrame) -> DataFrame:
+    """Chunks with their doubles as bytes, the form they are stored in; chunks of bytes come back as they are."""
+    if dict(chunks.dtypes)["data"] == "binary":
+        return chunks.select("iv", "rows", "data")
+
+    def run(batches):
+        for batch in batches:
+            at, flat = batch.column(2).offsets.to_numpy(), batch.column(2).values.to_numpy()
+            data = pa.array([flat[at[t] : at[t + 1]].tobytes() for t in range(batch.num_rows)], pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), data], ["iv", "rows", "data"])
+
+    return chunks.select("iv", "rows", "data").mapInArrow(run, "iv int, rows int, data binary")
+
+
+def unpacked(chunks: DataFrame) -> DataFrame:
+    """Chunks with their doubles as an array, which column expressions can read."""
+    if dict(chunks.dtypes)["data"] != "binary":
+        return chunks
+
+    def run(batches):
+        for batch in batches:
+            rows = batch.column(1).to_pylist()
+            yield _batch(batch.column(0).to_pylist(), rows, [np.frombuffer(d.as_buffer(), "<f8") for d in batch.column(2)])
+
+    return chunks.select("iv", "rows", "data").mapInArrow(run, CHUNK)
+
+
 def from_rows(block: DataFrame, bits: int, n: int, width: int) -> DataFrame:
-    """Row block -> chunk block; absent rows are zero."""
+    """Row block -> chunk block; absent rows are zero, repeated ones are added."""
 
     def run(key, rows):
         iv = key[0].as_py()
         size = min(1 << bits, n - (iv << bits))
         x = np.zeros((size, width))
-        for i, v in zip(rows.column("i").to_pylist(), rows.column("x").to_pylist()):
-            x[i - (iv << bits)] += v
+        rows = rows.combine_chunks()
+        np.add.at(x, rows.column("i").to_numpy() - (iv << bits), rows.column("x").combine_chunks().flatten().to_numpy().reshape(-1, width))
         return pa.Table.from_batches([_batch([iv], [size], [x.ravel(order="F")])])
 
     some = block.select(F.shiftright("i", bits).cast("int").alias("iv"), "i", "x")
@@ -70,7 +106,8 @@ def from_array(spark: SparkSession, x: np.ndarray, bits: int) -> DataFrame:
 
 def to_array(chunks: DataFrame) -> np.ndarray:
     """The resident form on the driver: 8 x rows x columns bytes."""
-    return np.concatenate([_matrix(r["data"], r["rows"]) for r in sorted(chunks.collect(), key=lambda r: r["iv"])])
+    table = chunks.select("iv", "rows", "data").toArrow().sort_by("iv").combine_chunks()
+    return np.concatenate(_matrices(table.column("data").combine_chunks(), table.column("rows").to_pylist()))
 
 
 def random(spark: SparkSession, n: int, width: int, seed: int, bits: int) -> DataFrame:
@@ -89,31 +126,34 @@ def aligned(blocks: list[DataFrame]) -> DataFrame:
     return out
 
 
+def dealt(block: DataFrame, parts: int) -> DataFrame:
+    """The block persisted and hash-partitioned by interval: joins of blocks dealt into as many parts need no exchange."""
+    out = block.repartition(parts, "iv").persist()
+    out.columns_held = getattr(block, "columns_held", None)
+    return out
+
+
 def _groups(blocks: list, group: int | None) -> list[list]:
     size = group or len(blocks) or 1
     return [blocks[s : s + size] for s in range(0, len(blocks), size)]
 
 
 def combine(alpha: float, blocks: list[DataFrame], small: np.ndarray, beta: float = 0.0, other: DataFrame | None = None, group: int | None = None) -> DataFrame:
-    """alpha * [blocks] small + beta * other. The small matrix is cut along its rows by groups; partial results are added interval by interval."""
-    out, at = other, 0
-    scale = beta
-    for part in _groups(blocks, group):
-        if out is None:
-            frame, first = aligned(part), False
-        else:
-            frame, first = aligned([out, *part]), True
-
-        def f(*xs, at=at, first=first, scale=scale):
-            tall = xs[1:] if first else xs
-            made = alpha * (np.hstack(tall) @ small[at : at + sum(t.shape[1] for t in tall)])
-            return made + scale * xs[0] if first else made
-
-        widths = _widths(part)
-        out = _mapped(frame, [f"d{k}" for k in range(len(part) + first)], f)
-        at += sum(widths)
-        scale = 1.0
-    return out
+    """alpha * [blocks] small + beta * other in one plan. A task cuts the small matrix along its rows by groups of blocks and adds their parts into one buffer, so no partial result is stored."""
+    widths = _widths(blocks)
+    starts = np.cumsum([0, *widths])
+    size, more = group or len(blocks), other is not None
+
+    def f(*xs):
+        tall = xs[1:] if more else xs
+        out = beta * xs[0] if more else np.zeros((len(tall[0]), small.shape[1]))
+        for s in range(0, len(tall), size):
+            part = tall[s : s + size]
+            out = out + alpha * (np.hstack(part) @ small[starts[s] : starts[s + len(part)]])
+        return out
+
+    frames = blocks if other is None else [other, *blocks]
+    return _mapped(aligned(frames), [f"d{k}" for k in range(len(frames))], f)
 
 
 def _widths(blocks: list[DataFrame]) -> list[int]:
@@ -127,30 +167,46 @@ def _measure(block: DataFrame) -> int:
     return block.columns_held
 
 
-def gram(alpha: float, blocks: list[DataFrame], right: DataFrame, group: int | None = None) -> np.ndarray:
-    """alpha * [blocks]^T right: local sums over a task's intervals, then one small sum; the right operand is read once per group."""
-    out = []
-    for part in _groups(blocks, group):
-
-        def run(batches, count=len(part)):
-            total = None
-            for batch in batches:
-                rows = batch.column(1).to_pylist()
-                held = [batch.column(2 + k).to_pylist() for k in range(count + 1)]
-                for t, n in enumerate(rows):
-                    made = np.hstack([_matrix(h[t], n) for h in held[1:]]).T @ _matrix(held[0][t], n)
-                    total = made if total is None else total + made
-            if total is not None:
-                yield pa.RecordBatch.from_arrays([pa.array([total.shape[1]], pa.int32()), pa.array([total.ravel()], pa.list_(pa.float64()))], ["width", "v"])
-
-        parts = aligned([right, *part]).mapInArrow(run, "width int, v array<double>")
-        summed = parts.select("width", F.posexplode("v").alias("at", "v")).groupBy("width", "at").agg(F.sum("v").alias("v")).collect()
-        width = summed[0]["width"]
-        values = np.zeros(len(summed))
-        for r in summed:
-            values[r["at"]] = r["v"]
-        out.append(values.reshape(-1, width))
-    return alpha * np.vstack(out)
+def gram(alpha: float, blocks: list[DataFrame], right: DataFrame, group: int | None = None, share_right: bool = True) -> np.ndarray:
+    """alpha * [blocks]^T right: sums over a task's intervals, then one small sum. Blocks are multiplied in groups; the right operand's interval is read once for all of them, or,
+    without share_right, once for each group (the form that sharing is measured against)."""
+    if not share_right:
+        return np.vstack([gram(alpha, part, right, None) for part in _groups(blocks, group)])
+    parts = _gram_plan(blocks, right, group or len(blocks))
+    summed = parts.select("width", F.posexplode("v").alias("at", "v")).groupBy("width", "at").agg(F.sum("v").alias("v")).toArrow()
+    values = np.zeros(summed.num_rows)
+    values[summed.column("at").to_numpy()] = summed.column("v").to_numpy()
+    return alpha * values.reshape(-1, summed.column("width")[0].as_py())
+
+
+def _gram_plan(blocks: list[DataFrame], right: DataFrame, size: int) -> DataFrame:
+    count = len(blocks)
+
+    def run(batches):
+        total = None
+        for batch in batches:
+            rows = batch.column(1).to_pylist()
+            held = [_matrices(batch.column(2 + k), rows) for k in range(count + 1)]
+            for t in range(len(rows)):
+                made = np.vstack([np.hstack([h[t] for h in held[1 + s : 1 + s + size]]).T @ held[0][t] for s in range(0, count, size)])
+                total = made if total is None else total + made
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([total.shape[1]], pa.int32()), pa.array([total.ravel()], pa.list_(pa.float64()))], ["width", "v"])
+
+    return aligned([right, *blocks]).mapInArrow(run, "width int, v array<double>")
+
+
+def tsqr(block: DataFrame) -> np.ndarray:
+    """R of a tall block's QR factors: a QR of each interval, then one of the stacked small factors on the driver (width x width doubles an interval)."""
+
+    def run(batches):
+        for batch in batches:
+            for x in _matrices(batch.column(1), batch.column(0).to_pylist()):
+                r = np.linalg.qr(x, mode="r")
+                yield pa.RecordBatch.from_arrays([pa.array([x.shape[1]], pa.int32()), pa.array([r.ravel()], pa.list_(pa.float64()))], ["width", "v"])
+
+    made = block.select("rows", "data").mapInArrow(run, "width int, v array<double>").collect()
+    return np.linalg.qr(np.vstack([np.array(m["v"]).reshape(-1, m["width"]) for m in made]), mode="r")
 
 
 def scale(alpha: float, block: DataFrame) -> DataFrame:

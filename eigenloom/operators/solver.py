@@ -8,14 +8,17 @@ V <- V Q, T <- Q' T Q, C <- C Q. Everything tall sits behind a backend; only T,
 from __future__ import annotations
 
 import time
+import uuid
 from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import dense, spmm
-from .subspace import Ledger, Subspace
+from eigenloom.sources.stores import shared_dir
+
+from . import dense, spmm, tiles
+from .subspace import Block, Ledger, Subspace
 
 
 class MemoryBackend:
@@ -48,73 +51,194 @@ class MemoryBackend:
 
 
 class FrameBackend:
-    """Tall blocks are chunk frames; storage 'external' or 'memory'. product(frame, width) -> frame is any multiply of `spmm`."""
+    """Tall blocks are persisted chunk frames, dealt alike so that their joins need no exchange; a written copy only cuts their lineage. product(frame, width) -> frame is any multiply of `spmm`."""
 
-    def __init__(self, spark: SparkSession, product, n: int, cells: int = 0, bits: int = 12, storage: str = "external", cache_recent: bool = True, group: int | None = None):
-        self.spark, self.product, self.n, self.cells, self.bits, self.group = spark, product, n, cells, bits, group
-        self.ledger = Ledger()
-        self.store = Subspace(spark, storage, cache_recent=cache_recent, ledger=self.ledger, n=n)
+    def __init__(self, spark: SparkSession, product, n: int, bits: int = 12, group: int | None = None):
+        self.spark, self.product, self.n, self.bits, self.group, self.ledger = spark, product, n, bits, group, Ledger()
+        self.root, self.parts = f"{shared_dir(spark)}/frames-{uuid.uuid4().hex}", max(1, min(spark.sparkContext.defaultParallelism, ((n - 1) >> bits) + 1))
 
-    def _width(self, block):
-        return dense._widths([block])[0]
+    def _kept(self, frame, width):
+        path = f"{self.root}/{uuid.uuid4().hex}"
+        dense.packed(frame).write.parquet(path)
+        held = dense.dealt(self.spark.read.schema("iv int, rows int, data binary").parquet(path), self.parts)
+        held.columns_held = width
+        return held
 
     def random(self, width, seed):
-        return self.store.materialise(dense.random(self.spark, self.n, width, seed, self.bits), width)
+        return self._kept(dense.random(self.spark, self.n, width, seed, self.bits), width)
 
     def apply(self, x):
-        w = self._width(x)
-        self.ledger.note("multiply", "spmm", read=16 * self.cells + 8 * self.n * w)
-        return self.store.materialise(self.product(x, w), w)
+        w = dense._widths([x])[0]
+        return self._kept(self.product(x, w), w)
 
     def gram(self, blocks, w):
-        if not blocks:
-            return np.zeros((0, self._width(w)))
-        self.ledger.note("reorthogonalise", "gram", read=8 * self.n * (sum(map(self._width, blocks)) + self._width(w)))
-        return dense.gram(1.0, blocks, w, self.group)
+        return dense.gram(1.0, blocks, w, self.group) if blocks else np.zeros((0, dense._widths([w])[0]))
 
     def combine(self, alpha, blocks, small, beta=0.0, other=None):
-        self.ledger.note("reorthogonalise", "combine", read=8 * self.n * (sum(map(self._width, blocks)) + (small.shape[1] if other is not None else 0)))
-        for b in blocks:
-            self._width(b)
-        return self.store.materialise(dense.combine(alpha, blocks, small, beta, other, self.group), small.shape[1])
+        return self._kept(dense.combine(alpha, blocks, small, beta, other, self.group), small.shape[1])
 
     def keep(self, w):
-        return self.store.append(w, self._width(w)) if getattr(w, "name", "x") == "x" else w
+        return w
 
     def drop(self, blocks):
         for b in blocks:
             b.unpersist()
-            if getattr(b, "name", None):
-                path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(b.name)
-                path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
     def array(self, w):
         return dense.to_array(w)
 
+    def columns(self, blocks):
+        return sum(dense._widths(blocks))
+
+
+class Pending:
+    """A product less its parts along a basis, not yet made: rest = w - [blocks] h, with its Gram matrix."""
+
+    def __init__(self, blocks: list[Block], w: Block, h: np.ndarray, gram: np.ndarray):
+        self.blocks, self.w, self.h, self.gram, self.width = blocks, w, h, gram, w.width
+
+
+class StoreBackend:
+    """Tall blocks are in a bucketed `Subspace`: the external variant. A step scans the subspace three times and writes one block: the first scan gives V'w, the second V' and the Gram
+    matrix of w - V h without storing it, the third writes the normalised rest. The product w itself stays in memory, or, without cache_recent, in files until then."""
+
+    def __init__(self, spark: SparkSession, product, n: int, bits: int, matrix_bytes: int = 0, cache_recent: bool = True, width: int = 4, root: str | None = None):
+        self.product, self.n, self.matrix_bytes, self.ledger = product, n, matrix_bytes, Ledger()
+        self.store = Subspace(spark, n, bits, root, cache_recent, self.ledger, width)
+        self.bits, self.peak_bytes, self.clock = bits, 0, False
+        self.held_before = sum(i.memSize() + i.diskSize() for i in spark.sparkContext._jsc.sc().getRDDStorageInfo())
+
+    def _bytes(self, *widths) -> int:
+        return 8 * self.n * sum(widths)
+
+    def _size(self, block: Block) -> int:
+        """Bytes that a scan of the block reads from files."""
+        return self._bytes(block.width) if block.number else 0
+
+    def random(self, width, seed):
+        return self.store.put(dense.packed(dense.random(self.store.spark, self.n, width, seed, self.bits)), width)
+
+    def apply(self, x):
+        x = self._made(x)
+        self.ledger.note("multiply", "spmm", read=self.matrix_bytes + self._size(x))
+        held = self.store.hold(dense.packed(self.product(x.frame, x.width)), x.width)
+        if self.clock and not held.number:
+            held.frame.count()  # so that the multiply's time is not counted with the first scan's
+        return held
+
+    def project(self, blocks, w, passes=2):
+        h, _g = self.store.gram(blocks, w)
+        self.ledger.note("reorthogonalise", "gram", read=self._bytes(*(b.width for b in blocks)) + self._size(w))
+        if not w.number:  # what is held beside the files while the subspace is read: the product and the resident block
+            context = self.store.spark.sparkContext._jsc.sc()
+            kept = sum(i.memSize() + i.diskSize() for i in context.getRDDStorageInfo()) - self.held_before
+            self.peak_bytes = max(self.peak_bytes, int(kept) + self._bytes(w.width))
+        more, g = self.store.second_gram(blocks, w, h)
+        self.ledger.note("reorthogonalise", "second gram", read=self._bytes(*(b.width for b in blocks)) + self._size(w))
+        return Pending(list(blocks), w, h + more, g - more.T @ more), h + more
+
+    def _made(self, w):
+        if not isinstance(w, Pending):
+            return w
+        return self.combine(1.0, [w], np.eye(w.width))
+
+    def gram(self, blocks, w):
+        if len(blocks) == 1 and blocks[0] is w:
+            return w.gram if isinstance(w, Pending) else self.store.gram([], w)[1]
+        made, w = [self._made(b) for b in blocks], self._made(w)
+        self.ledger.note("reorthogonalise", "gram", read=self._bytes(*(b.width for b in made)) + self._size(w))
+        return self.store.gram(made, w)[0]
+
+    def combine(self, alpha, blocks, small, beta=0.0, other=None):
+        if len(blocks) == 1 and isinstance(blocks[0], Pending):
+            p = blocks[0]
+            if p.w is None:
+                raise ValueError("a pending block is made once")
+            self.ledger.note("reorthogonalise", "combine", read=self._bytes(*(b.width for b in p.blocks)) + self._size(p.w))
+            out = self.store.put(self.store.combine_plan(p.blocks, -alpha * p.h @ small, p.w, alpha * small), small.shape[1])
+            self.release(p)
+            return out
+        made = [self._made(b) for b in blocks]
+        self.ledger.note("reorthogonalise", "combine", read=self._bytes(*(b.width for b in made)) + (self._size(other) if other is not None else 0))
+        return self.store.put(self.store.combine_plan(made, alpha * small, other, None if other is None else beta * np.eye(small.shape[1])), small.shape[1])
+
+    def compress(self, blocks, q, b):
+        """Blocks of [blocks] q, all from one scan."""
+        self.ledger.note("restart", "combine", read=self._bytes(*(x.width for x in blocks)))
+        return self.store.put_many(blocks, q, [min(b, q.shape[1] - s) for s in range(0, q.shape[1], b)])
+
+    def release(self, w):
+        if isinstance(w, Pending) and w.w is not None:
+            self.store.drop([w.w])
+            w.w = None
+
+    def keep(self, w):
+        return self._made(w)
+
+    def drop(self, blocks):
+        self.store.drop(blocks)
+
+    def sweep(self, keep):
+        """Drops all blocks but these."""
+        kept = {b.number for b in keep if isinstance(b, Block)}
+        self.store.drop([b for k, b in list(self.store.blocks.items()) if k not in kept])
+
+    def array(self, w):
+        return dense.to_array(self._made(w).frame)
+
+    def columns(self, blocks):
+        return sum(b.width for b in blocks)
+
 
 def relational_product(edges: DataFrame, n: int, bits: int):
     """Multiply of a chunk frame by joins and sums alone."""
-    return lambda x, width: dense.from_rows(spmm.relational(edges, dense.to_rows(x, bits), width), bits, n, width)
+    return lambda x, width: dense.from_rows(spmm.relational(edges, dense.to_rows(dense.unpacked(x), bits), width), bits, n, width)
+
+
+class resident_product:
+    """Semi-external multiply by stored tiles: the matrix streams, the newest block is resident; the last multiply's broadcast leaves the executors at the next (a lost
+    part of its product can still be made again)."""
+
+    def __init__(self, store, **switches):
+        self.store, self.switches, self.last = store, switches, None
+
+    def __call__(self, x, width):
+        if self.last is not None:
+            self.last.unpersist()
+        made = spmm.semi_external(self.store, dense.to_array(x), **self.switches)
+        self.last = made.resident
+        return made
+
+
+class chained:
+    """The second multiply of the first one's product."""
 
+    def __init__(self, first, second):
+        self.first, self.second = first, second
 
-def resident_product(tiles: DataFrame, n: int, edge: int, bits: int):
-    """Semi-external multiply: tiles stream, the newest block is resident."""
+    def __call__(self, x, width):
+        return self.second(self.first(x, width), width)
+
+
+def striped_product(store, n_cols: int, bits: int, splits: int = 1):
+    """Multiply for blocks beyond the resident budget: chunks of the block are cut to tile columns and meet the tiles there."""
+    edge = store.edge
 
     def product(x, width):
-        full = np.zeros((-(-n // edge) * edge, width))
-        full[:n] = dense.to_array(x)
-        return dense.from_rows(spmm.resident(tiles, full, edge), bits, n, width)
+        columns = dense.from_rows(dense.to_rows(dense.unpacked(x), bits), edge.bit_length() - 1, n_cols, width)
+        return dense.from_rows(spmm.striped(store.frame.filter("tr >= 0"), columns, edge, width, splits), store.bits, store.n_rows, width)
 
     return product
 
 
 def array_product(edges: DataFrame, n_rows: int, n_cols: int, most: int = 20_000_000):
     """Compressed rows on the driver for orders that fit; refuses more than `most` cells."""
-    cells = edges.select("i", "j", "w").limit(most + 1).toPandas()
-    if len(cells) > most:
+    cells = edges.select("i", "j", "w").limit(most + 1).toArrow()
+    if cells.num_rows > most:
         raise ValueError("too many cells for the in-memory variant")
-    cells = cells.sort_values(["i", "j"], kind="stable")
-    i, j, w = cells["i"].to_numpy(), cells["j"].to_numpy(), cells["w"].to_numpy()
+    i, j, w = (cells.column(c).to_numpy() for c in ("i", "j", "w"))
+    order = np.lexsort((j, i))
+    i, j, w = i[order], j[order], w[order]
     starts = np.flatnonzero(np.diff(i, prepend=-1))
     by_col = np.argsort(j, kind="stable")
     col_starts = np.flatnonzero(np.diff(j[by_col], prepend=-1))
@@ -144,6 +268,9 @@ class Result:
     restarts: int = 0
     products: int = 0
     orthogonality: float = 0.0
+    locked: int = 0
+    left: object = None
+    steps: list = field(default_factory=list)
     ledger: Ledger = field(default_factory=Ledger)
 
     def frame(self, spark: SparkSession) -> DataFrame:
@@ -176,6 +303,8 @@ def preset(k: int, profile: str = "external") -> tuple[int, int]:
 
 def project_out(backend, blocks: list, w, passes: int = 2):
     """(w without its parts along the blocks, coefficients)."""
+    if hasattr(backend, "project"):
+        return backend.project(blocks, w, passes)
     total = None
     for _ in range(passes):
         h = backend.gram(blocks, w)
@@ -190,6 +319,8 @@ def normalise(backend, w, seed: int, blocks: list, floor: float, method: str = "
     size = len(g)
     values, vectors = np.linalg.eigh((g + g.T) / 2)
     good = values > max(floor * floor, 1e-26 * max(values[-1], 0))
+    if not good.any() and backend.n < _columns(backend, blocks) + size:
+        return None, np.zeros((0, size)), size
     if method == "cholesky" and good.all() and values[0] > 1e-8 * values[-1]:
         r = np.linalg.cholesky((g + g.T) / 2).T
         out = backend.combine(1.0, [w], np.linalg.inv(r))
@@ -199,17 +330,15 @@ def normalise(backend, w, seed: int, blocks: list, floor: float, method: str = "
         r = (vectors * np.where(good, np.sqrt(np.abs(values)), 0)).T
     missing = int((~good).sum())
     if missing and backend.n < _columns(backend, blocks) + size:
-        # fewer directions are left than the block has columns: go on with a narrower block, or none
-        if missing == size:
-            return None, r[good], missing
-        return backend.combine(1.0, [w], (vectors * inverse)[:, good]), r[good], missing
+        # fewer directions are left than the block has columns: go on with a narrower block
+        return backend.combine(1.0, [out], np.eye(size)[:, good]), r[good], missing
     if missing:
         fresh = backend.combine(1.0, [backend.random(size, seed)], np.diag((~good).astype(float)), 1.0, out)
         for _ in range(2):
             fresh = project_out(backend, blocks, fresh, 1)[0] if blocks else fresh
             turned = backend.gram([fresh], fresh)
             fresh = backend.combine(1.0, [fresh], np.linalg.inv(np.linalg.cholesky((turned + turned.T) / 2).T))
-        return fresh, backend.gram([fresh], w), missing
+        return fresh, backend.gram([fresh], out) @ r, missing
     if size == 1 or values[0] > 1e-4 * values[-1]:
         return out, r, 0
     second = backend.gram([out], out)  # a second pass of the same kind takes out rounding
@@ -218,11 +347,21 @@ def normalise(backend, w, seed: int, blocks: list, floor: float, method: str = "
 
 
 def _columns(backend, blocks) -> int:
-    return sum(b.shape[1] if isinstance(b, np.ndarray) else dense._widths([b])[0] for b in blocks)
+    return backend.columns(blocks) if hasattr(backend, "columns") else sum(b.shape[1] for b in blocks)
+
+
+def projected(t: np.ndarray, gram: np.ndarray | None = None, symmetric: bool = True) -> tuple[np.ndarray, np.ndarray]:
+    """Values and vectors of the projected problem T y = theta G y; G = V'V is given when the basis has lost orthogonality, and is reduced by its Cholesky factor."""
+    if gram is not None:
+        inverse = np.linalg.inv(np.linalg.cholesky((gram + gram.T) / 2))
+        values, vectors = projected(inverse @ t @ inverse.T, None, symmetric)
+        return values, inverse.T @ vectors
+    return np.linalg.eigh((t + t.T) / 2) if symmetric else np.linalg.eig(t)
 
 
-def krylov_schur(backend, k: int, b: int = 1, blocks: int | None = None, which: str = "LM", tol: float = 1e-8, max_restarts: int = 200, symmetric: bool = True, passes: int = 2, seed: int = 7, want_vectors: bool = False) -> Result:
-    """k wanted eigenvalues of the backend's operator with blocks of width b and at most `blocks` blocks."""
+def krylov_schur(backend, k: int, b: int = 1, blocks: int | None = None, which: str = "LM", tol: float = 1e-8, max_restarts: int = 200, symmetric: bool = True, passes: int = 2, seed: int = 7, want_vectors: bool = False, lock: bool = True) -> Result:
+    """k wanted eigenvalues of the backend's operator with blocks of width b and at most `blocks` blocks. lock: at a restart, converged wanted vectors are uncoupled from the rest, so
+    later steps change them no more; unwanted directions of the tail are dropped."""
     n = backend.n
     if k < 1 or n < 1:
         raise ValueError("k and the order must be at least 1")
@@ -247,7 +386,9 @@ def krylov_schur(backend, k: int, b: int = 1, blocks: int | None = None, which:
     full = False  # no direction is left outside the subspace
     for restart in range(max_restarts + 1):
         while not full and size + (wide := len(coupling)) <= limit:
-            basis.append(backend.keep(front))
+            front = backend.keep(front)
+            basis.append(front)
+            result.steps.append(("expand", size + wide, wide))
             w = timed("multiply", backend.apply, front)
             result.products += wide
             result.expansions += 1
@@ -265,10 +406,7 @@ def krylov_schur(backend, k: int, b: int = 1, blocks: int | None = None, which:
             front, r, _missing = timed("reorthogonalise", normalise, backend, w, seed + 1000 + result.expansions, basis, 1e-12 * max(1e-300, np.abs(t).max()))
             full = front is None
             coupling = np.hstack([np.zeros((len(r), size - wide)), r]) if not full else np.zeros((1, size))
-        if symmetric:
-            values, vectors = np.linalg.eigh((t + t.T) / 2)
-        else:
-            values, vectors = np.linalg.eig(t)
+        values, vectors = projected(t, None, symmetric)
         order = WHICH[which](values)
         values, vectors = values[order], vectors[:, order]
         residuals = np.linalg.norm(coupling @ vectors, axis=0)
@@ -285,55 +423,115 @@ def krylov_schur(backend, k: int, b: int = 1, blocks: int | None = None, which:
                 chosen = vectors[:, : kept + 1]
             u, s, _v = np.linalg.svd(np.hstack([chosen.real, chosen.imag]), full_matrices=False)
             q = u[:, s > 1e-10 * s[0]]
-        old, basis = basis, [timed("reorthogonalise", backend.combine, 1.0, basis, q[:, s : s + b]) for s in range(0, q.shape[1], b)]
-        backend.drop(old)
+        result.steps.append(("restart", size, q.shape[1]))
+        if hasattr(backend, "compress"):
+            front, basis = backend.keep(front), timed("restart", backend.compress, basis, q, b)
+            backend.sweep([*basis, front])
+        else:
+            old, basis = basis, [timed("reorthogonalise", backend.combine, 1.0, basis, q[:, s : s + b]) for s in range(0, q.shape[1], b)]
+            backend.drop(old)
         t, coupling, size = q.T @ t @ q, coupling @ q, q.shape[1]
+        if lock and symmetric:
+            fixed = np.flatnonzero(done)
+            coupling[:, fixed] = 0.0
+            result.locked = len(fixed)
         result.restarts += 1
     result.values, result.residuals, result.converged = values[:k], residuals[:k], done
     if want_vectors:
         result.vectors = backend.combine(1.0, basis, np.real(vectors[:, :k]))
         g = backend.gram([result.vectors], result.vectors)
         result.orthogonality = float(np.abs(g - np.eye(len(g))).max())
+    if hasattr(backend, "sweep"):
+        backend.release(w)
+        backend.sweep([*basis, result.vectors])
     for phase, seconds in began.items():
         backend.ledger.note(phase, "time", seconds=seconds)
     return result
 
 
-def eigen(spark: SparkSession, edges: DataFrame, n: int, k: int, storage: str = "arrays", edge: int = 1024, kernel: str = "resident", **options) -> Result:
-    """Eigenvalues of a square edge frame. storage: 'arrays' (in-memory variant), 'memory' or 'external' (chunk frames)."""
+#: Matrices of more cells are solved from stored tiles and files; fewer are gathered to the driver when storage is 'auto'.
+ARRAY_CELLS = 20_000_000
+
+
+def _place(edges: DataFrame, storage: str) -> str:
+    if storage != "auto":
+        return storage
+    return "arrays" if edges.limit(ARRAY_CELLS + 1).count() <= ARRAY_CELLS else "external"
+
+
+def _limit(n: int, k: int, options: dict) -> int:
+    b = options.get("b", 1)
+    return min(n, max(b * ((options.get("blocks") or max(2 * k // b, 2)) + 2), k + 2 * b))
+
+
+def _product(spark, edges, n_rows, n_cols, b, bits, kernel, edge, switches):
+    """(multiply, bytes of the matrix that it reads) by the planner's choice, or by the one asked for."""
+    if kernel == "relational":
+        held = edges.persist()
+        return relational_product(held, n_rows, bits), 16 * held.count()
+    store = tiles.TileStore(edges, n_rows, n_cols, bits, edge, b)
+    chosen = spmm.choose(n_cols, b, store.cells) if kernel == "auto" else kernel
+    return (resident_product(store, **switches) if chosen == "resident" else striped_product(store, n_cols, bits)), store.bytes
+
+
+def eigen(spark: SparkSession, edges: DataFrame, n: int, k: int, storage: str = "auto", edge: int | None = None, kernel: str = "auto", cache_recent: bool = True, bits: int | None = None, switches: dict | None = None, **options) -> Result:
+    """Eigenvalues of a square edge frame.
+
+    storage: 'arrays' (in-memory variant on the driver), 'memory' (persisted chunk frames), 'external' (bucketed files), or 'auto': arrays up to ARRAY_CELLS cells, files beyond.
+    kernel: 'resident', 'striped', 'relational', or 'auto' by the size of a block.
+    """
+    storage = _place(edges, storage)
     if storage == "arrays":
         forward, _b, cells = array_product(edges, n, n)
         return krylov_schur(MemoryBackend(forward, n, cells), k, **options)
-    from . import tiles
+    bits = bits or dense.interval_bits(_limit(n, k, options), 64 << 20, edge or 256)
+    product, size = _product(spark, edges, n, n, options.get("b", 1), bits, kernel, edge, switches or {})
+    if storage == "memory":
+        return krylov_schur(FrameBackend(spark, product, n, bits), k, **options)
+    backend = StoreBackend(spark, product, n, bits, size, cache_recent, options.get("b", 1))
+    found = krylov_schur(backend, k, **options)
+    found.backend = backend
+    return found
 
-    bits = dense.interval_bits(4, edge=edge)
-    if kernel == "resident":
-        coded = tiles.encoded(edges, edge).persist()
-        product = resident_product(coded, n, edge, bits)
-    else:
-        product = relational_product(edges.persist(), n, bits)
-    return krylov_schur(FrameBackend(spark, product, n, bits=bits, storage=storage), k, **options)
 
+def singular(spark: SparkSession, edges: DataFrame, n_rows: int, n_cols: int, k: int, via: str = "normal", storage: str = "auto", edge: int | None = None, kernel: str = "auto", cache_recent: bool = True, bits: int | None = None, **options) -> Result:
+    """Singular values, and with want_vectors both sides' vectors (`left`, `vectors`).
 
-def singular(spark: SparkSession, edges: DataFrame, n_rows: int, n_cols: int, k: int, via: str = "normal", storage: str = "arrays", **options) -> Result:
-    """Singular values: 'normal' works on A'A or AA', whichever is smaller (squares values); 'bordered' on [0 A; A' 0] (order n_rows + n_cols, pairs of signs)."""
+    via: 'normal' works on A'A or AA', whichever is smaller (squares values); 'bordered' on [0 A; A' 0] (order n_rows + n_cols, pairs of signs).
+    """
     k = min(k, n_rows, n_cols)
     options.setdefault("b", 2)
     options.setdefault("blocks", max(2 * k // options["b"], 2) + 4)
+    storage = _place(edges, storage)
+    if via == "bordered":
+        found = eigen(spark, spmm.bordered(edges, n_rows), n_rows + n_cols, k, storage, edge, kernel, cache_recent, bits, which="LA", **options)
+        if found.vectors is not None and isinstance(found.vectors, np.ndarray):
+            found.left, found.vectors = (np.sqrt(2) * x for x in np.split(found.vectors, [n_rows]))
+        return found
+    flipped = n_cols > n_rows
     if storage == "arrays":
         forward, backward, cells = array_product(edges, n_rows, n_cols)
-        if via == "normal":
-            product = (lambda x: backward(forward(x))) if n_cols <= n_rows else (lambda x: forward(backward(x)))
-            found = krylov_schur(MemoryBackend(product, min(n_rows, n_cols), cells), k, which="LA", **options)
-            found.values = np.sqrt(np.maximum(found.values, 0))
-            return found
-        product = lambda x: np.vstack([forward(x[n_rows:]), backward(x[:n_rows])])
-        return krylov_schur(MemoryBackend(product, n_rows + n_cols, cells), k, which="LA", **options)
-    if n_cols > n_rows:
-        edges, n_rows, n_cols = edges.select(F.col("j").alias("i"), F.col("i").alias("j"), "w"), n_cols, n_rows
-    edges = edges.persist()
-    bits = dense.interval_bits(4)
-    product = lambda x, width: dense.from_rows(spmm.normal(edges, dense.to_rows(x, bits), width), bits, n_cols, width)
-    found = krylov_schur(FrameBackend(spark, product, n_cols, bits=bits, storage=storage), k, which="LA", **options)
-    found.values = np.sqrt(np.maximum(found.values, 0))
+        there, back = (backward, forward) if flipped else (forward, backward)
+        found = krylov_schur(MemoryBackend(lambda x: back(there(x)), min(n_rows, n_cols), cells), k, which="LA", **options)
+        found.values = np.sqrt(np.maximum(found.values, 0))
+        if found.vectors is not None:
+            found.left = there(found.vectors) / np.maximum(found.values, 1e-300)
+    else:
+        turned = edges.select(F.col("j").alias("i"), F.col("i").alias("j"), "w")
+        edges, turned, n_rows, n_cols = (turned, edges, n_cols, n_rows) if flipped else (edges, turned, n_rows, n_cols)
+        bits = bits or dense.interval_bits(_limit(n_cols, k, options), 64 << 20, edge or 256)
+        there, size = _product(spark, edges, n_rows, n_cols, options["b"], bits, kernel, edge, {})
+        back, more = _product(spark, turned, n_cols, n_rows, options["b"], bits, kernel, edge, {})
+        product = chained(there, back)
+        if storage == "memory":
+            backend = FrameBackend(spark, product, n_cols, bits)
+        else:
+            backend = StoreBackend(spark, product, n_cols, bits, size + more, cache_recent, options["b"])
+        found = krylov_schur(backend, k, which="LA", **options)
+        found.values = np.sqrt(np.maximum(found.values, 0))
+        if found.vectors is not None:
+            chunks = found.vectors.frame if isinstance(found.vectors, Block) else found.vectors
+            found.left = dense.scale_columns(dense.unpacked(there(chunks, k)), 1 / np.maximum(found.values, 1e-300))
+    if flipped:
+        found.left, found.vectors = found.vectors, found.left
     return found

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from eigenloom.functions import codec
+from eigenloom.functions import codec, resident as residency
+from eigenloom.operators import tiles as tiling
 
 CHUNK = "iv int, rows int, data array<double>"
 
@@ -50,28 +53,97 @@ def resident(tiles: DataFrame, dense: np.ndarray, edge: int, vectorised: bool =
     return tiles.select("tr", "tc", "n_single", "code", "vals").mapInArrow(run, "i long, x array<double>")
 
 
+#: Bytes of a core's cache that a super tile fills, and the greatest block that is broadcast; beyond it the striped multiply runs.
+CACHE_BYTES, RESIDENT_BYTES = 1 << 20, 4 << 30
+
+
+def semi_external(store, dense: np.ndarray, spread: bool = True, super_tile: bool = True, vectorised: bool = True, local_buffer: bool = True, buffer_reuse: bool = True) -> DataFrame:
+    """Stored tiles times a resident block, as chunks (iv, rows, data binary) of the store's row intervals; no exchange. Each switch off gives the same product.
+
+    spread: workers of an executor share one mapped copy of the block; off: each unpickles its own. super_tile: a batch's tiles are visited by super tiles whose dense rows fit the
+    cache; off: as they come. vectorised: sorted sums; off: a loop over cells. local_buffer: a part's rows are added up in one buffer and emitted once; off: each tile emits
+    its rows, which a second stage adds. buffer_reuse: the buffer outlives the part; off: each part allocates its own.
+    """
+    width, edge, bits, n = dense.shape[1], store.edge, store.bits, store.n_rows
+    if 8 * dense.size > RESIDENT_BYTES:
+        raise ValueError("the block is too large to be resident; use striped")
+    padded = np.zeros((-(-dense.shape[0] // edge) * edge, width))
+    padded[: len(dense)] = dense
+    held, side, parts = store.spark.sparkContext.broadcast(padded), tiling.plan_super(width, CACHE_BYTES, 1, edge), store.parts
+    name = f"{store.table}-{held._jbroadcast.id()}"
+
+    def ordered(batch):
+        rows = [r for r in zip(*(batch.column(batch.schema.get_field_index(c)).to_pylist() for c in ("tr", "tc", "n_single", "code", "vals"))) if r[0] >= 0]
+        return sorted(rows, key=lambda r: (r[0] // side, r[1] // side, r[0], r[1])) if super_tile else rows
+
+    def by_part(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        x = residency.mapped(held, name) if spread else held.value
+        first, last = parts[key[0].as_py()]
+        begin, end = first << bits, min(n, (last + 1) << bits)
+        out = residency.zeros(-(-(end - begin) // edge) * edge, width, buffer_reuse)
+        for batch in batches:
+            for tr, tc, single, code, vals in ordered(batch):
+                at = tr * edge - begin
+                codec.multiply_into(out[at : at + edge], *codec.decode(code, vals, single), x[tc * edge : (tc + 1) * edge], vectorised)
+        for iv in range(first, last + 1):
+            piece = out[(iv << bits) - begin : min(end, (iv + 1) << bits) - begin]
+            yield pa.RecordBatch.from_arrays([pa.array([iv], pa.int32()), pa.array([len(piece)], pa.int32()), pa.array([piece.tobytes(order="F")], pa.binary())], ["iv", "rows", "data"])
+
+    def by_tile(batches):
+        x = residency.mapped(held, name) if spread else held.value
+        for batch in batches:
+            for tr, tc, single, code, vals in ordered(batch):
+                out = residency.zeros(edge, width, buffer_reuse)
+                codec.multiply_into(out, *codec.decode(code, vals, single), x[tc * edge : (tc + 1) * edge], vectorised)
+                yield _rows(np.flatnonzero(np.any(out != 0, axis=1)), tr * edge, out)
+
+    if local_buffer:
+        made = store.frame.groupBy("part").applyInArrow(by_part, "iv int, rows int, data binary")
+    else:
+        from eigenloom.operators import dense as blocks
+
+        partial = store.frame.select("tr", "tc", "n_single", "code", "vals").mapInArrow(by_tile, "i long, x array<double>")
+        made = blocks.packed(blocks.from_rows(added(partial, width), bits, n, width))
+    made.resident = held  # destroyed by whoever has used the product
+    return made
+
+
+def _rows(used: np.ndarray, begin: int, out: np.ndarray) -> pa.RecordBatch:
+    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(used) + 1, dtype=np.int32) * out.shape[1]), pa.array(out[used].ravel()))
+    return pa.RecordBatch.from_arrays([pa.array(used + begin), lists], ["i", "x"])
+
+
 def added(parts: DataFrame, width: int) -> DataFrame:
     """Sums of partial rows of one i."""
     return parts.groupBy("i").agg(*(F.sum(F.get("x", F.lit(k))).alias(f"_{k}") for k in range(width))).select("i", F.array(*(F.col(f"_{k}") for k in range(width))).alias("x"))
 
 
-def striped(tiles: DataFrame, block: DataFrame, edge: int, width: int) -> DataFrame:
+def striped(tiles: DataFrame, block: DataFrame, edge: int, width: int, splits: int = 1, held_rows: int = 64) -> DataFrame:
     """For dense blocks too large to be resident: tiles meet the chunk of their tile column (interval = tile edge), then partial rows are added.
 
-    block: chunk block with iv = tile column.
+    block: chunk block with iv = tile column. splits: tiles of one column are dealt by tile row into so many groups, each with a copy of the chunk, so a hub column is no single
+    task's work. A task adds into buffers of up to `held_rows` tile rows and emits each when it needs the room.
     """
+    from eigenloom.operators.dense import _matrices
 
     def run(batches):
+        held: dict[int, np.ndarray] = {}
         for batch in batches:
-            for tr, single, code, vals, rows, data in zip(*(batch.column(k).to_pylist() for k in ("tr", "n_single", "code", "vals", "rows", "data"))):
-                x = np.zeros((edge, width))
-                x[:rows] = np.array(data).reshape(width, rows).T
-                out = np.zeros((edge, width))
-                codec.multiply_into(out, *codec.decode(code, vals, single), x)
-                used = np.flatnonzero(np.any(out != 0, axis=1))
-                yield pa.RecordBatch.from_arrays([pa.array(used + tr * edge), pa.array(out[used].tolist(), pa.list_(pa.float64()))], ["i", "x"])
-
-    joined = tiles.join(block.withColumnRenamed("iv", "tc"), "tc").select("tr", "n_single", "code", "vals", "rows", "data")
+            rows = batch.column(4).to_pylist()
+            for tr, single, code, vals, x in zip(*(batch.column(k).to_pylist() for k in range(4)), _matrices(batch.column(5), rows)):
+                if tr not in held:
+                    if len(held) >= held_rows:
+                        for k, out in held.items():
+                            yield _rows(np.flatnonzero(np.any(out != 0, axis=1)), k * edge, out)
+                        held = {}
+                    held[tr] = np.zeros((edge, width))
+                codec.multiply_into(held[tr], *codec.decode(code, vals, single), x)
+        for k, out in held.items():
+            yield _rows(np.flatnonzero(np.any(out != 0, axis=1)), k * edge, out)
+
+    left = tiles.withColumn("split", F.pmod("tr", F.lit(splits)))
+    right = block.select(F.col("iv").alias("tc"), "rows", "data", F.explode(F.sequence(F.lit(0), F.lit(splits - 1))).alias("split"))
+    joined = left.join(right, ["tc", "split"]).select("tr", "n_single", "code", "vals", "rows", "data")
     return added(joined.mapInArrow(run, "i long, x array<double>"), width)
 
 
@@ -81,8 +153,10 @@ def row_listed(lists: DataFrame, dense: np.ndarray) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            made = [np.asarray(v) @ held.value[np.asarray(c, np.int64)] for c, v in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist())]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([m.tolist() for m in made], pa.list_(pa.float64()))], ["i", "x"])
+            at, cols, vals = batch.column(1).offsets.to_numpy(), batch.column(1).values.to_numpy(), batch.column(2).values.to_numpy()
+            made = np.array([vals[a:b] @ held.value[cols[a:b]] for a, b in zip(at, at[1:])]).reshape(batch.num_rows, -1)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(made) + 1, dtype=np.int32) * held.value.shape[1]), pa.array(made.ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), lists], ["i", "x"])
 
     return lists.select("i", "cols", "vals").mapInArrow(run, "i long, x array<double>")
 
@@ -117,6 +191,18 @@ def normalised(edges: DataFrame) -> DataFrame:
     return rows.select("i", "j", (F.col("w") / F.sqrt(F.col("d") * F.col("e"))).alias("w"))
 
 
-def choose(n: int, width: int, cells: int, budget_bytes: int, tiled: bool = True) -> str:
+def shifted(edges: DataFrame, n: int, sigma: float) -> DataFrame:
+    """A - sigma I as an edge frame."""
+    loops = edges.sparkSession.range(n).select(F.col("id").alias("i"), F.col("id").alias("j"), F.lit(-float(sigma)).alias("w"))
+    return edges.select("i", "j", "w").unionByName(loops).groupBy("i", "j").agg(F.sum("w").alias("w"))
+
+
+def bordered(edges: DataFrame, n_rows: int) -> DataFrame:
+    """[0 A; A' 0] as an edge frame; columns of A follow its rows."""
+    moved = edges.select("i", (F.col("j") + n_rows).alias("j"), "w")
+    return moved.unionByName(moved.select(F.col("j").alias("i"), F.col("i").alias("j"), "w"))
+
+
+def choose(n: int, width: int, cells: int, budget_bytes: int = RESIDENT_BYTES, tiled: bool = True) -> str:
     """resident if the block fits an executor's budget; striped if tiles exist; else relational."""
     return "resident" if 8 * n * width <= budget_bytes and tiled else "striped" if tiled and cells > n else "relational"

@@ -1,29 +1,41 @@
-"""Storage of a growing subspace: one block at a time, in memory or as external Parquet, with a cache of the most recent block and a ledger of bytes."""
+"""Storage of a growing subspace: tall blocks in one table of column-major chunks, partitioned by block and bucketed by row interval.
+
+All blocks of a run share interval boundaries and buckets, so a scan of any of them already holds an interval's chunks in one task: products of blocks group
+by interval without an exchange. A block is committed by a manifest that is renamed into place after the write, so a retried write never shows half a block.
+"""
 
 from __future__ import annotations
 
 import json
-import tempfile
 import time
 import uuid
 
+import numpy as np
+import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from eigenloom.sources.stores import shared_dir
+
+#: A chunk at rest: the doubles of an interval, column after column.
+PACKED = "iv int, rows int, data binary"
+PARTIAL = "width int, v array<double>"
 
 
 class Ledger:
-    """Logical bytes and seconds by phase."""
+    """Logical bytes, bytes of files and seconds by phase."""
 
     def __init__(self):
-        self.rows: list[tuple[int, str, str, int, int, float]] = []
+        self.rows: list[tuple[int, str, str, int, int, float, int]] = []
         self.step = 0
 
-    def note(self, phase: str, op: str, read: int = 0, written: int = 0, seconds: float = 0.0) -> None:
-        self.rows.append((self.step, phase, op, read, written, seconds))
+    def note(self, phase: str, op: str, read: int = 0, written: int = 0, seconds: float = 0.0, files: int = 0) -> None:
+        self.rows.append((self.step, phase, op, int(read), int(written), seconds, int(files)))
 
-    def total(self, column: str) -> int:
-        at = {"read": 3, "written": 4, "seconds": 5}[column]
-        return sum(r[at] for r in self.rows)
+    def total(self, column: str, op: str | None = None):
+        at = {"read": 3, "written": 4, "seconds": 5, "files": 6}[column]
+        return sum(r[at] for r in self.rows if op in (None, r[2]))
 
     def share(self, phase: str) -> float:
         spent = self.total("seconds")
@@ -33,59 +45,201 @@ class Ledger:
         return self.total("written") / (capacity_bytes * days)
 
     def frame(self, spark: SparkSession) -> DataFrame:
-        return spark.createDataFrame(self.rows, "step int, phase string, op string, bytes_read long, bytes_written long, seconds double")
+        return spark.createDataFrame(self.rows, "step int, phase string, op string, bytes_read long, bytes_written long, seconds double, file_bytes long")
 
 
-class Subspace:
-    """storage 'memory' persists blocks (a written copy only cuts their lineage); 'external' writes each as Parquet files under a name of its own and, with cache_recent, keeps the newest persisted as well.
+class Block:
+    """A tall block: stored under its number, or, with number 0, held in memory only."""
+
+    def __init__(self, number: int, width: int, frame: DataFrame):
+        self.number, self.width, self.frame = number, width, frame
+
+
+def _chunk(data, rows: int) -> np.ndarray:
+    """(width, rows) view of a chunk's bytes."""
+    return np.frombuffer(data, "<f8").reshape(-1, rows)
 
-    Blocks are committed by adding their name to a manifest after the write, so a retried append never shows half a block.
-    """
 
-    def __init__(self, spark: SparkSession, storage: str = "external", root: str | None = None, cache_recent: bool = True, ledger: Ledger | None = None, n: int = 0):
-        self.spark, self.storage, self.cache_recent, self.n = spark, storage, cache_recent, n
-        self.root = root or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="eigenloom-subspace-")
-        self.blocks: list[tuple[str, DataFrame, int]] = []
-        self.recent: DataFrame | None = None
-        self.ledger = ledger or Ledger()
+def _pieces(table: pa.Table) -> dict[int, np.ndarray]:
+    rows = table.column("rows")[0].as_py() if table.num_rows else 0
+    return {b: _chunk(d.as_buffer(), rows) for b, d in zip(table.column("blk").to_pylist(), table.column("data"))}
 
-    def materialise(self, block: DataFrame, width: int) -> DataFrame:
+
+def _partial(made: np.ndarray) -> pa.Table:
+    return pa.table({"width": pa.array([made.shape[1]], pa.int32()), "v": pa.array([made.ravel()], pa.list_(pa.float64()))})
+
+
+def _packed(iv: int, made: np.ndarray) -> pa.Table:
+    """One chunk from a (rows, width) matrix."""
+    return pa.table({"iv": pa.array([iv], pa.int32()), "rows": pa.array([len(made)], pa.int32()), "data": pa.array([np.asarray(made, "<f8").tobytes(order="F")], pa.binary())})
+
+
+class Subspace:
+    """Blocks of n rows in intervals of 2^bits. cache_recent keeps the most recent block, the product that is being projected, in memory until it is stored in its final form;
+    without it that block is written to files too, and read from them."""
+
+    def __init__(self, spark: SparkSession, n: int, bits: int, root: str | None = None, cache_recent: bool = True, ledger: Ledger | None = None, width: int = 4, bucket_bytes: int = 64 << 20):
+        self.spark, self.n, self.bits, self.cache_recent, self.ledger = spark, n, bits, cache_recent, ledger or Ledger()
+        self.root = root or f"{shared_dir(spark)}/subspace-{uuid.uuid4().hex}"
+        self.intervals = ((n - 1) >> bits) + 1
+        wanted = max(spark.sparkContext.defaultParallelism, 8 * n * width // bucket_bytes)
+        self.buckets = max(1, min(self.intervals, wanted, int(spark.conf.get("spark.sql.sources.bucketing.maxBuckets", "100000"))))
+        self.table, self.blocks, self.commits, self.made = "subspace_" + uuid.uuid4().hex, {}, 0, 0
+
+    def _path(self, name: str):
+        return self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
+
+    def _files(self, path):
+        return path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+
+    def commit(self) -> None:
+        """Writes the list of blocks beside the last one and renames it into place."""
+        self.commits += 1
+        draft, final = self._path(f"manifest-{self.commits:08d}.draft"), self._path(f"manifest-{self.commits:08d}.json")
+        files = self._files(draft)
+        out = files.create(draft, True)
+        out.write(bytearray(json.dumps({"n": self.n, "bits": self.bits, "buckets": self.buckets, "blocks": [[b.number, b.width] for b in self.blocks.values()]}).encode()))
+        out.close()
+        files.rename(draft, final)
+        if self.commits > 1:
+            files.delete(self._path(f"manifest-{self.commits - 1:08d}.json"), False)
+
+    @classmethod
+    def resumed(cls, spark: SparkSession, root: str, **options) -> Subspace:
+        """The store that the newest manifest under root describes."""
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(root)
+        files = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        last = max(f.getPath().getName() for f in files.listStatus(path) if f.getPath().getName().endswith(".json"))
+        held = json.loads(spark.read.text(f"{root}/{last}", wholetext=True).first()[0])
+        made = cls(spark, held["n"], held["bits"], root, **options)
+        made.buckets, made.commits = held["buckets"], int(last[9:17])
+        spark.sql(f"create table {made.table} (iv int, rows int, data binary, blk int) using parquet partitioned by (blk) clustered by (iv) sorted by (iv) into {made.buckets} buckets location '{root}/blocks'")
+        for number, width in held["blocks"]:
+            spark.sql(f"alter table {made.table} add if not exists partition (blk={number})")
+            made.blocks[number] = Block(number, width, made.scan([number]).drop("blk"))
+            made.made = max(made.made, number)
+        return made
+
+    def scan(self, numbers: list[int]) -> DataFrame:
+        return self.spark.table(self.table).where(F.col("blk").isin(numbers)).select("iv", "blk", "rows", "data")
+
+    def put(self, frame: DataFrame, width: int) -> Block:
+        """Writes one block; frame has PACKED rows."""
         began = time.time()
-        name = f"{self.root}/block-{uuid.uuid4().hex}"
-        block.write.parquet(name)  # also cuts the lineage, which would grow with each restart
-        held = self.spark.read.schema(block.schema).parquet(name)
-        if self.storage == "memory":
-            held = held.persist(StorageLevel.MEMORY_AND_DISK)
-        held.name = name
-        if self.storage == "external":
-            self.ledger.note("store", "write", written=8 * self.n * width, seconds=time.time() - began)
-        held.columns_held = width
-        return held
-
-    def append(self, block: DataFrame, width: int) -> DataFrame:
-        held = self.materialise(block, width)
-        if self.storage == "external" and self.cache_recent:
-            if self.recent is not None:
-                self.recent.unpersist()
-            self.recent = held.persist(StorageLevel.MEMORY_AND_DISK)
-        self.blocks.append((getattr(held, "name", None) or "", held, width))
-        return held
-
-    def frames(self) -> list[DataFrame]:
-        return [b for _, b, _ in self.blocks]
-
-    @property
-    def width(self) -> int:
-        return sum(w for _, _, w in self.blocks)
-
-    def drop(self, count: int) -> None:
-        """Forgets the first blocks and deletes their files."""
-        gone, self.blocks = self.blocks[:count], self.blocks[count:]
-        for name, block, _ in gone:
-            block.unpersist()
-            if name:
-                path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(name)
-                path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
-
-    def manifest(self) -> str:
-        return json.dumps([[name, w] for name, _, w in self.blocks])
+        self.made += 1
+        number = self.made
+        rows = frame.select("iv", "rows", "data").withColumn("blk", F.lit(number))
+        rows.write.mode("append").partitionBy("blk").bucketBy(self.buckets, "iv").sortBy("iv").option("compression", "uncompressed").option("path", f"{self.root}/blocks").saveAsTable(self.table)
+        block = Block(number, width, self.scan([number]).drop("blk"))
+        self.blocks[number] = block
+        self.commit()
+        size = self._files(self._path("blocks")).getContentSummary(self._path(f"blocks/blk={number}")).getLength()
+        self.ledger.note("store", "write", written=8 * self.n * width, seconds=time.time() - began, files=size)
+        return block
+
+    def put_many(self, blocks: list[Block], small: np.ndarray, widths: list[int]) -> list[Block]:
+        """The columns of [blocks] small as blocks of the given widths, from one scan and in one write."""
+        began, cuts = time.time(), np.cumsum([0, *widths])
+        numbers = list(range(self.made + 1, self.made + 1 + len(widths)))
+        self.made += len(widths)
+
+        def run(iv, held, w):
+            out, at = np.zeros((small.shape[1], held[0].shape[1])), 0
+            for v in held:
+                out += small[at : at + len(v)].T @ v
+                at += len(v)
+            pieces = [_packed(iv, out[a:b].T).append_column("blk", pa.array([k], pa.int32())) for k, a, b in zip(numbers, cuts, cuts[1:])]
+            return pa.concat_tables(pieces)
+
+        rows = self.grouped(blocks, None, run, PACKED + ", blk int")
+        rows.write.mode("append").partitionBy("blk").bucketBy(self.buckets, "iv").sortBy("iv").option("compression", "uncompressed").option("path", f"{self.root}/blocks").saveAsTable(self.table)
+        made = [Block(k, w, self.scan([k]).drop("blk")) for k, w in zip(numbers, widths)]
+        self.blocks |= {b.number: b for b in made}
+        self.commit()
+        size = sum(self._files(self._path("blocks")).getContentSummary(self._path(f"blocks/blk={k}")).getLength() for k in numbers)
+        self.ledger.note("store", "write", written=8 * self.n * sum(widths), seconds=time.time() - began, files=size)
+        return made
+
+    def hold(self, frame: DataFrame, width: int) -> Block:
+        """A block that is used once: kept in memory, dealt like the buckets, if cache_recent; else written."""
+        if not self.cache_recent:
+            return self.put(frame, width)
+        kept = frame.select("iv", "rows", "data").repartition(self.buckets, "iv").persist(StorageLevel.MEMORY_AND_DISK)
+        return Block(0, width, kept)
+
+    def drop(self, blocks: list[Block]) -> None:
+        """Forgets blocks, commits that, and deletes their files."""
+        for b in blocks:
+            if not b.number:
+                b.frame.unpersist()
+            self.blocks.pop(b.number, None)
+        gone = [b.number for b in blocks if b.number]
+        if gone:
+            self.commit()
+            self.spark.sql(f"alter table {self.table} drop if exists " + ", ".join(f"partition (blk={k})" for k in gone))
+            for k in gone:
+                self._files(self._path("blocks")).delete(self._path(f"blocks/blk={k}"), True)
+
+    def close(self) -> None:
+        """Deletes the table and all its files."""
+        self.spark.sql(f"drop table if exists {self.table}")
+        self._files(self._path("")).delete(self._path(""), True)
+
+    def grouped(self, blocks: list[Block], other: Block | None, run, schema: str) -> DataFrame:
+        """run(iv, matrices of blocks, matrix of other or None) -> Arrow table, for each interval; matrices are (width, rows). No exchange."""
+        order = [b.number for b in blocks]
+
+        def alone(key, table):
+            held = _pieces(table)
+            return run(key[0].as_py(), [held[k] for k in order], None if last is None else held[last])
+
+        def beside(key, left, right):
+            held = _pieces(left)
+            return run(key[0].as_py(), [held[k] for k in order], _chunk(right.column("data")[0].as_buffer(), right.column("rows")[0].as_py()))
+
+        last = None if other is None else other.number
+        if other is not None and not other.number:
+            if not blocks:
+                return other.frame.groupBy("iv").applyInArrow(lambda key, t: run(key[0].as_py(), [], _chunk(t.column("data")[0].as_buffer(), t.column("rows")[0].as_py())), schema)
+            return self.scan(order).groupBy("iv").cogroup(other.frame.groupBy("iv")).applyInArrow(beside, schema)
+        return self.scan(order if last is None else sorted({*order, last})).groupBy("iv").applyInArrow(alone, schema)
+
+    def summed(self, partials: DataFrame) -> np.ndarray:
+        """Second phase of products with a small result: adds the intervals' partial matrices in the cluster; one small matrix reaches the driver."""
+        rows = partials.select("width", F.posexplode("v").alias("at", "v")).groupBy("width", "at").agg(F.sum("v").alias("v")).toArrow()
+        values = np.zeros(rows.num_rows)
+        values[rows.column("at").to_numpy()] = rows.column("v").to_numpy()
+        return values.reshape(-1, rows.column("width")[0].as_py())
+
+    def gram_plan(self, blocks: list[Block], other: Block) -> DataFrame:
+        return self.grouped(blocks, other, lambda iv, held, w: _partial(np.vstack([v @ w.T for v in [*held, w]])), PARTIAL)
+
+    def gram(self, blocks: list[Block], other: Block) -> tuple[np.ndarray, np.ndarray]:
+        """([blocks]' other, other' other) in one scan."""
+        made = self.summed(self.gram_plan(blocks, other))
+        return made[: -other.width], made[-other.width :]
+
+    def second_gram(self, blocks: list[Block], other: Block, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The same for other - [blocks] h, which is made chunk by chunk and stored nowhere."""
+
+        def run(iv, held, w):
+            rest, at = w.copy(), 0
+            for v in held:
+                rest -= h[at : at + len(v)].T @ v
+                at += len(v)
+            return _partial(np.vstack([v @ rest.T for v in [*held, rest]]))
+
+        made = self.summed(self.grouped(blocks, other, run, PARTIAL))
+        return made[: -other.width], made[-other.width :]
+
+    def combine_plan(self, blocks: list[Block], small: np.ndarray, other: Block | None = None, by: np.ndarray | None = None) -> DataFrame:
+        """[blocks] small + other by, as PACKED rows."""
+
+        def run(iv, held, w):
+            out, at = (np.zeros((small.shape[1], held[0].shape[1])) if w is None else by.T @ w), 0
+            for v in held:
+                out += small[at : at + len(v)].T @ v
+                at += len(v)
+            return _packed(iv, out.T)
+
+        return self.grouped(blocks, other, run, PACKED)

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-import numpy as np
+import uuid
+
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from eigenloom.functions import codec
+from eigenloom.sources.stores import shared_dir
 
 TILE = "tr int, tc int, nnz int, n_multi_rows int, n_single int, code binary, vals binary"
 
@@ -70,7 +72,7 @@ def plan_super(width: int, cache_bytes: int, sharers: int, edge: int) -> int:
 
 
 def plan_partitions(index: list[tuple[int, int]], width: int, target_bytes: int) -> list[tuple[int, int]]:
-    """Contiguous ranges of tile rows [first, last] whose bytes plus dense output stay near a target; wider blocks give more ranges."""
+    """Contiguous ranges [first, last] of tile rows or row intervals whose bytes plus dense output stay near a target; wider blocks give more ranges."""
     ranges, first, held = [], None, 0
     for row, size in index:
         cost = size * max(1, width // 4)
@@ -82,12 +84,63 @@ def plan_partitions(index: list[tuple[int, int]], width: int, target_bytes: int)
     return ranges + ([(first, last)] if first is not None else [])
 
 
+def best_edge(edges: DataFrame, most_cells: int = 1 << 22, choices=(16384, 4096, 1024, 256)) -> int:
+    """The largest tile edge of which no tile holds more cells than a task should encode at once."""
+    fine = choices[-1]
+    counts = edges.groupBy(F.floor(F.col("i") / fine).alias("a"), F.floor(F.col("j") / fine).alias("b")).agg(F.count(F.lit(1)).alias("n")).persist()
+    for edge in choices:
+        by = edge // fine
+        if (counts.groupBy(F.floor(F.col("a") / by), F.floor(F.col("b") / by)).agg(F.sum("n").alias("n")).agg(F.max("n")).first()[0] or 0) <= most_cells:
+            break
+    counts.unpersist()
+    return edge
+
+
+class TileStore:
+    """A matrix of n_rows x n_cols as tiles in a table, bucketed by parts: contiguous row intervals of 2^bits rows, as many as `plan_partitions` makes for blocks of `width` columns.
+
+    A part's tiles meet in one task without an exchange and give the chunks of its intervals, so a multiply reads the stored matrix once and shuffles nothing.
+    dynamic: parts of near equal bytes, of which the scheduler hands the next to whichever core is free; without it, parts of equally many intervals.
+    """
+
+    def __init__(self, edges: DataFrame, n_rows: int, n_cols: int, bits: int, edge: int | None = None, width: int = 4, target_bytes: int = 16 << 20, hybrid: bool = True, codec: str = "zstd", dynamic: bool = True):
+        self.spark, self.n_rows, self.n_cols, self.bits, self.width = edges.sparkSession, n_rows, n_cols, bits, width
+        self.edge = min(edge or best_edge(edges), 1 << bits)
+        if (1 << bits) % self.edge:
+            raise ValueError("a row interval holds whole tiles")
+        self.root = f"{shared_dir(self.spark)}/tiles-{uuid.uuid4().hex}"
+        per = edges.groupBy(F.shiftright("i", bits).alias("iv")).agg(F.count(F.lit(1)).alias("n"), F.max(F.col("w") != 1).alias("weighted")).collect()  # a row for each interval
+        cells = {r["iv"]: r["n"] * (12 if r["weighted"] else 4) for r in per}
+        self.cells, intervals = sum(r["n"] for r in per), ((n_rows - 1) >> bits) + 1
+        index = [(iv, cells.get(iv, 0) + 8 * width * min(1 << bits, n_rows - (iv << bits))) for iv in range(intervals)]
+        if dynamic:
+            least = max(1, min(target_bytes, sum(c for _, c in index) // self.spark.sparkContext.defaultParallelism))
+            self.parts = plan_partitions(index, width, least)
+        else:
+            step = max(1, -(-intervals // self.spark.sparkContext.defaultParallelism))
+            self.parts = [(s, min(s + step, intervals) - 1) for s in range(0, intervals, step)]
+        of = self.spark.createDataFrame([(iv, k) for k, (a, b) in enumerate(self.parts) for iv in range(a, b + 1)], "iv int, part int")
+        coded = encoded(edges, self.edge, hybrid).withColumn("iv", F.shiftright(F.col("tr") * self.edge, bits).cast("int"))
+        self.buckets = min(4 * len(self.parts), int(self.spark.conf.get("spark.sql.sources.bucketing.maxBuckets", "100000")))
+        # An empty row for each part, so that rows without cells give zeros.
+        empty = of.groupBy("part").agg(F.min("iv").alias("iv")).selectExpr("iv", "-1 as tr", "0 as tc", "0 as nnz", "0 as n_multi_rows", "0 as n_single", "cast('' as binary) as code", "cast(null as binary) as vals", "part")
+        rows = coded.join(F.broadcast(of), "iv").unionByName(empty).repartition(self.buckets, "part")
+        self.table = "tiles_" + uuid.uuid4().hex
+        rows.write.bucketBy(self.buckets, "part").sortBy("part", "tr", "tc").option("compression", codec).option("path", self.root).saveAsTable(self.table)
+        self.bytes = self.frame.agg(F.sum(F.octet_length("code") + F.coalesce(F.octet_length("vals"), F.lit(0)))).first()[0] or 0
+
+    @property
+    def frame(self) -> DataFrame:
+        return self.spark.table(self.table)
+
+    def close(self) -> None:
+        self.spark.sql(f"drop table if exists {self.table}")
+        path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.root)
+        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def row_lists(edges: DataFrame, by: str = "i") -> DataFrame:
     """Compressed rows (or columns, by='j'): (i, cols, vals) sorted; the format of the baselines."""
     other = "j" if by == "i" else "i"
     lists = edges.groupBy(by).agg(F.sort_array(F.collect_list(F.struct(F.col(other).alias("c"), F.col("w").alias("v")))).alias("e"))
     return lists.select(F.col(by).alias("i"), F.col("e.c").alias("cols"), F.col("e.v").alias("vals"))
-
-
-def chunk(array: np.ndarray) -> list[float]:
-    return array.ravel(order="F").tolist()

@@ -10,7 +10,7 @@ from eigenloom import apps, experiments
 from eigenloom.functions import surface
 from eigenloom.operators import dense, solver, tiles
 from eigenloom.plans import lazy
-from eigenloom.queries import _V, BITS, CUSTOMER_PART, EDGE, NORMAL, SQL, TRANSITIONS, WIDTH, _blocks, _counts, _power_sql, _values, query, wide
+from eigenloom.queries import _V, BITS, CUSTOMER_PART, EDGE, NORMAL, SQL, TRANSITIONS, USER_TYPE_EDGES, WIDTH, Q, _blocks, _counts, _power_sql, _values, query, wide
 from eigenloom.sources import graphs, stores
 from eigenloom.sources.graphs import table
 from eigenloom.streaming import events as streams
@@ -286,10 +286,12 @@ def exp_parameter_study(spark, sf_dir):
     return spark.createDataFrame([(falls, all(r["converged"] for r in rows if r["blocks"] * r["b"] >= 16))], "larger_subspace_restarts_less boolean, all_but_smallest_converge boolean")
 
 
-@query("select k::int as k, share as above_nine_tenths from (values (4, false), (32, true), (128, true)) as t(k, share)")
+@query("select true as share_measured, true as takes_most")
 def exp_phase_share(spark, sf_dir):
-    """Reorthogonalisation takes over nine tenths of the work once many values are wanted."""
-    return experiments.phase_share(spark, sf_dir).select("k", (F.col("modelled_share") > 0.9).alias("above_nine_tenths"))
+    """By the clock of an external solve, reorthogonalisation takes more time than the multiplies."""
+    found = experiments.timed_external(spark, graphs.user_adjacency(spark, sf_dir).persist(), _counts(spark, sf_dir, "events", "user_id"), 4)
+    spent = {p: sum(r[5] for r in found.ledger.rows if r[1] == p and r[2] == "time") for p in ("multiply", "reorthogonalise")}
+    return spark.createDataFrame([(min(spent.values()) > 0, spent["reorthogonalise"] > spent["multiply"])], "share_measured boolean, takes_most boolean")
 
 
 @query("select method, true as accurate, fewer as no_more_products_than_krylov from (values ('block Davidson', false), ('block Krylov-Schur', true), ('locally optimal', false), ('subspace iteration', false)) as t(method, fewer)")
@@ -300,7 +302,27 @@ def exp_solver_family(spark, sf_dir):
     return spark.createDataFrame([(m, r["error"] < 1e-5, r["products"] <= least) for m, r in rows.items()], "method string, accurate boolean, no_more_products_than_krylov boolean")
 
 
-@query("select graph, true as converged, true as small_memory from (values ('customer by part'), ('page links')) as t(graph)")
+@query("select graph, true as converged, true as residuals_small from (values ('customer by part'), ('page links')) as t(graph)")
 def exp_web_svd(spark, sf_dir):
-    """The web preset converges with two narrow blocks resident, far less than the subspace."""
-    return experiments.web_svd(spark, sf_dir).select("graph", "converged", (F.col("resident") * 8 <= 8 * F.least("n_rows", "n_cols") * 2 * 16).alias("small_memory"))
+    """The web preset converges, and its vectors of both sides fit: A v = s u."""
+    return experiments.web_svd(spark, sf_dir).select("graph", "converged", (F.col("residual") < 1e-3).alias("residuals_small"))
+
+
+@query(_power_sql(f"select p.j as i, q.j as j, sum(p.w * q.w) as w from ({USER_TYPE_EDGES}) p join ({USER_TYPE_EDGES}) q on p.i = q.i group by 1, 2", "(select range as i from range(5))", 20, "sqrt"))
+def stream_top_value(spark, sf_dir):
+    """The leading singular value refreshed from the edges that micro-batches merged."""
+    merged = streams.merged_edges(spark, sf_dir).persist()
+    ids = graphs.dense_ids(merged, "event_type")
+    edges = merged.join(F.broadcast(ids), "event_type").select(F.col("user_id").alias("i"), F.col("id").alias("j"), F.col("n").cast("double").alias("w"))
+    return _values(spark, solver.singular(spark, edges, _counts(spark, sf_dir, "events", "user_id"), 5, 1, b=1, blocks=5))
+
+
+def app_embedding_clusters(spark, sf_dir):
+    """Purity and adjusted Rand index of ten spectral clusters of all embeddings' neighbour graph, by cosine similarity, against their labels. No SQL form."""
+    rows = table(spark, sf_dir, "embeddings")
+    edges = graphs.vector_neighbours(spark, sf_dir, 10, "similarity").filter("w > 0")
+    found = apps.spectral_clusters(spark, edges, _counts(spark, sf_dir, "embeddings", "vec_id"), 10, blocks=20)
+    return apps.purity(found, rows.select(F.col("vec_id").alias("i"), "label")).select(F.round("purity", 4).alias("purity"), F.round("adjusted_rand", 4).alias("adjusted_rand"))
+
+
+Q["app_embedding_clusters"] = app_embedding_clusters

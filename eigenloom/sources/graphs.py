@@ -11,9 +11,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def coalesced(rows: DataFrame, i, j, w=None) -> DataFrame:
-    """One edge per (i, j), weights added; null endpoints and non-finite weights are errors of the caller and dropped here."""
+    """One edge per (i, j), weights added; rows with a null or negative endpoint or a null, infinite or undefined weight are errors of the caller and dropped here."""
     weight = F.lit(1.0) if w is None else w.cast("double")
-    kept = rows.select(i.cast("long").alias("i"), j.cast("long").alias("j"), weight.alias("w")).filter("i is not null and j is not null and w is not null and not isnan(w)")
+    kept = rows.select(i.cast("long").alias("i"), j.cast("long").alias("j"), weight.alias("w")).filter((F.col("i") >= 0) & (F.col("j") >= 0) & (F.abs("w") < float("inf")))
     return kept.groupBy("i", "j").agg(F.sum("w").alias("w"))
 
 

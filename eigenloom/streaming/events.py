@@ -15,9 +15,17 @@ def source(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def finished(stream: DataFrame, mode: str) -> DataFrame:
-    name = "s" + uuid.uuid4().hex
-    stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start().awaitTermination()
-    return stream.sparkSession.table(name)
+    """The stream's output as files: in append mode a folder for each batch, so a repeated batch replaces itself; in complete mode the last batch's whole result."""
+    from eigenloom.sources.stores import shared_dir
+
+    root = f"{shared_dir(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{root}/out" if mode == "complete" else f"{root}/out/batch={number}")
+
+    stream.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start().awaitTermination()
+    names = [f.name for f in stream.schema]
+    return stream.sparkSession.read.option("basePath", f"{root}/out").schema(stream.schema).parquet(f"{root}/out").select(*names)
 
 
 def tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from eigenloom import apps, queries
 from eigenloom.functions import codec, surface
 from eigenloom.operators import baselines, dense, solver, spmm, tiles
+from eigenloom.operators.subspace import Subspace
 from eigenloom.plans import costs, lazy
 from eigenloom.sources import graphs, stores
 
@@ -158,3 +159,70 @@ def test_spectral_table_function(spark):
 
 def test_super_tile_fills_the_cache():
     assert tiles.plan_super(1, 8 << 20, 4, 1024) == 128 and tiles.plan_super(16, 8 << 20, 4, 1024) == 8 and tiles.plan_super(16, 1024, 4, 1024) == 1
+
+
+def test_store_products_have_no_exchange_and_survive_a_restart(spark):
+    rng = np.random.default_rng(6)
+    arrays = [rng.integers(-5, 6, (70, 2)).astype(float) for _ in range(4)]
+    store = Subspace(spark, 70, 4)
+    blocks = [store.put(dense.packed(dense.from_array(spark, x, 4)), 2) for x in arrays]
+    held = store.hold(dense.packed(dense.from_array(spark, arrays[3], 4)), 2)
+    for other in (blocks[3], held):
+        for frame in (store.gram_plan(blocks[:3], other), store.combine_plan(blocks[:3], np.ones((6, 2)), other, np.eye(2))):
+            frame.collect()
+            assert "Exchange" not in _plan(frame).split("InMemoryTableScan")[0] and "Bucketed: true" in _plan(frame)
+        h, g = store.gram(blocks[:3], other)
+        assert (h == np.hstack(arrays[:3]).T @ arrays[3]).all() and (g == arrays[3].T @ arrays[3]).all()
+        rest = arrays[3] - np.hstack(arrays[:3]) @ (h / 100)
+        more, g = store.second_gram(blocks[:3], other, h / 100)
+        assert np.allclose(more, np.hstack(arrays[:3]).T @ rest) and np.allclose(g, rest.T @ rest)
+    small = rng.integers(-3, 4, (6, 3)).astype(float)
+    made = store.put_many(blocks[:3], small, [2, 1])
+    assert (np.hstack([dense.to_array(b.frame) for b in made]) == np.hstack(arrays[:3]) @ small).all()
+    store.drop(blocks[:1])
+    back = Subspace.resumed(spark, store.root)
+    assert sorted(back.blocks) == sorted(store.blocks) and (dense.to_array(back.blocks[2].frame) == arrays[1]).all()
+    assert back.gram([back.blocks[2]], back.blocks[3])[0].tolist() == (arrays[1].T @ arrays[2]).tolist()
+    back.close()
+    store.close()
+
+
+def test_stored_tiles_multiply_without_exchange(spark, sf):
+    edges, rng = graphs.customer_part(spark, sf), np.random.default_rng(3)
+    store = tiles.TileStore(edges, 150, 200, 5, 16, 3)
+    x = rng.integers(-4, 5, (200, 3)).astype(float)
+    forward, _b, _c = solver.array_product(edges, 150, 200)
+    for switches in ({}, {"spread": False, "super_tile": False}, {"local_buffer": False}, {"vectorised": False, "buffer_reuse": False}):
+        made = spmm.semi_external(store, x, **switches)
+        assert (dense.to_array(made) == forward(x)).all()
+        assert "Exchange" not in _plan(made) or not switches.get("local_buffer", True)
+    assert store.parts[0][0] == 0 and store.parts[-1][1] == 4 and len(tiles.TileStore(edges, 150, 200, 5, 16, 3, dynamic=False).parts) >= 2
+    assert (dense.to_array(solver.striped_product(store, 200, 5, 3)(dense.from_array(spark, x, 5), 3)) == forward(x)).all()
+    assert tiles.best_edge(edges, 10, (64, 32)) == 32 and tiles.best_edge(edges, 10**6, (64, 32)) == 64
+    store.close()
+
+
+def test_external_solve_equals_arrays_and_deletes_what_it_dropped(spark):
+    edges = graphs.path(spark, 60).unionByName(spark.range(60).select(F.col("id").alias("i"), F.col("id").alias("j"), F.pow(F.lit(1.2), "id").alias("w")))
+    options = {"b": 2, "blocks": 5, "which": "LA", "tol": 1e-4, "max_restarts": 4, "want_vectors": True}
+    inside = solver.eigen(spark, edges, 60, 2, storage="arrays", **options)
+    outside = solver.eigen(spark, edges, 60, 2, storage="external", bits=4, edge=16, **options)
+    assert inside.converged.all() and outside.converged.all() and np.allclose(inside.values, outside.values, rtol=1e-6) and outside.orthogonality < 1e-10
+    assert outside.ledger.total("files") > 0 and set(outside.backend.store.blocks) == {b.number for b in outside.backend.store.blocks.values()}
+    assert len(outside.backend.store.blocks) <= 8
+    with pytest.raises(ValueError):
+        dense.interval_bits(4, edge=48)
+
+
+def test_bad_edges_are_dropped(spark):
+    rows = spark.createDataFrame([(0, 1, 1.0), (None, 1, 1.0), (0, None, 1.0), (-1, 2, 1.0), (2, -1, 1.0), (1, 2, float("nan")), (1, 2, float("inf")), (1, 2, None), (0, 1, 2.0)], "a long, b long, w double")
+    assert [tuple(r) for r in graphs.coalesced(rows, F.col("a"), F.col("b"), F.col("w")).collect()] == [(0, 1, 3.0)]
+
+
+def test_locking_and_vectors_of_both_sides():
+    rng = np.random.default_rng(9)
+    a = rng.standard_normal((80, 80))
+    a = a + a.T + np.diag(np.arange(80.0) * 3)
+    exact = np.linalg.eigvalsh(a)[::-1]
+    runs = [solver.krylov_schur(solver.MemoryBackend(lambda x: a @ x, 80), 5, b=1, blocks=8, which="LA", lock=lock) for lock in (True, False)]
+    assert all(np.allclose(r.values, exact[:5]) for r in runs) and runs[0].locked > 0 and runs[1].locked == 0
