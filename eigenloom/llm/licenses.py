@@ -1,9 +1,11 @@
 """License scans by a trained paragraph classifier, in DataFrame and ML-pipeline functions only.
 
 A multinomial logistic regression with an L1 share over word uni- and bigrams tells licence families from an unknown class. It is trained on the notice
-templates below set among background lines, and on a bounded sample of different background lines (`BACKGROUND_ROWS`, a documented bound on the weights alone); the unknown class is
+templates below set among background lines, and on a bounded sample of different background lines (`BACKGROUND_ROWS` and `TRAIN_CHARS` of each, documented bounds on the weights alone); the unknown class is
 calibrated by a threshold that all but `FALSE_SHARE` of all background lines of the table stay under, each read whole: lines that match no template, those with a cue word too. A predicted
-family is confirmed where a template of it shares at least 0.8 of its five-word shingles with the paragraph. Paragraphs are lines.
+family is confirmed where a template of it shares at least 0.8 of its five-word shingles with the paragraph. A paragraph is a run of lines wrapped at a margin: a line of
+WRAPPED characters that ends within a sentence goes on in the next one, unless that is blank or opens a notice of its own. Other lines are paragraphs by themselves; so a text
+whose lines all end so is one paragraph, however long. Paragraphs are called lines below.
 
 Only lines with an anchor are scored: the weights of all other features together do not lift any family to the threshold, so this is no approximation.
 Null and empty texts have no paragraphs of any family; repeated rows are told apart by an internal row number; extra columns are ignored.
@@ -23,7 +25,13 @@ from pyspark.sql import functions as F
 from .common import SPACE, stored
 
 UNKNOWN = "unknown"
-BACKGROUND_ROWS, FALSE_SHARE, SHINGLE, CONFIRM = 1500, 0.001, 5, 0.8
+BACKGROUND_ROWS, TRAIN_CHARS, FALSE_SHARE, SHINGLE, CONFIRM = 1500, 2000, 0.001, 5, 0.8
+#: Least and most characters of a line that goes on in the next one, and the line break between them: behind a letter, number, comma, closing mark, slash or hyphen.
+WRAPPED = (40, 120)
+WRAP = (
+    r"\r?\n(?<=[^\n]{%d}[\p{L}\p{N},)\"'/-]\r?\n)(?<![^\r\n]{%d}\r?\n)" % (WRAPPED[0] - 1, WRAPPED[1] + 1)
+    + r"(?=[^\S\n]*+\S)(?![^\p{L}\n]*+(?:SPDX|Copyright))"
+)
 #: The threshold is at least LOWEST; it is read off a histogram of log-odds in steps of 1 / STEPS, up to MOST, where probabilities come near the precision of doubles.
 LOWEST, STEPS, MOST = 0.5, 1000, 27.0
 #: Public licence notices by family.
@@ -35,12 +43,25 @@ TEMPLATES = [
     ("mit", "This project is licensed under the terms of the MIT license."),
     ("mit", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files"),
     ("mit", "SPDX-License-Identifier: MIT"),
+    ("mit", "Available under the MIT licence."),
     ("gpl", "This work is licensed under the GNU General Public License, version 3."),
     ("gpl", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation"),
     ("gpl", "SPDX-License-Identifier: GPL-3.0-or-later"),
+    ("gpl", "SPDX-License-Identifier: GPL-2.0-only"),
+    ("agpl", "it under the terms of the GNU Affero General Public License as published by the Free Software Foundation"),
+    ("agpl", "SPDX-License-Identifier: AGPL-3.0-or-later"),
     ("lgpl", "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License"),
+    ("lgpl", "SPDX-License-Identifier: LGPL-2.1-or-later"),
     ("bsd", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
     ("bsd", "Use of this source code is governed by a BSD-style license that can be found in the LICENSE file."),
+    ("bsd", "SPDX-License-Identifier: BSD-3-Clause"),
+    ("bsd", "SPDX-License-Identifier: BSD-2-Clause"),
+    ("isc", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted"),
+    ("isc", "SPDX-License-Identifier: ISC"),
+    ("boost", "Distributed under the Boost Software License, Version 1.0."),
+    ("boost", "SPDX-License-Identifier: BSL-1.0"),
+    ("public-domain", "This is free and unencumbered software released into the public domain."),
+    ("public-domain", "SPDX-License-Identifier: CC0-1.0"),
     ("cc-by-nc", "Licensed under CC BY-NC 4.0."),
     ("cc-by-nc", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
     ("cc-by", "Licensed under CC BY 4.0."),
@@ -48,6 +69,8 @@ TEMPLATES = [
     ("cc-by-sa", "Licensed under CC BY-SA 4.0."),
     ("cc-by-sa", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
     ("mpl", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
+    ("mpl", "SPDX-License-Identifier: MPL-2.0"),
+    ("epl", "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0"),
     ("proprietary", "Copyright. All rights reserved. Unauthorized copying of this file is strictly prohibited."),
 ]
 #: Words too common to be features.
@@ -77,7 +100,8 @@ def shingles(words: Column, width: int = SHINGLE) -> Column:
 
 
 def paragraphs(text: Column) -> Column:
-    return F.filter(F.split(F.coalesce(text, F.lit("")), "\n"), lambda x: F.btrim(x, F.lit(SPACE)) != "")
+    """All paragraphs of a text, the lines of each joined by spaces."""
+    return F.filter(F.split(F.regexp_replace(F.coalesce(text, F.lit("")), WRAP, " "), "\n"), lambda x: F.btrim(x, F.lit(SPACE)) != "")
 
 
 class Model:
@@ -130,9 +154,9 @@ def background(lines: DataFrame, buckets: int) -> DataFrame:
 
 def train(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") -> Model:
     """Weights from templates alone, between background lines and behind them, and from background lines; its threshold is LOWEST, not yet calibrated."""
-    lines = docs.select(F.explode(paragraphs(F.col(text_col))).alias("line")).select(F.substring("line", 1, 400).alias("line"))
+    lines = docs.select(F.explode(paragraphs(F.col(text_col))).alias("line")).select(F.substring("line", 1, TRAIN_CHARS).alias("line"))
     lines = background(lines, 2 * rows)
-    known = F.lower("line").rlike("(?i)licen[sc]e|copyright|spdx|permission is hereby|redistribut")
+    known = F.lower("line").rlike("(?i)licen[sc]e|copyright|spdx|permission is hereby|hereby granted|public domain|redistribut")
     sample = stored(lines.filter(~known & (F.pmod(F.xxhash64("line", F.lit(1)), F.lit(2)) == 0)), "licence-lines")
     spark = docs.sparkSession
     few = sample.orderBy(F.xxhash64("line")).limit(12)

@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -298,6 +299,36 @@ def test_license_anchors_lose_no_line(spark, docs):
     assert model.anchors and lines.filter(model.anchored(F.lower("line"))).count() < 0.1 * lines.count()
 
 
+def test_license_paragraphs_and_held_out_notices(spark, docs):
+    wrapped = {
+        "mit": "# Permission is hereby granted, free of charge, to any person obtaining a copy\n# of this software and associated documentation files (the \"Software\"), to deal\n# in the Software without restriction",
+        "gpl": " * This program is free software: you can redistribute it and/or modify\r\n * it under the terms of the GNU General Public License as published by\r\n * the Free Software Foundation, either version 3 of the License, or\r\n * (at your option) any later version.",
+        "isc": "Permission to use, copy, modify, and/or distribute this software for any\npurpose with or without fee is hereby granted, provided that the above\ncopyright notice appears.",
+    }
+    single = {"bsd": "// SPDX-License-Identifier: BSD-3-Clause", "boost": "Distributed under the Boost Software License, Version 1.0. (See the file.)", "public-domain": "This is free and unencumbered software released into the public domain."}
+    held_out = {"gpl": "// SPDX-License-Identifier: GPL-2.0-or-later", "mit": "You may use it under the terms of the MIT license", "lgpl": "Licensed under the GNU Lesser General Public License, version 2.1.", "apache": "Available under the Apache License 2.0"}
+    cases = [(k, v, True) for group in (wrapped, single) for k, v in group.items()] + [(k, v, False) for k, v in held_out.items()]
+    cases += [("mit", "Some long title line of the file without any full stop\nSPDX-License-Identifier: MIT", True)]
+    frame = spark.createDataFrame([(k, "Gentle words open this text.\n\n" + v + "\n\nAnd others close it.") for k, (_, v, _) in enumerate(cases)], "doc_id long, text string")
+    rows = {r["doc_id"]: r for r in licenses.scanned(frame, licenses.fit(docs)).collect()}
+    for k, (family, _, sure) in enumerate(cases):
+        assert family in rows[k]["families"].split(","), (cases[k], rows[k])
+        assert not sure or rows[k]["confirmed_families"] == family, (cases[k], rows[k])
+        assert rows[k]["n_paragraphs"] == 3 + (k == len(cases) - 1)
+
+
+def test_license_paragraph_breaks(spark):
+    full, short, long = "x" * 39 + "y", "x" * 39, "z" * 121
+    texts = [f"{full}\nnext", f"{short}\nnext", f"{long}\nnext", f"{full}.\nnext", f"{full}\n \nnext", f"{full}\r\nnext\r\nlast", f"{full}\n# Copyright Q", f"{full}\n{full}\n{full}", "\n \n", "", None, f"{full}\n"]
+    frame = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "k int, text string")
+    got = {r["k"]: r["n"] for r in frame.select("k", F.size(licenses.paragraphs(F.col("text"))).alias("n")).collect()}
+    assert [got[k] for k in range(len(texts))] == [1, 2, 2, 2, 2, 2, 2, 1, 0, 0, 0, 1]
+    began = time.time()
+    for text in (("a" * 60 + "\n") * 20_000, " " * 1_000_000, "\n" * 1_000_000, ("b" * 50 + "\n" + " " * 100) * 5_000):
+        spark.createDataFrame([(text,)], "text string").select(F.size(licenses.paragraphs(F.col("text")))).collect()
+    assert time.time() - began < 60
+
+
 def test_license_background_ignores_repeats(spark):
     lines = spark.createDataFrame([("the same line again",)] * 4000 + [(f"line number {i}",) for i in range(3000)], "line string")
     found = [r["line"] for r in licenses.background(lines, 200).collect()]
