@@ -155,7 +155,7 @@ def background(lines: DataFrame, buckets: int) -> DataFrame:
 def train(docs: DataFrame, rows: int = BACKGROUND_ROWS, text_col: str = "text") -> Model:
     """Weights from templates alone, between background lines and behind them, and from background lines; its threshold is LOWEST, not yet calibrated."""
     lines = docs.select(F.explode(paragraphs(F.col(text_col))).alias("line")).select(F.substring("line", 1, TRAIN_CHARS).alias("line"))
-    lines = background(lines, 2 * rows)
+    lines = stored(background(lines, 2 * rows), "licence-background")  # stored first: else Catalyst moves the test for cue words below the choice, to all lines of the table
     known = F.lower("line").rlike("(?i)licen[sc]e|copyright|spdx|permission is hereby|hereby granted|public domain|redistribut")
     sample = stored(lines.filter(~known & (F.pmod(F.xxhash64("line", F.lit(1)), F.lit(2)) == 0)), "licence-lines")
     spark = docs.sparkSession
