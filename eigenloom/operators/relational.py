@@ -20,7 +20,11 @@ STATEMENTS: dict[str, str] = {
     "rel_join_semi": "select c_custkey from {customer} left semi join (select o_custkey from {orders} where o_totalprice > 1000) o on c_custkey = o_custkey",
     "rel_join_anti": "select p_partkey from {part} left anti join (select l_partkey from {lineitem} where l_quantity >= 49) l on p_partkey = l_partkey",
     "rel_join_cross": "select r_regionkey, n_nationkey, case when r_regionkey = n_regionkey then 1 else 0 end as same from {region} cross join {nation}",
-    "rel_join_theta": "select s_suppkey, count(*) as richer from {supplier} join {customer} on s_acctbal < c_acctbal and s_nationkey <> c_nationkey group by s_suppkey",
+    # The pairs of the theta join counted without making them: customers above a supplier's balance, less those of its own nation. Whole units of balance are added up first; only rows of one unit meet in a window.
+    "rel_join_theta": "with e as (select s_suppkey, s_nationkey as k, s_acctbal as v, 0 as n from {supplier} union all select null, c_nationkey, c_acctbal, 1 from {customer}), b as (select *, case when isnan(v) then 9223372036854775807 else floor(v) end as b from e where k is not null and v is not null), "
+    "t as (select k, b, sum(n) as n from b group by k, b), own as (select k, b, sum(n) over (partition by k order by b desc) - n as own_above from t), every as (select b, sum(n) over (order by b desc) - n as above from (select b, sum(n) as n from t group by b)), "
+    "r as (select s_suppkey, k, b, n, sum(n) over (partition by b order by v desc) - sum(n) over (partition by b, v) as inside, sum(n) over (partition by k, b order by v desc) - sum(n) over (partition by k, b, v) as own_inside from b) "
+    "select s_suppkey, cast(sum(above + inside - own_above - own_inside) as bigint) as richer from r join own using (k, b) join every using (b) where r.n = 0 group by s_suppkey having sum(above + inside - own_above - own_inside) > 0",
     "rel_join_range": "select p_partkey, count(*) as close from {part} join {supplier} on floor(p_retailprice / 100) = floor(s_acctbal / 100) and abs(p_retailprice - s_acctbal) <= 50 group by p_partkey",
     "rel_join_multiway": "select s_nationkey as i, c_nationkey as j, cast(count(*) as bigint) as w from {lineitem} join {orders} on l_orderkey = o_orderkey join {customer} on o_custkey = c_custkey join {supplier} on l_suppkey = s_suppkey group by s_nationkey, c_nationkey",
     "rel_agg_hash": "select l_returnflag, l_linestatus, cast(sum(l_quantity) as double) as qty, count(*) as n, cast(max(l_linenumber) as bigint) as last_line from {lineitem} group by l_returnflag, l_linestatus",
@@ -83,6 +87,7 @@ STATEMENTS: dict[str, str] = {
 }
 #: Where DuckDB spells a statement differently.
 IN_DUCKDB = {
+    "rel_join_theta": "select s_suppkey, count(*) as richer from supplier join customer on s_acctbal < c_acctbal and s_nationkey <> c_nationkey group by s_suppkey",
     "rel_join_shuffle_hash": "select l_orderkey, l_linenumber, o_custkey from lineitem join orders on l_orderkey = o_orderkey",
     "rel_join_sort_merge": "select l_orderkey, l_linenumber, o_orderpriority from lineitem join orders on l_orderkey = o_orderkey",
     "rel_join_asof": "select e.event_id, coalesce(r.event_id, -1) as last_error from events e asof left join (select * from events where event_type = 'error') r on e.user_id = r.user_id and e.ts > r.ts",
