@@ -24,7 +24,7 @@ from .common import ascii_lower, bucketed, stored
 WORD_GAP = "[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+"
 WIDTH, RAREST, DISTANCE = 10, 3, 20
 #: Bytes of text in a bucket of the index, and parts into which the postings of a term are dealt where the query terms are too many to broadcast.
-BUCKET_BYTES, SALTS = 16 << 20, 64
+BUCKET_BYTES, SALTS = 6 << 20, 64
 
 
 class Index(NamedTuple):
