@@ -37,13 +37,13 @@ def solve(n: int, width: int, limit: int, kept: int, matrix_bytes: int, restarts
 def stored_solve(n: int, steps: list[tuple[str, int, int]], matrix_bytes: int, start_width: int, cached: bool = True) -> tuple[int, int]:
     """(read, written) of a solve by the bucketed store from its steps ('expand', columns held, block width) and ('restart', columns held, columns kept).
 
-    A step reads the matrix and the newest block, and the held columns three times; it writes one block, and without the cache of the recent block the product too, which each scan reads
-    again. The start writes a random block and its normalised form, of which the first is read once.
+    A step reads the matrix and the newest block, and the held columns twice, with the cache of the recent block, of which the symmetric operator's product is an array, and else three times;
+    it writes one block, and without the cache the product too, which each scan reads again. The start writes a random block and its normalised form, of which the first is read once.
     """
     read, written = block(n, start_width), 2 * block(n, start_width)
     for kind, held, other in steps:
         if kind == "expand":
-            read += matrix_bytes + block(n, other) + 3 * block(n, held) + (0 if cached else 3 * block(n, other))
+            read += matrix_bytes + block(n, other) + (2 if cached else 3) * block(n, held) + (0 if cached else 3 * block(n, other))
             written += block(n, other) * (1 if cached else 2)
         else:
             read, written = read + block(n, held), written + block(n, other)
